@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, piece_codec, secret_grammar, segment_topk, token_counts, token_store
+from . import decontaminate, piece_codec, secret_grammar, segment_topk, sketch_dedup, token_counts, token_store
 from .shared import shared_dir
 
 
@@ -19,6 +19,10 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_sketch_dedup(spark, sf_dir):
+    return sketch_dedup.near_duplicates(table(spark, sf_dir, "documents"), size=2, percent=80)
+
+
 def op3_secret_scan(spark, sf_dir):
     return secret_grammar.secret_scan(table(spark, sf_dir, "documents"))
 
@@ -52,6 +56,7 @@ def queries() -> dict:
     return {
         f.__name__: f
         for f in (
+            op1_sketch_dedup,
             op3_secret_scan,
             op5_segment_topk,
             op6_token_store,
@@ -62,6 +67,33 @@ def queries() -> dict:
     }
 
 
+OP1_SQL = r"""
+WITH RECURSIVE w AS (
+  SELECT doc_id, [x for x in regexp_split_to_array(
+    translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'),
+    '[\x20\x09-\x0D]+') if x <> ''] AS w
+  FROM documents
+), s AS (
+  SELECT DISTINCT doc_id, sh FROM (
+    SELECT doc_id, CASE WHEN len(w) = 1 THEN [w[1]] ELSE [w[i], w[i + 1]] END AS sh
+    FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w), 2))) AS i FROM w WHERE len(w) > 0))
+), n AS (SELECT doc_id, count(*) AS k FROM s GROUP BY doc_id
+), e AS (
+  SELECT p.a, p.b FROM (
+    SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS both
+    FROM s x JOIN s y ON x.sh = y.sh AND x.doc_id < y.doc_id GROUP BY 1, 2) p
+  JOIN n na ON na.doc_id = p.a JOIN n nb ON nb.doc_id = p.b
+  WHERE 100 * p.both >= 80 * (na.k + nb.k - p.both)
+), u AS (SELECT a, b FROM e UNION ALL SELECT b, a FROM e
+), r AS (
+  SELECT doc_id AS id, doc_id AS node FROM documents
+  UNION
+  SELECT r.id, u.b FROM r JOIN u ON r.node = u.a
+), c AS (SELECT id, min(node) AS component_id FROM r GROUP BY id)
+SELECT d.doc_id, CAST(coalesce(n.k, 0) AS BIGINT) AS n_shingles, c.component_id, d.doc_id = c.component_id AS kept
+FROM documents d JOIN c ON c.id = d.doc_id LEFT JOIN n ON n.doc_id = d.doc_id
+"""
+
 OP5_SQL = """
 WITH v AS (
   SELECT vec_id, [CAST(floor(1024 * CAST(x AS DOUBLE)) AS BIGINT) for x in embedding] AS e
@@ -115,4 +147,4 @@ FROM d LEFT JOIN places USING (doc_id) LEFT JOIN named USING (doc_id)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op5_segment_topk": OP5_SQL, "op8_decontaminate": OP8_SQL}
+    return {"op1_sketch_dedup": OP1_SQL, "op5_segment_topk": OP5_SQL, "op8_decontaminate": OP8_SQL}
