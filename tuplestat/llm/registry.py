@@ -5,7 +5,18 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, piece_codec, secret_grammar, segment_topk, sketch_dedup, token_counts, token_store
+from . import (
+    cotrain_quality,
+    decontaminate,
+    passage_dedup,
+    piece_codec,
+    secret_grammar,
+    segment_topk,
+    sketch_dedup,
+    token_counts,
+    token_store,
+    weak_toxicity,
+)
 from .shared import shared_dir
 
 
@@ -23,10 +34,19 @@ def op1_sketch_dedup(spark, sf_dir):
     return sketch_dedup.near_duplicates(table(spark, sf_dir, "documents"), size=2, percent=80)
 
 
+def op2_cotrain_quality(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents")
+    return cotrain_quality.quality(docs, cotrain_quality.fit_model(docs, table(spark, sf_dir, "labels")))
+
+
 def op3_secret_scan(spark, sf_dir):
     return secret_grammar.secret_scan(table(spark, sf_dir, "documents"))
 
 
+def op4_passage_dedup(spark, sf_dir):
+    return passage_dedup.repeated_passages(table(spark, sf_dir, "documents"))
+
+
 def op5_segment_topk(spark, sf_dir):
     return segment_topk.top_k(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 100 == 0, k=10, scale=1024)
 
@@ -52,17 +72,32 @@ def op9_piece_codec(spark, sf_dir):
     return piece_codec.piece_codec(table(spark, sf_dir, "documents"), tokenizer_file("piece_bpe_32k.model"))
 
 
+def op10_weak_toxicity(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents")
+    return weak_toxicity.toxicity(docs, weak_toxicity.fit_model(docs, table(spark, sf_dir, "labels")), threshold=0.3)
+
+
+def pipeline(spark, sf_dir):
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
     return {
         f.__name__: f
         for f in (
             op1_sketch_dedup,
+            op2_cotrain_quality,
             op3_secret_scan,
+            op4_passage_dedup,
             op5_segment_topk,
             op6_token_store,
             op7_token_counts,
             op8_decontaminate,
             op9_piece_codec,
+            op10_weak_toxicity,
+            pipeline,
         )
     }
 

@@ -9,7 +9,7 @@ the totals of earlier shards (one row per shard) plus its place within its own.
 
 The word-level tokenizer drops white space and its pre-tokenizer never joins across it, so a
 text is encoded chunk by chunk through a bounded table of chunks already seen; the table holds
-what the library returned for a chunk.
+what the library returned for a chunk. A block closes at the first document that fills it.
 
 Nulls are empty texts (only the end id is written); a null doc_id sorts first; repeated rows
 are written each; an empty table gives no blocks. Only the id and text columns are read.
@@ -20,6 +20,7 @@ from __future__ import annotations
 import os
 import re
 import zlib
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -29,30 +30,141 @@ from pyspark.sql import functions as F
 
 from .shared import batch_of, id_text, slices
 from .simple8b import pack_block, unpack_block
-from .token_counts import BoundedTable
 
 BLOCKS = "shard int, block int, first long, n_ids long, doc_ids array<long>, payload binary"
-CUT = re.compile("[ \n]+")
+TABLE_CHUNKS = 600_000
 
 
-def chunk_encoder(tokenizer):
-    """Function: list of chunks -> little-endian unsigned 32-bit ids of each, as bytes."""
-
-    def make(keys: list[str]) -> list[bytes]:
-        batch = getattr(tokenizer, "encode_batch_fast", tokenizer.encode_batch)
-        return [np.array(e.ids, dtype="<u4").tobytes() for e in batch(keys, add_special_tokens=False)]
-
-    return make
-
-
-def encode_texts(texts: list[str], table: BoundedTable, end: bytes) -> list[bytes]:
-    cut = [CUT.split(t) for t in texts]
-    table.learn({k for chunks in cut for k in chunks})
-    get = table.__getitem__
-    return [b"".join(map(get, chunks)) + end for chunks in cut]
-
+class ChunkIds(dict):
+    """Chunk -> its number; ids by number in two flat arrays, so that texts become id arrays by
+    lookups and one gather. What is new in a slice is encoded by the library in long joined
+    texts: their ids fall apart into chunks at word-end pieces, as long as a chunk is one run of
+    small letters; any other chunk is encoded by itself. When full, the rarer half leaves.
+    """
 
-_TABLES: dict[int, BoundedTable] = {}
+    def __init__(self, tokenizer, rows: int = TABLE_CHUNKS):
+        super().__init__()
+        self.tokenizer, self.rows = tokenizer, rows
+        self.encode = getattr(tokenizer, "encode_batch_fast", tokenizer.encode_batch)
+        vocab = tokenizer.get_vocab(with_added_tokens=True)
+        suffix = getattr(tokenizer.model, "end_of_word_suffix", None)
+        self.ends = np.zeros(max(vocab.values(), default=0) + 1, dtype=bool)
+        if suffix:
+            for piece, k in vocab.items():
+                self.ends[k] = piece.endswith(suffix)
+        self.joins = bool(suffix)
+        self.forget()
+
+    def forget(self) -> None:
+        self.clear()
+        self.pending: list[str] = []
+        self.first = np.zeros(1, dtype=np.int64)  # where each number's ids begin, and the end
+        self.flat = np.zeros(0, dtype=np.uint32)
+        self.uses = np.zeros(0, dtype=np.int64)
+
+    def __missing__(self, chunk: str) -> int:
+        number = self[chunk] = len(self)
+        self.pending.append(chunk)
+        return number
+
+    def lists(self, chunks: list[str]) -> list[list[int]]:
+        return [e.ids for e in self.encode(chunks, add_special_tokens=False)]
+
+    def flush(self) -> None:
+        """Encode what is pending and append it, in the order of its numbers."""
+        new, self.pending = self.pending, []
+        if not new:
+            return
+        lengths = np.zeros(len(new), dtype=np.int64)
+        plain = np.array([self.joins and SMALL_LETTERS(c) is not None for c in new])
+        words = [c for c, y in zip(new, plain.tolist()) if y]
+        others = [c for c, y in zip(new, plain.tolist()) if not y]
+        joined = [" ".join(words[i : i + 500]) for i in range(0, len(words), 500)]
+        ids = np.array(list(chain.from_iterable(self.lists(joined))), dtype=np.uint32)
+        last = np.flatnonzero(self.ends[ids]) if len(ids) else np.zeros(0, np.int64)
+        if len(last) != len(words):  # a vocabulary that doesn't mark word ends this way
+            lists = self.lists(words)
+            ids = np.array(list(chain.from_iterable(lists)), dtype=np.uint32)
+            last = np.cumsum([len(x) for x in lists], dtype=np.int64) - 1
+        lengths[plain] = np.diff(last, prepend=-1)
+        rest = self.lists(others)
+        lengths[~plain] = [len(x) for x in rest]
+        first = np.concatenate([[0], np.cumsum(lengths)])
+        flat = np.zeros(int(first[-1]), dtype=np.uint32)
+        mine = np.repeat(plain, lengths)
+        flat[mine] = ids
+        flat[~mine] = np.array(list(chain.from_iterable(rest)), dtype=np.uint32)
+        self.first = np.concatenate([self.first, self.first[-1] + first[1:]])
+        self.flat = np.concatenate([self.flat, flat])
+        self.uses = np.concatenate([self.uses, np.zeros(len(new), dtype=np.int64)])
+
+    def trim(self) -> None:
+        if len(self) <= self.rows:
+            return
+        keep = np.sort(np.argsort(-self.uses, kind="stable")[: self.rows // 2])
+        chunks = list(self)
+        lengths = np.diff(self.first)[keep]
+        flat = self.flat[spread(self.first[keep], lengths)]
+        names = [chunks[i] for i in keep.tolist()]
+        self.forget()
+        self.update(zip(names, range(len(names))))
+        self.first = np.concatenate([[0], np.cumsum(lengths)])
+        self.flat, self.uses = flat, np.zeros(len(names), dtype=np.int64)
+
+
+#: Runs of small letters that neither the normaliser nor the pre-tokenizer changes or cuts.
+SMALL_LETTERS = re.compile("[a-z\xe0-\xf6\xf8-\xfe]+").fullmatch
+
+
+def spread(first: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """The places first, first+1, ... of each run, end to end."""
+    total = int(lengths.sum())
+    out = np.ones(total, dtype=np.int64)
+    some = lengths > 0
+    first, lengths = first[some], lengths[some]
+    if not len(first):
+        return out
+    at = np.concatenate([[0], np.cumsum(lengths)[:-1]])
+    out[at] = np.concatenate([[first[0]], first[1:] - first[:-1] - lengths[:-1] + 1])
+    return np.cumsum(out)
+
+
+def chunks_of(text: str) -> list[str]:
+    """Pieces of a text between spaces and line feeds. Latin-1 texts are lowered first: there,
+    both libraries lower each letter by itself to the same letter."""
+    try:
+        text.encode("latin-1")
+        text = text.lower()
+    except UnicodeEncodeError:
+        pass
+    return text.replace("\n", " ").split(" ")
+
+
+def encode_texts(texts: list[str], table: ChunkIds, end: int | None) -> tuple[np.ndarray, np.ndarray]:
+    """(ids of all texts end to end, number of ids of each); `end` goes behind every text."""
+    number = table.__getitem__
+    numbers: list[int] = []
+    count = np.zeros(len(texts), dtype=np.int64)
+    for i, text in enumerate(texts):
+        before = len(numbers)
+        numbers.extend(map(number, chunks_of(text)))
+        count[i] = len(numbers) - before
+    table.flush()
+    at = np.array(numbers, dtype=np.int64)
+    table.uses += np.bincount(at, minlength=len(table.uses))
+    lengths = (table.first[1:] - table.first[:-1])[at]
+    ids = table.flat[spread(table.first[at], lengths)]
+    sums = np.concatenate([[0], np.cumsum(lengths)])
+    stop = np.cumsum(count)
+    per_text = sums[stop] - sums[stop - count]
+    if end is not None:
+        ids = np.insert(ids, np.cumsum(per_text), np.uint32(end))
+        per_text = per_text + 1
+    table.trim()
+    return ids, per_text
+
+
+_TABLES: dict[int, ChunkIds] = {}
 
 
 def write_tokens(
@@ -69,7 +181,7 @@ def write_tokens(
     with open(tokenizer_path, encoding="utf-8") as f:
         source = f.read()
     shipped = spark.sparkContext.broadcast(source)
-    key, end = hash(source), int(end_id).to_bytes(4, "little")
+    key = hash(source)
 
     def run(batches):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -77,7 +189,7 @@ def write_tokens(
         if table is None:
             from tokenizers import Tokenizer
 
-            table = _TABLES[key] = BoundedTable(chunk_encoder(Tokenizer.from_str(shipped.value)))
+            table = _TABLES[key] = ChunkIds(Tokenizer.from_str(shipped.value))
         schema = pa.schema(
             [
                 ("shard", pa.int32()),
@@ -89,27 +201,32 @@ def write_tokens(
             ]
         )
         shard, block, first = TaskContext.get().partitionId(), 0, 0
-        held: list[bytes] = []
+        held: list[np.ndarray] = []
+        sizes: list[int] = []
         names: list[int | None] = []
-        size = 0
 
         def close():
-            nonlocal block, first, held, names, size
-            ids = np.frombuffer(b"".join(held), dtype="<u4")
-            lengths = np.array([len(x) // 4 for x in held], dtype=np.uint64)
-            out = batch_of(schema, [shard], [block], [first], [len(ids)], [names], [pack_block(lengths, ids)])
-            block, first, held, names, size = block + 1, first + len(ids), [], [], 0
+            nonlocal block, first, held, sizes, names
+            ids = np.concatenate(held)
+            payload = pack_block(np.array(sizes, dtype=np.uint64), ids)
+            out = batch_of(schema, [shard], [block], [first], [len(ids)], [names], [payload])
+            block, first, held, sizes, names = block + 1, first + len(ids), [], [], []
             return out
 
         for part in slices(batches, 4 << 20):
-            coded = encode_texts([t or "" for t in part.column(1).to_pylist()], table, end)
-            for name, ids in zip(part.column(0).to_pylist(), coded):
-                held.append(ids)
+            ids, lengths = encode_texts([t or "" for t in part.column(1).to_pylist()], table, end_id)
+            at = size = 0
+            for name, n in zip(part.column(0).to_pylist(), lengths.tolist()):
                 names.append(name)
-                size += len(ids) // 4
+                sizes.append(n)
+                size += n
                 if size >= block_ids:
+                    held.append(ids[at : at + size])
+                    at, size = at + size, 0
                     yield close()
-        if held:
+            if size:
+                held.append(ids[at : at + size])
+        if names:
             yield close()
 
     rows = id_text(docs, id_col, text_col).withColumn("tie", F.xxhash64("text"))
