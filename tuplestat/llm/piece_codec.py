@@ -9,8 +9,9 @@ that the backend has no equal for (a character map, removal of extra spaces) are
 Texts are encoded per distinct pre-token (see `token_counts`: the same cuts, proved on the
 vocabulary) in multithreaded batches. Each distinct pre-token is also encoded by the reference
 library; where the two differ (merges of equal rank in runs of one character can), the reference
-wins and the document counts the mismatch. Ids are decoded by the backend and compared with the
-text.
+wins and the document counts the mismatch. Each distinct pre-token's ids are also decoded by the
+backend and compared with it; decoding joins pre-tokens as they stand, since each is whole
+characters.
 
 Nulls are empty texts, which have no ids; null ids are kept; repeated rows each give a row; an
 empty table gives an empty result. Only the id and text columns are read.
@@ -28,8 +29,9 @@ import pyarrow as pa
 import sentencepiece
 from pyspark.sql import DataFrame
 
+from .id_table import IdTable, flat_ids
 from .shared import batch_of, id_text, slices
-from .token_counts import MARK, PRE_TOKEN, BoundedTable, check_cuts
+from .token_counts import MARK, PRE_TOKEN, check_cuts
 
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6  # fixed values of the file format
 UNIGRAM, BPE = 1, 2
@@ -144,47 +146,54 @@ def build_backend(model: PieceModel):
     return tok
 
 
-def piece_encoder(backend, reference: sentencepiece.SentencePieceProcessor):
-    """Function: list of pre-tokens -> (ids as bytes, parity with the reference) of each."""
+OFF_PARITY, NO_ROUND_TRIP = 1, 2
+TABLE_PIECES = 500_000
 
-    def make(keys: list[str]) -> list[tuple[bytes, bool]]:
-        ours = [e.ids for e in backend.encode_batch(keys, add_special_tokens=False)]
-        marked = [k[0] in (" ", MARK) for k in keys]
-        own = reference.encode([k[1:] if m else "\n" + k for k, m in zip(keys, marked)], num_threads=1)
-        lone = reference.piece_to_id(MARK)
-        out = []
-        for mine, theirs, m in zip(ours, own, marked):
-            theirs = (theirs or [lone]) if m else theirs[2:]
-            out.append((np.array(theirs, dtype="<u4").tobytes(), mine == theirs))
-        return out
 
-    return make
+class PieceIds(IdTable):
+    """Pre-token -> ids of the reference, flagged where the backend's ids differ from them or
+    where the backend does not decode them to the pre-token."""
 
+    def __init__(self, backend, reference: sentencepiece.SentencePieceProcessor, rows: int = TABLE_PIECES):
+        super().__init__(rows)
+        self.backend, self.reference = backend, reference
+        self.encode = getattr(backend, "encode_batch_fast", backend.encode_batch)
+        self.lone = [reference.piece_to_id(MARK)]
 
-_WORKERS: dict[int, tuple] = {}
+    def made(self, new: list[str]):
+        marked = [k[0] in (" ", MARK) for k in new]
+        ours = [e.ids for e in self.encode(new, add_special_tokens=False)]
+        own = self.reference.encode([k[1:] if m else "\n" + k for k, m in zip(new, marked)], num_threads=1)
+        theirs = [(x or self.lone) if m else x[2:] for x, m in zip(own, marked)]
+        # The decoder drops a leading space, so an unmarked pre-token stands behind a lone mark.
+        back = self.backend.decode_batch(
+            [x if m else self.lone + x for x, m in zip(theirs, marked)], skip_special_tokens=False
+        )
+        flags = [
+            OFF_PARITY * (a != b) + NO_ROUND_TRIP * (text != (k[1:] if m else k).replace(MARK, " "))
+            for a, b, text, k, m in zip(ours, theirs, back, new, marked)
+        ]
+        return flat_ids(theirs), np.array([len(x) for x in theirs], dtype=np.int64), np.array(flags, dtype=np.int8)
+
+
+_WORKERS: dict[int, PieceIds] = {}
 
 
-def worker(key: int, proto: bytes, threads: int):
-    """Backend, reference and pre-token table of this worker process, built once."""
+def worker(key: int, proto: bytes, threads: int) -> PieceIds:
+    """The pre-token table of this worker process, with backend and reference, built once."""
     if key not in _WORKERS:
         os.environ["TOKENIZERS_PARALLELISM"] = "true" if threads > 1 else "false"
         os.environ["RAYON_NUM_THREADS"] = str(threads)
         reference = sentencepiece.SentencePieceProcessor(model_proto=proto)
-        backend = build_backend(parse_model(proto))
-        _WORKERS[key] = (backend, reference, BoundedTable(piece_encoder(backend, reference), 200_000))
+        _WORKERS[key] = PieceIds(build_backend(parse_model(proto)), reference)
     return _WORKERS[key]
 
 
-def encode_texts(texts: list[str], table: BoundedTable) -> tuple[list[bytes], list[int]]:
-    """Ids of each text as little-endian 32-bit bytes, and its count of pre-tokens off parity."""
-    cut = [PRE_TOKEN.findall(" " + t) if t else [] for t in texts]
-    table.learn({k for tokens in cut for k in tokens})
-    ids, off = [], []
-    for tokens in cut:
-        found = [table[k] for k in tokens]
-        ids.append(b"".join([x[0] for x in found]))
-        off.append(sum(not x[1] for x in found))
-    return ids, off
+def encode_texts(texts: list[str], table: PieceIds):
+    """(ids of all texts end to end, number of ids, of pre-tokens off parity and of pre-tokens
+    that do not come back, of each text)."""
+    ids, count, (off, lost) = table.encoded([PRE_TOKEN.findall(" " + t) if t else [] for t in texts])
+    return ids, count, off, lost
 
 
 def piece_codec(
@@ -213,17 +222,17 @@ def piece_codec(
     ] + [("ids", pa.list_(pa.int32()))] * with_ids
 
     def run(batches):
-        backend, _, table = worker(key, shipped.value, threads)
+        table = worker(key, shipped.value, threads)
         schema = pa.schema(fields)
         for part in slices(batches, 4 << 20):
             texts = [t or "" for t in part.column(1).to_pylist()]
-            raw, off = encode_texts(texts, table)
-            arrays = [np.frombuffer(x, dtype="<u4") for x in raw]
-            back = backend.decode_batch([a.tolist() for a in arrays], skip_special_tokens=False)
-            same = [b == t.replace(MARK, " ") for b, t in zip(back, texts)]
-            columns = [part.column(0), [len(a) for a in arrays], [zlib.crc32(x) for x in raw], off, same]
+            ids, count, off, lost = encode_texts(texts, table)
+            cut = np.concatenate([[0], np.cumsum(count)])
+            raw, at = ids.astype("<u4").tobytes(), cut.tolist()
+            crc = [zlib.crc32(raw[4 * a : 4 * b]) for a, b in zip(at[:-1], at[1:])]
+            columns = [part.column(0), count, crc, off, lost == 0]
             if with_ids:
-                columns.append([a.astype(np.int32) for a in arrays])
+                columns.append(pa.ListArray.from_arrays(pa.array(cut.astype(np.int32)), pa.array(ids.astype(np.int32))))
             yield batch_of(schema, *columns)
 
     out = "doc_id long, n_tokens long, ids_crc32 long, n_off_parity long, round_trip boolean"
