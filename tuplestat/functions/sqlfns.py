@@ -8,13 +8,14 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def _u64(*parts) -> int:
     return int(hashlib.md5("|".join(map(str, parts)).encode()).hexdigest()[:15], 16)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def auc_agg(score: pd.Series, label: pd.Series) -> float:
     """Strict AUC of a group (label 1 against the rest); a group must fit a worker."""
     s, y = score.to_numpy(dtype=float), label.to_numpy() == 1
@@ -24,7 +25,7 @@ def auc_agg(score: pd.Series, label: pd.Series) -> float:
     return float(np.searchsorted(np.sort(s[~y]), s[y], side="left").sum()) / (n * m)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def gini_agg(value: pd.Series) -> float:
     """Mean absolute difference of a group."""
     v = np.sort(value.to_numpy(dtype=float))
@@ -32,7 +33,7 @@ def gini_agg(value: pd.Series) -> float:
     return float((2 * np.arange(1, n + 1) - n - 1) @ v) / (n * (n - 1) / 2) if n > 1 else float("nan")
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def kendall_agg(x: pd.Series, y: pd.Series) -> float:
     """Share of concordant pairs of a group, by merge counting on ranks."""
     a, b = x.to_numpy(dtype=float), y.to_numpy(dtype=float)
@@ -67,7 +68,7 @@ def concordant_pairs(a: np.ndarray, b: np.ndarray) -> int:
     return total
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def vus3_agg(score: pd.Series, label: pd.Series) -> float:
     """Share of rising triples (labels 1, 2, 3) of a group."""
     s, y = score.to_numpy(dtype=float), label.to_numpy()
@@ -79,7 +80,7 @@ def vus3_agg(score: pd.Series, label: pd.Series) -> float:
     return float((below * above).sum()) / (len(a) * len(b) * len(c))
 
 
-@F.udtf(returnType="draw bigint, i bigint, j bigint")
+@F.udtf(returnType=T.StructType([T.StructField(n, T.LongType()) for n in ("draw", "i", "j")]))
 class PairDraws:
     """pair_draws(n, m, batch, seed): row numbers of pairs drawn with replacement."""
 
@@ -88,7 +89,7 @@ class PairDraws:
             yield b, _u64(seed, "pair", 0, b) % n, _u64(seed, "pair", 1, b) % m
 
 
-@F.udtf(returnType="round int, idx bigint, worker int")
+@F.udtf(returnType=T.StructType([T.StructField("round", T.IntegerType()), T.StructField("idx", T.LongType()), T.StructField("worker", T.IntegerType())]))
 class AssignRounds:
     """assign_rounds(n, workers, rounds, seed): a strided deal with a keyed offset per round."""
 
