@@ -9,6 +9,7 @@ import weakref
 
 import numpy as np
 import pyarrow as pa
+from pyspark.errors import PySparkException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -37,15 +38,15 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
     path = f"{shared_dir(spark)}/tuplestat-{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     _STAGED[path] = weakref.ref(spark)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._staged_path = path
+    return out
 
 
 def discard(df: DataFrame) -> None:
     """Delete the files behind a frame made by `staged` that nothing will read again."""
-    spark = df.sparkSession
-    for path in list(_STAGED):
-        if any(path in f for f in df.inputFiles()[:1]):
-            _remove(spark, path)
+    if getattr(df, "_staged_path", None) in _STAGED:
+        _remove(df.sparkSession, df._staged_path)
 
 
 def _remove(spark: SparkSession, path: str) -> None:
@@ -66,6 +67,31 @@ def _sweep() -> None:
             _STAGED.pop(path, None)
 
 
+#: Bits of a summary of needed keys (one megabyte, whatever the data).
+MAP_BITS = 1 << 23
+
+
+def bit_map(keys: DataFrame, slot) -> np.ndarray | None:
+    """Which of MAP_BITS slots the keys fall on, or None when there are too many keys for it."""
+    rows = (
+        keys.select(slot.alias("slot"))
+        .groupBy(F.bitmap_bucket_number("slot").alias("bucket"))
+        .agg(F.bitmap_construct_agg(F.bitmap_bit_position("slot")).alias("bits"), F.count("*").alias("n"))
+        .collect()  # MAP_BITS / 32768 rows of 4 KB
+    )
+    if sum(r.n for r in rows) > MAP_BITS // 8:
+        return None
+    out = np.zeros(MAP_BITS, dtype=bool)
+    for r in rows:
+        bits = np.unpackbits(np.frombuffer(bytes(r.bits), dtype=np.uint8), bitorder="little").astype(bool)
+        if r.bucket == 0:  # slot 0 has a bucket of its own; the others count from 1
+            out[0] |= bits.any()
+        else:
+            lo = (r.bucket - 1) * 32768 + 1
+            out[lo : lo + 32768] |= bits[: MAP_BITS - lo]
+    return out
+
+
 def fresh(columns: list[str], base: str) -> str:
     """A column name that clashes with none of `columns` (case-insensitively, as Spark compares)."""
     taken = {c.lower() for c in columns}
@@ -75,8 +101,23 @@ def fresh(columns: list[str], base: str) -> str:
     return name
 
 
+BATCH_BYTES = 8 << 20
+
+
+def bounded_batches(spark: SparkSession) -> None:
+    """Have Arrow batches end at BATCH_BYTES, besides their bound in rows: rows here may be long
+    texts or sets, and a batch is held by both the JVM and the Python worker. A runtime setting."""
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    try:
+        if int(spark.conf.get(name).lower().removesuffix("b")) > BATCH_BYTES:
+            spark.conf.set(name, str(BATCH_BYTES))
+    except (ValueError, PySparkException):  # a version without it, or a value with a unit
+        return
+
+
 def id_text(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """Only the two columns an operator reads, under fixed names; null texts stay null."""
+    bounded_batches(docs.sparkSession)
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
 
 

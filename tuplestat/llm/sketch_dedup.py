@@ -13,10 +13,11 @@ register agrees in two sketches about as often as the sets' Jaccard similarity.
    that a large group is tried around several hubs.
 4. A pair's similarity is estimated from its registers by maximum likelihood, the set sizes
    being known; what is out of reach is dropped, the rest verified on the full sets.
-5. Components of the links. Buckets whose members are still in different components are looked
-   at again: first around further hubs while that is many pairs, then pair by pair, members
-   outside a bucket's largest component against all members. So no link that a shared bucket
-   offers is lost; a pair at exactly 0.8 shares no bucket with probability 3e-6 (42 bands of 6).
+5. Components of the links. In buckets whose members are still in different components, those
+   outside the bucket's largest component are compared with all its members: in blocks, sketches
+   first, full sets where the estimate allows a link, and only links leave a task. So no link that
+   a shared bucket offers is lost; a pair at exactly 0.8 shares no bucket with probability 3e-6
+   (42 bands of 6). This last comparison is outsiders times members, at some tens of nanoseconds.
 
 Texts without words are linked with nothing; nulls are empty texts; rows with a null id take no
 part and are their own class (null component, kept); rows that repeat an id are one document;
@@ -31,15 +32,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected
-from .shared import _GOLD, batch_of, id_text, mix64, shingle_hashes, slices, staged
+from .shared import _GOLD, MAP_BITS, batch_of, bit_map, discard, id_text, mix64, shingle_hashes, slices, staged
 
 REGISTERS, BAND_ROWS = 256, 6
+OUT_BLOCK, IN_BLOCK = 32, 64
 RATE, BASE, TOP = 20.0, 1.001, 65535  # fixed values: a, b and q + 1 of the sketch
 MARGIN = 0.16  # estimates this far below the threshold (six standard errors) aren't verified
-HUBS = 8
+HUBS = 8  # a power of two
 HOT_HUB = 4096
 
-_MASKS = [int(x) >> 1 for x in mix64(np.arange(1, 65, dtype=np.uint64) * _GOLD)]
+_MASKS = [int(x) >> 1 for x in mix64(np.arange(1, HUBS + 1, dtype=np.uint64) * _GOLD)]
 
 
 # ------------------------------------------------------------------ sketches
@@ -133,7 +135,7 @@ def scan(docs: DataFrame, size: int) -> DataFrame:
     )
 
     def run(batches):
-        for part in slices(batches, 4 << 20):
+        for part in slices(batches, 1 << 20):
             s, offsets = shingle_hashes(part.column(1), size)
             n = np.diff(offsets)
             with np.errstate(over="ignore"):
@@ -166,12 +168,25 @@ def banded(classes: DataFrame) -> DataFrame:
 def full_sets(docs: DataFrame, ids: DataFrame, size: int) -> DataFrame:
     """id, shingles (sorted 64-bit hashes), registers of the documents named in `ids`.
 
-    Texts meet the ids in one equi-join; nothing else of the corpus moves.
+    A bit map of the ids lets a scan pass over the other texts without moving any; the few that
+    pass by chance find no pair later. Too many ids for the map: an equi-join with the texts.
     """
     schema = pa.schema([("id", pa.int64()), ("shingles", pa.binary()), ("registers", pa.binary())])
+    named = bit_map(ids, F.pmod(F.xxhash64("id"), F.lit(MAP_BITS)))
+    if named is None:
+        chosen = docs.join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
+        rows, shipped = chosen.select("doc_id", "text", F.lit(-1).cast("long").alias("slot")), None
+    else:
+        rows = docs.where("doc_id IS NOT NULL").select("doc_id", "text", F.pmod(F.xxhash64("doc_id"), F.lit(MAP_BITS)).alias("slot"))
+        shipped = docs.sparkSession.sparkContext.broadcast(np.packbits(named))
 
     def run(batches):
-        for part in slices(batches, 4 << 20):
+        wanted = np.unpackbits(shipped.value).astype(bool) if shipped is not None else None
+        for part in slices(batches, 1 << 20):
+            if wanted is not None:
+                part = part.filter(pa.array(wanted[part.column(2).to_numpy()]))
+                if not part.num_rows:
+                    continue
             s, offsets = shingle_hashes(part.column(1), size)
             regs = sketch(s, offsets)
             cut = offsets.tolist()
@@ -182,8 +197,47 @@ def full_sets(docs: DataFrame, ids: DataFrame, size: int) -> DataFrame:
                 [r.tobytes() for r in regs],
             )
 
-    named = docs.join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
-    return named.mapInArrow(run, "id long, shingles binary, registers binary")
+    return rows.mapInArrow(run, "id long, shingles binary, registers binary")
+
+
+def blocks(rows: DataFrame, sets: DataFrame, most: int, name: str) -> DataFrame:
+    """grp, <name>: arrays of about `most` (id, shingles, registers) each, dealt by a hash."""
+    chunks = rows.groupBy("grp").agg(F.ceil(F.count("*") / most).cast("int").alias("chunks"))
+    dealt = rows.join(chunks, "grp").select("grp", "id", F.pmod(F.xxhash64("id"), F.col("chunks")).alias("chunk"))
+    member = F.struct("id", "shingles", "registers")
+    return dealt.join(sets, "id").groupBy("grp", "chunk").agg(F.collect_list(member).alias(name)).drop("chunk")
+
+
+def block_links(outside: DataFrame, members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) between rows of `outside` and of `members` (grp, id) of one group."""
+    pairs = blocks(outside, sets, OUT_BLOCK, "out").join(blocks(members, sets, IN_BLOCK, "all"), "grp").select("out", "all")
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+
+    def unpacked(rows):
+        regs = np.frombuffer(b"".join(r["registers"] for r in rows), dtype=np.uint16).reshape(len(rows), -1)
+        return [r["id"] for r in rows], [np.frombuffer(r["shingles"], dtype=np.uint64) for r in rows], regs
+
+    def run(batches):
+        for part in slices(batches):
+            found = set()
+            for row in part.to_pylist():
+                ids, sets_a, regs_a = unpacked(row["out"])
+                others, sets_b, regs_b = unpacked(row["all"])
+                n2 = np.array([len(x) for x in sets_b], dtype=float)
+                for i, x, k in zip(ids, sets_a, regs_a):
+                    fits = (100 * np.minimum(len(x), n2) >= percent * np.maximum(len(x), n2)) & (
+                        (regs_b == k).sum(axis=1) >= (percent / 100 - MARGIN) * len(k)
+                    )
+                    for j in np.flatnonzero(fits):
+                        y = sets_b[j]
+                        if others[j] != i:
+                            common = len(np.intersect1d(x, y, assume_unique=True))
+                            if 100 * common >= percent * (len(x) + len(y) - common):
+                                found.add((min(i, others[j]), max(i, others[j])))
+            a, b = zip(*sorted(found)) if found else ((), ())
+            yield batch_of(schema, list(a), list(b))
+
+    return pairs.mapInArrow(run, "a long, b long").distinct()
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -245,8 +299,8 @@ def near_duplicates(
         .agg(F.min("doc_id").alias("id"), F.first("registers").alias("registers")),
         "classes",
     )
-    bands = staged(banded(classes), "bands")
-    masks = F.array(*[F.lit(x) for x in _MASKS[:HUBS]])
+    bands = banded(classes)
+    masks = F.array(*[F.lit(x) for x in _MASKS])
     mask = F.get(masks, F.col("key").bitwiseAND(F.lit(HUBS - 1)).cast("int"))
     buckets = (
         bands.groupBy("key")
@@ -255,52 +309,28 @@ def near_duplicates(
         .select("key", F.col("least").bitwiseXOR(mask).alias("hub"))
     )
     members = staged(bands.join(buckets, "key"), "members")
-    pairs = staged(
-        members.where("id <> hub").select(*ordered("id", "hub")).distinct(), "pairs"
-    )
+    pairs = staged(members.where("id <> hub").select(*ordered("id", "hub")).distinct(), "pairs")
     sets = staged(full_sets(docs, members.select("id").distinct(), size), "sets")
     links = staged(verified(pairs, sets, percent), "links")
     component = staged(connected(links), "components")
 
-    tried = pairs
-    for extra in range(HUBS, len(_MASKS)):
-        placed = members.join(component, "id", "left").select(
-            "key", "id", F.coalesce("component", "id").alias("component")
-        )
-        parts = placed.groupBy("key", "component").agg(F.count("*").alias("k"))
-        split = staged(
-            parts.groupBy("key")
-            .agg(F.sum("k").alias("n"), F.max_by("component", "k").alias("most"), F.max("k").alias("largest"), F.count("*").alias("c"))
-            .where("c > 1")
-            .drop("c"),
-            "split",
-        )
-        size_of = split.agg(F.sum(F.expr("(n - largest) * n")).alias("cost"), F.sum("n").alias("n")).first()
-        if not size_of.cost:
-            break
-        here = placed.join(split, "key")
-        outside = here.where("component <> most").select("key", F.col("id").alias("x"), F.col("component").alias("cx"))
-        last = size_of.cost <= 16 * size_of.n or extra + 1 == len(_MASKS)
-        if last:
-            inside = here.select("key", "id", "component")
-        else:  # another hub of the largest component for every bucket
-            hub = F.min(F.col("id").bitwiseXOR(F.lit(_MASKS[extra]))).bitwiseXOR(F.lit(_MASKS[extra])).alias("id")
-            inside = here.where("component = most").groupBy("key", "component").agg(hub)
-        fresh_pairs = staged(
-            outside.join(inside, "key")
-            .where("cx <> component")
-            .select(*ordered("x", "id"))
-            .distinct()
-            .join(tried, ["a", "b"], "left_anti"),
-            "pairs",
-        )
-        more = staged(verified(fresh_pairs, sets, percent), "links")
-        if not more.isEmpty():
-            links = links.union(more)
-            component = staged(connected(links), "components")
-        if last:
-            break
-        tried = tried.union(fresh_pairs)
+    placed = members.join(component, "id", "left").select("key", "id", F.coalesce("component", "id").alias("component"))
+    # A bucket of two has no pair but the one around its hub.
+    split = (
+        placed.groupBy("key", "component")
+        .agg(F.count("*").alias("k"))
+        .groupBy("key")
+        .agg(F.sum("k").alias("n"), F.max_by("component", F.struct("k", "component")).alias("grp"), F.count("*").alias("parts"))
+        .where("parts > 1 AND n > 2")
+        .select("key", "grp")
+    )
+    here = staged(placed.join(split, "key").select("grp", "id", (F.col("component") != F.col("grp")).alias("outside")).distinct(), "split")
+    outside = here.where("outside").select("grp", "id")
+    more = staged(block_links(outside, here.select("grp", "id").distinct(), sets, percent), "links")
+    if not more.isEmpty():
+        component = staged(connected(links.union(more)), "components")
+    for done in (members, pairs, sets, here):
+        discard(done)
     smallest = classes.select("f1", "f2", "n", "id").join(component, "id", "left").select(
         "f1", "f2", "n", F.coalesce("component", "id").alias("component_id")
     )
