@@ -19,10 +19,15 @@ ESCAPE = 15
 _STEPS = np.array((0, *COUNTS, 1), dtype=np.int64)
 
 
+_SHORT = np.array([max(1, v.bit_length()) for v in range(1 << 16)], dtype=np.int8)
+
+
 def bit_lengths(values: np.ndarray) -> np.ndarray:
     """Bits of each unsigned value, 1 for zero."""
-    bits = np.ones(len(values), dtype=np.int8)
     top = int(values.max()) if len(values) else 0
+    if top < 1 << 16:
+        return _SHORT[values.astype(np.uint16)]
+    bits = np.ones(len(values), dtype=np.int8)
     for b in range(1, top.bit_length()):
         bits += values >= np.uint64(1 << b)
     return bits
@@ -51,7 +56,7 @@ def encode(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
             break
         choice[fits] = s
     choice[bits > 60] = ESCAPE
-    step = _STEPS[choice].tolist()
+    step = _STEPS.astype(np.uint8)[choice].tobytes()
     chain, at = [], 0
     push = chain.append
     while at < n:

@@ -20,7 +20,7 @@ from __future__ import annotations
 import os
 import re
 import zlib
-from itertools import chain
+from itertools import compress
 
 import numpy as np
 import pyarrow as pa
@@ -28,23 +28,19 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import batch_of, id_text, slices
+from .id_table import IdTable, flat_ids
+from .shared import batch_of, held, id_text, slices
 from .simple8b import pack_block, unpack_block
 
 BLOCKS = "shard int, block int, first long, n_ids long, doc_ids array<long>, payload binary"
 TABLE_CHUNKS = 600_000
 
 
-class ChunkIds(dict):
-    """Chunk -> its number; ids by number in two flat arrays, so that texts become id arrays by
-    lookups and one gather. What is new in a slice is encoded by the library in long joined
-    texts: their ids fall apart into chunks at word-end pieces, as long as a chunk is one run of
-    small letters; any other chunk is encoded by itself. When full, the rarer half leaves.
-    """
+class ChunkIds(IdTable):
+    """Chunks of texts between white space; joined texts fall apart at word-end pieces."""
 
     def __init__(self, tokenizer, rows: int = TABLE_CHUNKS):
-        super().__init__()
-        self.tokenizer, self.rows = tokenizer, rows
+        super().__init__(rows)
         self.encode = getattr(tokenizer, "encode_batch_fast", tokenizer.encode_batch)
         vocab = tokenizer.get_vocab(with_added_tokens=True)
         suffix = getattr(tokenizer.model, "end_of_word_suffix", None)
@@ -53,80 +49,39 @@ class ChunkIds(dict):
             for piece, k in vocab.items():
                 self.ends[k] = piece.endswith(suffix)
         self.joins = bool(suffix)
-        self.forget()
-
-    def forget(self) -> None:
-        self.clear()
-        self.pending: list[str] = []
-        self.first = np.zeros(1, dtype=np.int64)  # where each number's ids begin, and the end
-        self.flat = np.zeros(0, dtype=np.uint32)
-        self.uses = np.zeros(0, dtype=np.int64)
-
-    def __missing__(self, chunk: str) -> int:
-        number = self[chunk] = len(self)
-        self.pending.append(chunk)
-        return number
 
     def lists(self, chunks: list[str]) -> list[list[int]]:
         return [e.ids for e in self.encode(chunks, add_special_tokens=False)]
 
-    def flush(self) -> None:
-        """Encode what is pending and append it, in the order of its numbers."""
-        new, self.pending = self.pending, []
-        if not new:
-            return
+    def made(self, new: list[str]):
+        """Plain chunks (one run of small letters, one mark behind it at most) are encoded in long
+        joined texts, the others one by one."""
         lengths = np.zeros(len(new), dtype=np.int64)
-        plain = np.array([self.joins and SMALL_LETTERS(c) is not None for c in new])
-        words = [c for c, y in zip(new, plain.tolist()) if y]
-        others = [c for c, y in zip(new, plain.tolist()) if not y]
-        joined = [" ".join(words[i : i + 500]) for i in range(0, len(words), 500)]
-        ids = np.array(list(chain.from_iterable(self.lists(joined))), dtype=np.uint32)
-        last = np.flatnonzero(self.ends[ids]) if len(ids) else np.zeros(0, np.int64)
-        if len(last) != len(words):  # a vocabulary that doesn't mark word ends this way
+        runs = np.array([self.joins and (PLAIN(c) is not None) * (2 if c[-1:] in MARKS else 1) for c in new], dtype=np.int64)
+        plain = runs > 0
+        words = list(compress(new, plain.tolist()))
+        others = list(compress(new, (~plain).tolist()))
+        ids = flat_ids(self.lists([" ".join(words[i : i + 500]) for i in range(0, len(words), 500)]))
+        ends = np.flatnonzero(self.ends[ids])
+        upto = np.cumsum(runs[plain])
+        if len(ends) == (upto[-1] if len(upto) else 0):
+            last = ends[upto - 1]
+        else:  # a vocabulary that doesn't mark the ends of runs this way
             lists = self.lists(words)
-            ids = np.array(list(chain.from_iterable(lists)), dtype=np.uint32)
-            last = np.cumsum([len(x) for x in lists], dtype=np.int64) - 1
+            ids, last = flat_ids(lists), np.cumsum([len(x) for x in lists], dtype=np.int64) - 1
         lengths[plain] = np.diff(last, prepend=-1)
         rest = self.lists(others)
         lengths[~plain] = [len(x) for x in rest]
-        first = np.concatenate([[0], np.cumsum(lengths)])
-        flat = np.zeros(int(first[-1]), dtype=np.uint32)
+        flat = np.zeros(int(lengths.sum()), dtype=np.uint32)
         mine = np.repeat(plain, lengths)
-        flat[mine] = ids
-        flat[~mine] = np.array(list(chain.from_iterable(rest)), dtype=np.uint32)
-        self.first = np.concatenate([self.first, self.first[-1] + first[1:]])
-        self.flat = np.concatenate([self.flat, flat])
-        self.uses = np.concatenate([self.uses, np.zeros(len(new), dtype=np.int64)])
-
-    def trim(self) -> None:
-        if len(self) <= self.rows:
-            return
-        keep = np.sort(np.argsort(-self.uses, kind="stable")[: self.rows // 2])
-        chunks = list(self)
-        lengths = np.diff(self.first)[keep]
-        flat = self.flat[spread(self.first[keep], lengths)]
-        names = [chunks[i] for i in keep.tolist()]
-        self.forget()
-        self.update(zip(names, range(len(names))))
-        self.first = np.concatenate([[0], np.cumsum(lengths)])
-        self.flat, self.uses = flat, np.zeros(len(names), dtype=np.int64)
-
-
-#: Runs of small letters that neither the normaliser nor the pre-tokenizer changes or cuts.
-SMALL_LETTERS = re.compile("[a-z\xe0-\xf6\xf8-\xfe]+").fullmatch
-
-
-def spread(first: np.ndarray, lengths: np.ndarray) -> np.ndarray:
-    """The places first, first+1, ... of each run, end to end."""
-    total = int(lengths.sum())
-    out = np.ones(total, dtype=np.int64)
-    some = lengths > 0
-    first, lengths = first[some], lengths[some]
-    if not len(first):
-        return out
-    at = np.concatenate([[0], np.cumsum(lengths)[:-1]])
-    out[at] = np.concatenate([[first[0]], first[1:] - first[:-1] - lengths[:-1] + 1])
-    return np.cumsum(out)
+        flat[mine], flat[~mine] = ids, flat_ids(rest)
+        return flat, lengths, np.zeros(len(new), dtype=np.int8)
+
+
+#: Runs of small letters that neither the normaliser nor the pre-tokenizer changes or cuts, and
+#: marks that are a run of their own behind them.
+MARKS = ".,;:!?"
+PLAIN = re.compile(f"[a-z\xe0-\xf6\xf8-\xfe]+[{MARKS}]?").fullmatch
 
 
 def chunks_of(text: str) -> list[str]:
@@ -142,31 +97,13 @@ def chunks_of(text: str) -> list[str]:
 
 def encode_texts(texts: list[str], table: ChunkIds, end: int | None) -> tuple[np.ndarray, np.ndarray]:
     """(ids of all texts end to end, number of ids of each); `end` goes behind every text."""
-    number = table.__getitem__
-    numbers: list[int] = []
-    count = np.zeros(len(texts), dtype=np.int64)
-    for i, text in enumerate(texts):
-        before = len(numbers)
-        numbers.extend(map(number, chunks_of(text)))
-        count[i] = len(numbers) - before
-    table.flush()
-    at = np.array(numbers, dtype=np.int64)
-    table.uses += np.bincount(at, minlength=len(table.uses))
-    lengths = (table.first[1:] - table.first[:-1])[at]
-    ids = table.flat[spread(table.first[at], lengths)]
-    sums = np.concatenate([[0], np.cumsum(lengths)])
-    stop = np.cumsum(count)
-    per_text = sums[stop] - sums[stop - count]
+    ids, per_text, _ = table.encoded([chunks_of(t) for t in texts])
     if end is not None:
         ids = np.insert(ids, np.cumsum(per_text), np.uint32(end))
         per_text = per_text + 1
-    table.trim()
     return ids, per_text
 
 
-_TABLES: dict[int, ChunkIds] = {}
-
-
 def write_tokens(
     docs: DataFrame,
     path: str,
@@ -185,11 +122,9 @@ def write_tokens(
 
     def run(batches):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        table = _TABLES.get(key)
-        if table is None:
-            from tokenizers import Tokenizer
+        from tokenizers import Tokenizer
 
-            table = _TABLES[key] = ChunkIds(Tokenizer.from_str(shipped.value))
+        table = held(("store", key), lambda: ChunkIds(Tokenizer.from_str(shipped.value)))
         schema = pa.schema(
             [
                 ("shard", pa.int32()),
@@ -201,16 +136,16 @@ def write_tokens(
             ]
         )
         shard, block, first = TaskContext.get().partitionId(), 0, 0
-        held: list[np.ndarray] = []
+        coded: list[np.ndarray] = []
         sizes: list[int] = []
         names: list[int | None] = []
 
         def close():
-            nonlocal block, first, held, sizes, names
-            ids = np.concatenate(held)
+            nonlocal block, first, coded, sizes, names
+            ids = np.concatenate(coded)
             payload = pack_block(np.array(sizes, dtype=np.uint64), ids)
             out = batch_of(schema, [shard], [block], [first], [len(ids)], [names], [payload])
-            block, first, held, sizes, names = block + 1, first + len(ids), [], [], []
+            block, first, coded, sizes, names = block + 1, first + len(ids), [], [], []
             return out
 
         for part in slices(batches, 4 << 20):
@@ -221,11 +156,11 @@ def write_tokens(
                 sizes.append(n)
                 size += n
                 if size >= block_ids:
-                    held.append(ids[at : at + size])
+                    coded.append(ids[at : at + size])
                     at, size = at + size, 0
                     yield close()
             if size:
-                held.append(ids[at : at + size])
+                coded.append(ids[at : at + size])
         if names:
             yield close()
 
