@@ -13,8 +13,10 @@ from dataclasses import dataclass
 from functools import reduce
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 @dataclass(frozen=True)
@@ -55,24 +57,17 @@ class Kernel:
     def from_numpy(cls, function: Callable[..., np.ndarray], degrees: tuple[int, ...], name: str = "numpy") -> "Kernel":
         """From a vectorised function of arrays; runs as an Arrow-batched UDF over pairs."""
 
-        def build(*cols):
-            import pandas as pd
-
-            if len(cols) == 2:
+        def two(a: pd.Series, b: pd.Series) -> pd.Series:
+            return pd.Series(np.asarray(function(a.to_numpy(), b.to_numpy()), dtype=float))
 
-                @F.pandas_udf("double")
-                def run(a: pd.Series, b: pd.Series) -> pd.Series:
-                    return pd.Series(np.asarray(function(a.to_numpy(), b.to_numpy()), dtype=float))
+        def three(a: pd.Series, b: pd.Series, c: pd.Series) -> pd.Series:
+            return pd.Series(np.asarray(function(a.to_numpy(), b.to_numpy(), c.to_numpy()), dtype=float))
 
-            elif len(cols) == 3:
+        if sum(degrees) not in (2, 3):
+            raise ValueError("kernels of two or three rows only")
 
-                @F.pandas_udf("double")
-                def run(a: pd.Series, b: pd.Series, c: pd.Series) -> pd.Series:
-                    return pd.Series(np.asarray(function(a.to_numpy(), b.to_numpy(), c.to_numpy()), dtype=float))
-
-            else:
-                raise ValueError("kernels of two or three rows only")
-            return run(*cols)
+        def build(*cols):
+            return F.pandas_udf(two if len(cols) == 2 else three, T.DoubleType())(*cols)
 
         return cls(name, degrees, build, function)
 
