@@ -6,10 +6,8 @@ landmark opens a paragraph of `words` words. Equal passages of window + words +
 hold the same paragraph wherever they stand. Paragraphs overlap; nothing is skipped.
 
 Each paragraph has a fingerprint and `BANDS` MinHash band keys. Paragraphs of one fingerprint
-are one node. Nodes that share a band key are joined to the bucket's smallest node, and, where
-buckets hold more than two nodes, to a second keyed choice; the pairs are verified by the exact
-Jaccard similarity of their shingle sets, which are recomputed from the texts of one occurrence
-each. Components of verified links are clusters. A cluster that occurs in two documents or more
+are one node. Nodes that share a band key are joined to the bucket's smallest node; the pairs are
+verified by the exact Jaccard similarity of their shingle sets, which a second scan recomputes. Components of verified links are clusters. A cluster that occurs in two documents or more
 is a repeat: its occurrence in the smallest doc_id stays, the others are removals.
 
 BANDS x ROWS is tuned for recall: a pair at 0.8 meets with probability 0.87, and a passage holds
@@ -28,7 +26,20 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected
-from .shared import _GOLD, batch_of, id_text, mix64, slices, staged, text_bytes, word_hashes, word_spans
+from .shared import (
+    _GOLD,
+    MAP_BITS,
+    batch_of,
+    bit_map,
+    discard,
+    id_text,
+    mix64,
+    slices,
+    staged,
+    text_bytes,
+    word_hashes,
+    word_spans,
+)
 
 BANDS, ROWS, SHINGLE = 2, 2, 5
 
@@ -70,12 +81,13 @@ def sliding(x: np.ndarray, width: int, better, back: bool) -> np.ndarray:
 
 
 def landmarks(s: np.ndarray, first: np.ndarray, count: np.ndarray, window: int) -> np.ndarray:
-    """Places whose hash is the least of some `window` places of their row."""
+    """Places whose hash is the least of some `window` consecutive places; windows may hang over
+    either end of a row."""
     top = np.uint64(np.iinfo(np.uint64).max)
     n = len(count)
     row = np.repeat(np.arange(n), count)
-    at = np.arange(len(s)) + row * window  # rows stand apart, so that no window spans two
-    padded = np.full(len(s) + n * window + 1, top, dtype=np.uint64)
+    at = np.arange(len(s)) + (row + 1) * window  # rows stand apart, so that no window spans two
+    padded = np.full(len(s) + (n + 1) * window + 1, top, dtype=np.uint64)
     padded[at] = s
     least = sliding(padded, window, np.minimum, False)
     reach = sliding(least, window, np.maximum, True)
@@ -101,41 +113,45 @@ def paragraphs_at(s: np.ndarray, places: np.ndarray, words: int):
     return grid, f.view(np.int64), keys
 
 
-def paragraphs(docs: DataFrame, words: int, window: int) -> DataFrame:
-    """doc_id, at, print, and band keys k0, k1, ... of every paragraph."""
-    fields = [("doc_id", pa.int64()), ("at", pa.int32()), ("print", pa.int64())]
-    schema = pa.schema(fields + [(f"k{b}", pa.int64()) for b in range(BANDS)])
+def wanted_prints(keys: DataFrame):
+    """The prints' bit map as a broadcast variable (None inside when there are too many)."""
+    named = bit_map(keys, F.col("print").bitwiseAND(F.lit(MAP_BITS - 1)))
+    return keys.sparkSession.sparkContext.broadcast(None if named is None else np.packbits(named))
+
+
+def cut_paragraphs(docs: DataFrame, words: int, window: int, fields: str, shipped=None) -> DataFrame:
+    """A row per paragraph with some of doc_id, at, print, k0, k1, shingles (hashes of 32 bits).
+
+    `shipped` restricts the scan to a bit map's prints; what passes by chance is dropped by the
+    join that follows. `shingles` needs each print once per slice only.
+    """
+    kinds = {"doc_id": "long", "at": "int", "print": "long", "shingles": "array<int>"} | {f"k{b}": "long" for b in range(BANDS)}
+    arrow = {"long": pa.int64(), "int": pa.int32(), "array<int>": pa.list_(pa.int32())}
+    names = fields.split()
+    schema = pa.schema([(n, arrow[kinds[n]]) for n in names])
 
     def run(batches):
-        for part in slices(batches, 4 << 20):
+        wanted = None
+        if shipped is not None and shipped.value is not None:
+            wanted = np.unpackbits(shipped.value).astype(bool)
+        for part in slices(batches, 1 << 20):
             s, first, count = shingle_positions(part.column(1))
             marks = landmarks(s, first, count, window)
             row = np.searchsorted(first, marks, side="right") - 1
             room = marks + words <= first[row + 1]
             marks, row = marks[room], row[room]
-            _, prints, keys = paragraphs_at(s, marks, words)
-            ids = part.column(0).to_numpy(zero_copy_only=False)[row]
-            yield batch_of(schema, ids, (marks - first[row]).astype(np.int32), prints, *keys)
+            grid, prints, keys = paragraphs_at(s, marks, words)
+            keep = np.arange(len(marks)) if wanted is None else np.flatnonzero(wanted[prints & (MAP_BITS - 1)])
+            if "shingles" in names:
+                keep = keep[np.unique(prints[keep], return_index=True)[1]]
+            made = {"print": lambda: prints[keep], "at": lambda: (marks - first[row])[keep].astype(np.int32)}
+            made["doc_id"] = lambda: part.column(0).to_numpy(zero_copy_only=False)[row[keep]]
+            made["shingles"] = lambda: list((grid[keep] & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32))
+            for b in range(BANDS):
+                made[f"k{b}"] = lambda b=b: keys[b][keep]
+            yield batch_of(schema, *[made[n]() for n in names])
 
-    kinds = ", ".join(f"k{b} long" for b in range(BANDS))
-    return docs.where("doc_id IS NOT NULL").mapInArrow(run, f"doc_id long, at int, print long, {kinds}")
-
-
-def shingle_sets(docs: DataFrame, where: DataFrame, words: int) -> DataFrame:
-    """print, shingles (array) of the paragraphs named in `where` (print, doc_id, at)."""
-    wanted = where.groupBy("doc_id").agg(F.collect_list("at").alias("ats"))
-    schema = pa.schema([("print", pa.int64()), ("shingles", pa.list_(pa.int64()))])
-
-    def run(batches):
-        for part in slices(batches, 4 << 20):
-            s, first, count = shingle_positions(part.column(0))
-            places = [
-                first[i] + a for i, ats in enumerate(part.column(1).to_pylist()) for a in ats if a + words <= count[i]
-            ]
-            grid, prints, _ = paragraphs_at(s, np.array(places, dtype=np.int64), words)
-            yield batch_of(schema, prints, list(grid.view(np.int64)))
-
-    return docs.join(wanted, "doc_id").select("text", "ats").mapInArrow(run, "print long, shingles array<bigint>")
+    return docs.where("doc_id IS NOT NULL").mapInArrow(run, ", ".join(f"{n} {kinds[n]}" for n in names))
 
 
 def repeated_passages(
@@ -146,33 +162,33 @@ def repeated_passages(
     id_col: str = "doc_id",
     text_col: str = "text",
 ) -> DataFrame:
-    """doc_id, at, end, component_id, removed: every paragraph that repeats across documents."""
+    """doc_id, at, end, component_id, removed: every paragraph that repeats across documents.
+
+    The texts are scanned three times (nodes, sets to verify, occurrences to report), which costs
+    less than keeping what the first scan sees.
+    """
     docs = id_text(docs, id_col, text_col)
-    cut = staged(paragraphs(docs, words, window), "paragraphs")
-    banded = cut.select("print", F.explode(F.array(*[f"k{b}" for b in range(BANDS)])).alias("key"))
-    # One hub is the bucket's least node, the other its greatest: two stars with map-side parts.
-    buckets = (
-        banded.groupBy("key")
-        .agg(F.min("print").alias("least"), F.max("print").alias("most"))
-        .where("least <> most")
+    keys = [f"k{b}" for b in range(BANDS)]
+    # Copies of a paragraph collapse in the map-side part of this aggregate.
+    nodes = staged(
+        cut_paragraphs(docs, words, window, " ".join(["doc_id", "print", *keys]))
+        .groupBy("print")
+        .agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"), *[F.min(k).alias(k) for k in keys]),
+        "nodes",
     )
-    near = banded.join(buckets, "key").distinct()
+    banded = nodes.select("print", F.explode(F.array(*keys)).alias("key"))
+    buckets = banded.groupBy("key").agg(F.min("print").alias("hub"), F.count("*").alias("n")).where("n > 1").drop("n")
     pairs = staged(
-        near.select("print", F.explode(F.array("least", "most")).alias("hub"))
+        banded.join(buckets, "key")
         .where("print <> hub")
-        .select(F.least("print", "hub").alias("a"), F.greatest("print", "hub").alias("b"))
+        .select(F.col("hub").alias("a"), F.col("print").alias("b"))
         .distinct(),
         "pairs",
     )
     named = pairs.select(F.col("a").alias("print")).union(pairs.select("b")).distinct()
-    where = (
-        cut.select("print", "doc_id", "at")
-        .join(named, "print", "left_semi")
-        .groupBy("print")
-        .agg(F.min(F.struct("doc_id", "at")).alias("x"))
-        .select("print", "x.doc_id", "x.at")
+    sets = staged(
+        cut_paragraphs(docs, words, window, "print shingles", wanted_prints(named)).dropDuplicates(["print"]), "sets"
     )
-    sets = staged(shingle_sets(docs, where, words), "sets").dropDuplicates(["print"])
     both = (
         pairs.join(sets.select(F.col("print").alias("a"), F.array_distinct("shingles").alias("sa")), "a")
         .join(sets.select(F.col("print").alias("b"), F.array_distinct("shingles").alias("sb")), "b")
@@ -180,20 +196,24 @@ def repeated_passages(
         .where(F.expr(f"100 * common >= {int(percent)} * (size(sa) + size(sb) - common)"))
     )
     component = staged(connected(both.select("a", "b")), "components")
+    discard(pairs)
+    discard(sets)
     # Only nodes that occur in two documents or have a link can belong to a repeat.
-    nodes = (
-        cut.groupBy("print")
-        .agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"))
+    placed = (
+        nodes.select("print", "low", "high")
         .join(component.withColumnRenamed("id", "print"), "print", "left")
         .where("low <> high OR component IS NOT NULL")
         .withColumn("component_id", F.coalesce("component", "print"))
     )
-    nodes = staged(nodes.select("print", "component_id", "low", "high"), "nodes")
+    placed = staged(placed.select("print", "component_id", "low", "high"), "placed")
+    discard(nodes)
     repeats = (
-        nodes.groupBy("component_id").agg(F.min("low").alias("keeper"), F.max("high").alias("high")).where("keeper <> high")
+        placed.groupBy("component_id").agg(F.min("low").alias("keeper"), F.max("high").alias("high")).where("keeper <> high")
     )
-    flagged = nodes.select("print", "component_id").join(repeats.select("component_id", "keeper"), "component_id")
-    return cut.select("doc_id", "at", "print").join(flagged, "print").select(
+    flagged = staged(placed.select("print", "component_id").join(repeats.drop("high"), "component_id"), "flagged")
+    discard(placed)
+    found = cut_paragraphs(docs, words, window, "doc_id at print", wanted_prints(flagged.select("print")))
+    return found.join(flagged, "print").select(
         "doc_id",
         F.col("at").cast("long").alias("at"),
         (F.col("at") + words).cast("long").alias("end"),

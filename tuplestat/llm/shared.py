@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import tempfile
 import uuid
 import weakref
@@ -67,8 +69,8 @@ def _sweep() -> None:
             _STAGED.pop(path, None)
 
 
-#: Bits of a summary of needed keys (one megabyte, whatever the data).
-MAP_BITS = 1 << 23
+#: Bits of a summary of needed keys (two megabytes, whatever the data).
+MAP_BITS = 1 << 24
 
 
 def bit_map(keys: DataFrame, slot) -> np.ndarray | None:
@@ -79,7 +81,7 @@ def bit_map(keys: DataFrame, slot) -> np.ndarray | None:
         .agg(F.bitmap_construct_agg(F.bitmap_bit_position("slot")).alias("bits"), F.count("*").alias("n"))
         .collect()  # MAP_BITS / 32768 rows of 4 KB
     )
-    if sum(r.n for r in rows) > MAP_BITS // 8:
+    if sum(r.n for r in rows) > MAP_BITS // 4:
         return None
     out = np.zeros(MAP_BITS, dtype=bool)
     for r in rows:
@@ -135,6 +137,24 @@ def slices(batches, bytes_per_slice: int = 8 << 20):
             at += step
 
 
+_HELD: dict = {}
+
+
+def held(key, make):
+    """`make()`, kept by this worker process until another key is asked for: one operator's
+    tables at a time, since workers live on and their memory adds up."""
+    if key not in _HELD:
+        if _HELD:
+            _HELD.clear()
+            gc.collect()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except (OSError, AttributeError):  # another C library
+                pass
+        _HELD[key] = make()
+    return _HELD[key]
+
+
 def batch_of(schema: pa.Schema, *columns) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays(
         [c if isinstance(c, pa.Array) else pa.array(c, type=f.type) for c, f in zip(columns, schema)], schema=schema
