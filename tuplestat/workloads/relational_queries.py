@@ -125,7 +125,6 @@ def join_outer_workers(spark, d):
 
 
 ORDERS_AGG = "count(*) AS n, CAST(round(sum(o_totalprice) * 100) AS BIGINT) AS cents"
-AGGS = [F.lit(0)]
 
 
 def _aggs():
