@@ -30,7 +30,7 @@ import sentencepiece
 from pyspark.sql import DataFrame
 
 from .id_table import IdTable, flat_ids
-from .shared import batch_of, id_text, slices
+from .shared import batch_of, held, id_text, slices
 from .token_counts import MARK, PRE_TOKEN, check_cuts
 
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6  # fixed values of the file format
@@ -147,7 +147,7 @@ def build_backend(model: PieceModel):
 
 
 OFF_PARITY, NO_ROUND_TRIP = 1, 2
-TABLE_PIECES = 500_000
+TABLE_PIECES = 300_000
 
 
 class PieceIds(IdTable):
@@ -176,17 +176,16 @@ class PieceIds(IdTable):
         return flat_ids(theirs), np.array([len(x) for x in theirs], dtype=np.int64), np.array(flags, dtype=np.int8)
 
 
-_WORKERS: dict[int, PieceIds] = {}
-
-
 def worker(key: int, proto: bytes, threads: int) -> PieceIds:
-    """The pre-token table of this worker process, with backend and reference, built once."""
-    if key not in _WORKERS:
-        os.environ["TOKENIZERS_PARALLELISM"] = "true" if threads > 1 else "false"
-        os.environ["RAYON_NUM_THREADS"] = str(threads)
+    """The pre-token table of this worker process, with backend and reference."""
+    os.environ["TOKENIZERS_PARALLELISM"] = "true" if threads > 1 else "false"
+    os.environ["RAYON_NUM_THREADS"] = str(threads)
+
+    def make():
         reference = sentencepiece.SentencePieceProcessor(model_proto=proto)
-        _WORKERS[key] = PieceIds(build_backend(parse_model(proto)), reference)
-    return _WORKERS[key]
+        return PieceIds(build_backend(parse_model(proto)), reference)
+
+    return held(("pieces", key), make)
 
 
 def encode_texts(texts: list[str], table: PieceIds):
@@ -224,7 +223,7 @@ def piece_codec(
     def run(batches):
         table = worker(key, shipped.value, threads)
         schema = pa.schema(fields)
-        for part in slices(batches, 4 << 20):
+        for part in slices(batches, 2 << 20):
             texts = [t or "" for t in part.column(1).to_pylist()]
             ids, count, off, lost = encode_texts(texts, table)
             cut = np.concatenate([[0], np.cumsum(count)])

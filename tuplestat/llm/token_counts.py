@@ -22,7 +22,7 @@ import pyarrow as pa
 import sentencepiece
 from pyspark.sql import DataFrame
 
-from .shared import batch_of, id_text, slices
+from .shared import batch_of, held, id_text, slices
 
 MARK = "▁"
 PRE_TOKEN = re.compile(f"\n|[ {MARK}]+[^ {MARK}\n]*|[^ {MARK}\n]+")
@@ -81,9 +81,6 @@ def count_texts(texts: list[str], table: BoundedTable) -> list[int]:
     return [sum(map(get, tokens)) for tokens in cut]
 
 
-_TABLES: dict[int, BoundedTable] = {}
-
-
 def token_counts(
     docs: DataFrame, model_path: str, limit: int = 4096, id_col: str = "doc_id", text_col: str = "text"
 ) -> DataFrame:
@@ -97,10 +94,10 @@ def token_counts(
     key = hash(proto)
 
     def run(batches):
-        table = _TABLES.get(key)
-        if table is None:
-            model = sentencepiece.SentencePieceProcessor(model_proto=shipped.value)
-            table = _TABLES[key] = BoundedTable(piece_counter(model))
+        table = held(
+            ("counts", key),
+            lambda: BoundedTable(piece_counter(sentencepiece.SentencePieceProcessor(model_proto=shipped.value))),
+        )
         schema = pa.schema(
             [("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_tokens", pa.int64()), ("over_limit", pa.bool_())]
         )

@@ -1,6 +1,6 @@
 """Toxicity by weak supervision.
 
-Lexicon voters come from words, and pattern voters from word beginnings of three to six letters,
+Lexicon voters come from a short list of insults and from words, and pattern voters from word beginnings of three to six letters,
 that labelled training rows show to be toxic far more often than chance; words are dealt to
 several voters by a hash. Further pattern voters look at the writing (capitals, exclamation
 marks, digits), and clean-voters vote when nothing listed occurs. Each vote is toxic, clean or
@@ -26,6 +26,7 @@ from __future__ import annotations
 
 import re
 import zlib
+from collections import Counter
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -35,40 +36,54 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .linear import fit_logistic, fit_sparse_logistic, sigmoid
-from .shared import batch_of, slices
+from .shared import batch_of, bounded_batches, held, slices
 
 WORD = re.compile(r"[^\W_]+")
 BEGINNINGS = (3, 4, 5, 6)
 SHARDS = 8
-CACHE_WORDS = 400_000
+CACHE_WORDS = 250_000
+
+
+#: A list of common insults, as one voter by itself; languages without a list rely on what
+#: labelled rows show.
+SEEDS = frozenset(
+    "idiot idiots moron morons stupid dumb loser losers pathetic worthless disgusting trash scum clown fool jerk "
+    "ugly imbecile vermin filth".split()
+)
+LISTED = "#listed"
 
 
 def features_of(word: str) -> list[str]:
-    """A word and its proper beginnings (marked by a star)."""
-    return [word] + [word[:k] + "*" for k in BEGINNINGS if len(word) > k]
+    """A word, its proper beginnings (marked by a star), and the mark of the list if it is on it."""
+    return [word] + [word[:k] + "*" for k in BEGINNINGS if len(word) > k] + [LISTED] * (word in SEEDS)
 
 
 def words_of(text: str) -> set[str]:
     return set(WORD.findall(text.lower()))
 
 
-def select_features(word_sets: list[set[str]], y: np.ndarray, most: int = 20_000) -> dict[str, int]:
-    """Features far more frequent in toxic rows: log-odds of two or more at four standard errors."""
-    count: dict[str, list[int]] = {}
-    for words, label in zip(word_sets, y.tolist()):
-        for f in {f for w in words for f in features_of(w)}:
-            c = count.get(f)
-            if c is None:
-                c = count[f] = [0, 0]
-            c[label] += 1
+def select_features(texts: list[str], y: np.ndarray, most: int = 20_000) -> dict[str, int]:
+    """Features far more frequent in toxic rows: log-odds of two or more at four standard errors.
+
+    Toxic rows are counted first and only what occurs in three of them is counted in the others,
+    which keeps the table short.
+    """
+    pos: Counter[str] = Counter()
+    for t, label in zip(texts, y.tolist()):
+        if label:
+            pos.update({f for w in words_of(t) for f in features_of(w)})
+    pos = Counter({f: k for f, k in pos.items() if k >= 3})
+    neg: Counter[str] = Counter()
+    for t, label in zip(texts, y.tolist()):
+        if not label:
+            neg.update({f for w in words_of(t) for f in features_of(w) if f in pos})
     n1, n0 = int(y.sum()), int(len(y) - y.sum())
     ranked = []
-    for f, (neg, pos) in count.items():
-        if pos < 3:
-            continue
-        odds = np.log((pos + 0.5) / (n1 - pos + 0.5)) - np.log((neg + 0.5) / (n0 - neg + 0.5))
-        error = np.sqrt(1 / (pos + 0.5) + 1 / (neg + 0.5))
-        if odds >= 2 and (odds / error >= 4 or (neg == 0 and pos >= 5)):
+    for f, p in pos.items():
+        n = neg[f]
+        odds = np.log((p + 0.5) / (n1 - p + 0.5)) - np.log((n + 0.5) / (n0 - n + 0.5))
+        error = np.sqrt(1 / (p + 0.5) + 1 / (n + 0.5))
+        if odds >= 2 and (odds / error >= 4 or (n == 0 and p >= 5)):
             ranked.append((-odds / error, f))
     ranked.sort()
     return {f: i for i, (_, f) in enumerate(ranked[:most])}
@@ -101,12 +116,13 @@ class Table(dict):
         return found
 
 
-def rows_of(word_sets: list[set[str]], table: Table) -> list[np.ndarray]:
+def rows_of(texts: list[str], table: Table) -> list[np.ndarray]:
+    """Numbers of the listed features that occur in each text."""
     get = table.__getitem__
     out = []
-    for words in word_sets:
+    for text in texts:
         hit = set()
-        for found in map(get, words):
+        for found in map(get, words_of(text)):
             if found:
                 hit.update(found)
         out.append(np.fromiter(hit, dtype=np.int64, count=len(hit)))
@@ -135,16 +151,18 @@ def votes_of(rows: list[np.ndarray], texts: list[str], features: dict[str, int])
     return votes, [*names, "several", "no_word", "no_beginning", "capitals", "exclamations", "digits"]
 
 
-def label_model(votes: np.ndarray, rounds: int = 50) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def label_model(votes: np.ndarray, balance: float = 0.5, rounds: int = 50) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Posterior of toxic for each row, accuracy of each voter's non-abstentions, and the
     discount of each voter's evidence for what it repeats of others. Labels are not used.
 
-    The class share is free; voters start better than chance. Correlations are those of the
-    votes around their class means under the current posterior.
+    The class balance is given; voters start better than chance, and the first posterior has the
+    balance too: the rows with the most votes for toxic are its toxic ones. Correlations are those
+    of the votes around their class means under the current posterior.
     """
     n, k = votes.shape
     hot = np.stack([votes == v for v in (-1, 0, 1)], axis=2).astype(float)
-    p = sigmoid(2.0 * votes.sum(axis=1) / np.sqrt(k))
+    total = votes.sum(axis=1) / np.sqrt(k)
+    p = sigmoid(4.0 * (total - np.quantile(total, 1 - balance)))
     discount = np.ones(k)
     for _ in range(rounds):
         both = np.stack([1 - p, p], axis=1)
@@ -161,7 +179,7 @@ def label_model(votes: np.ndarray, rounds: int = 50) -> tuple[np.ndarray, np.nda
         np.fill_diagonal(corr, 0.0)
         discount = 1.0 / (1.0 + np.clip(corr, 0, 1).sum(axis=1))
         evidence = np.log(table[1]) - np.log(table[0])
-        share = np.clip(mass[1] / n, 0.01, 0.99)
+        share = np.clip(balance, 0.01, 0.99)
         margin = np.log(share / (1 - share)) + (np.einsum("nkv,kv->nk", hot, evidence) * discount).sum(axis=1)
         new = sigmoid(margin)
         if np.abs(new - p).max() < 1e-6:
@@ -182,11 +200,10 @@ def fit(texts: list[str], labels: np.ndarray, prior: float) -> Model:
     y = labels.astype(np.int64)
     if len(y) == 0 or y.min() == y.max():
         return Model(prior=float(prior))
-    word_sets = [words_of(t) for t in texts]
-    features = select_features(word_sets, y)
-    rows = rows_of(word_sets, Table(features))
+    features = select_features(texts, y)
+    rows = rows_of(texts, Table(features))
     votes, names = votes_of(rows, texts, features)
-    posterior, accuracy, discount = label_model(votes)
+    posterior, accuracy, discount = label_model(votes, float(y.mean()))
     weights = fit_sparse_logistic(rows, posterior, len(features))
     weight = np.where(y == 1, prior / y.mean(), (1 - prior) / (1 - y.mean()))
     scale = fit_logistic(margins(rows, weights)[:, None], y.astype(float), weight, l2=1e-5)
@@ -197,7 +214,7 @@ def scores(texts: list[str], model: Model, table: Table) -> np.ndarray:
     if not model.features:
         return np.full(len(texts), model.prior)
     a, b = model.scale
-    return sigmoid(a * margins(rows_of([words_of(t) for t in texts], table), model.weights) + b)
+    return sigmoid(a * margins(rows_of(texts, table), model.weights) + b)
 
 
 # ------------------------------------------------------------------ on Spark
@@ -210,7 +227,7 @@ def held_out_by_crc(id_column: Column, modulus: int = 4, fold: int = 2) -> Colum
 def fit_model(
     docs: DataFrame,
     labels: DataFrame,
-    fit_rows: int = 5000,
+    fit_rows: int = 3000,
     id_col: str = "doc_id",
     text_col: str = "text",
     label_col: str = "toxic",
@@ -236,21 +253,16 @@ def fit_model(
     return fit([r.text or "" for r in sample], np.array([r.y for r in sample], dtype=np.int64), float(share or 0.0))
 
 
-_TABLES: dict[int, Table] = {}
-
-
 def _table(model: Model) -> Table:
     key = hash((len(model.features), model.weights.tobytes()))
-    if key not in _TABLES:
-        _TABLES.clear()
-        _TABLES[key] = Table(model.features)
-    return _TABLES[key]
+    return held(("toxicity", key), lambda: Table(model.features))
 
 
 def toxicity(
     docs: DataFrame, model: Model, threshold: float = 0.3, id_col: str = "doc_id", text_col: str = "text"
 ) -> DataFrame:
     """doc_id, held_out, score, predicted of every row of `docs`."""
+    bounded_batches(docs.sparkSession)
     shipped = docs.sparkSession.sparkContext.broadcast(model)
     schema = pa.schema(
         [("doc_id", pa.int64()), ("held_out", pa.bool_()), ("score", pa.float64()), ("predicted", pa.int32())]
@@ -273,6 +285,7 @@ def toxicity(
 
 def score_column(text: Column, model: Model, spark) -> Column:
     """The score as a column, for filters that keep a table's other columns."""
+    bounded_batches(spark)
     shipped = spark.sparkContext.broadcast(model)
 
     @F.pandas_udf("double")
