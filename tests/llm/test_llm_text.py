@@ -159,7 +159,7 @@ def test_block_entry_and_damage():
     assert len(b) < 2.5 * len(v)
 
 
-ALPHABET = [" ", "  ", "\n", "▁", "a", "b", "=", "==", "the", "é", "é", "\x00", "中", "😀", "<s>", "\t", "\r\n", ".", "1", "a" * 40, " " * 9, "▁▁", "　", "ſ", "Σ", "ς", "İ", "É", "ß", "<|endoftext|>", "'s", "word,", "\x1c"]
+ALPHABET = [" ", "  ", "\n", "▁", "a", "b", "=", "==", "the", "é", "é", "\x00", "中", "😀", "<s>", "\t", "\r\n", ".", "1", "a" * 40, " " * 9, "▁▁", "　", "ſ", "Σ", "ς", "İ", "É", "ß", "<|endoftext|>", "<|EndOfText|>", "<|STARTOFTEXT|>", "'s", "word,", "\x1c"]
 
 
 def random_texts(n, seed=1):
@@ -225,7 +225,7 @@ def test_token_queries(spark, messy):
     texts = [(r.doc_id, r.text or "") for r in messy.collect()]
     counts = sorted((r.doc_id if r.doc_id is not None else -1, r.n_bytes, r.n_tokens, r.over_limit) for r in token_counts.token_counts(messy, SP).collect())
     assert counts == sorted((-1 if i is None else i, len(t.encode()), len(sp.encode(t)), len(sp.encode(t)) > 4096) for i, t in texts)
-    path = f"{registry.shared_dir(spark)}/tokens-test"
+    path = f"{registry.shared_dir(spark)}/tokens-test-{random.random()}"
     token_store.write_tokens(messy, path, WORD, block_ids=500)
     got = sorted((r.start, r.doc_id, r.n_tokens, r.ids_crc32) for r in token_store.read_tokens(spark, path).collect())
     ids = {t: tok.encode(t, add_special_tokens=False).ids + [1] for _, t in texts}

@@ -54,7 +54,7 @@ def encode(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         fits = peak <= WIDTHS[s - 1]  # past the end, a window is filled up with zeros
         if not fits.any():
             break
-        choice[fits] = s
+        np.copyto(choice, s, where=fits, casting="unsafe")
     choice[bits > 60] = ESCAPE
     step = _STEPS.astype(np.uint8)[choice].tobytes()
     chain, at = [], 0

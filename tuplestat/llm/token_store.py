@@ -49,6 +49,8 @@ class ChunkIds(IdTable):
             for piece, k in vocab.items():
                 self.ends[k] = piece.endswith(suffix)
         self.joins = bool(suffix)
+        added = getattr(tokenizer, "get_added_tokens_decoder", dict)()
+        self.special = tuple(t.content.lower() for t in added.values())
 
     def lists(self, chunks: list[str]) -> list[list[int]]:
         return [e.ids for e in self.encode(chunks, add_special_tokens=False)]
@@ -84,12 +86,15 @@ MARKS = ".,;:!?"
 PLAIN = re.compile(f"[a-z\xe0-\xf6\xf8-\xfe]+[{MARKS}]?").fullmatch
 
 
-def chunks_of(text: str) -> list[str]:
+def chunks_of(text: str, special: tuple[str, ...] = ()) -> list[str]:
     """Pieces of a text between spaces and line feeds. Latin-1 texts are lowered first: there,
-    both libraries lower each letter by itself to the same letter."""
+    Python and the library lower each letter by itself to the same letter. A text that then
+    holds a special string stays as it is, since those are matched before lowering."""
     try:
         text.encode("latin-1")
-        text = text.lower()
+        low = text.lower()
+        if not any(s in low for s in special):
+            text = low
     except UnicodeEncodeError:
         pass
     return text.replace("\n", " ").split(" ")
@@ -97,7 +102,7 @@ def chunks_of(text: str) -> list[str]:
 
 def encode_texts(texts: list[str], table: ChunkIds, end: int | None) -> tuple[np.ndarray, np.ndarray]:
     """(ids of all texts end to end, number of ids of each); `end` goes behind every text."""
-    ids, per_text, _ = table.encoded([chunks_of(t) for t in texts])
+    ids, per_text, _ = table.encoded([chunks_of(t, table.special) for t in texts])
     if end is not None:
         ids = np.insert(ids, np.cumsum(per_text), np.uint32(end))
         per_text = per_text + 1
