@@ -3,9 +3,11 @@
 The text view sees shares and shapes of the text itself (distinct words, punctuation, digits,
 capitals, word lengths, repeated lines, ...). The page view sees what surrounds it: source,
 language, declared length, and the layout of its lines. Each view has a logistic classifier.
-In every round, each classifier labels the unlabelled rows it is most sure of, per class in the
-classes' proportion, for the other one to train on; a row has its pseudo-label from one view
-only and is never relabelled. After the last round each view is calibrated on labelled rows
+In every round, each classifier labels the unlabelled rows it is most sure of (by its margin
+calibrated on labelled rows that it did not train on), per class in the classes' proportion, for
+the other one to train on; a row has its pseudo-label from one view
+only and is never relabelled, and a view takes an offer only where it does not raise its loss on
+labelled rows kept out. After the last round each view is calibrated on labelled rows
 (two-parameter scaling), and a logistic combination of the two calibrated margins scores all
 documents.
 
@@ -29,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .linear import fit_logistic, sigmoid
-from .shared import _SPACE, batch_of, slices, text_bytes, word_hashes, word_spans
+from .shared import _SPACE, batch_of, bounded_batches, slices, text_bytes, word_hashes, word_spans
 
 HASHED = 24  # slots for source and for language
 TEXT_VIEW, PAGE_VIEW = 12, 5 + 2 * HASHED
@@ -150,7 +152,8 @@ def cotrain(
     pool: tuple[np.ndarray, np.ndarray],
     rounds: int = 8,
     per_round: float = 0.05,
-    least_sure: float = 0.9,
+    least_sure: float = 0.97,
+    tolerance: float = 1e-3,
 ) -> Model:
     """The exchange on arrays: labelled (text, page, y), pool (text, page). A third of the
     labelled rows stays out of training and serves calibration and combination."""
@@ -166,39 +169,50 @@ def cotrain(
     ut, up = pool
     free = np.ones(len(ut), dtype=bool)
     share = y[train].mean()
-    given = [(np.zeros(0, np.int64), np.zeros(0)) for _ in range(2)]  # for text, for page
+    own, extra = (xt, xp), (ut, up)
+
+    def refit(k: int, rows: np.ndarray, labels: np.ndarray) -> tuple[View, float]:
+        """View k on its labelled rows and what it was given; its loss on the rows kept out."""
+        view = View.fit(
+            np.concatenate([own[k][train], extra[k][rows]]), np.concatenate([y[train], labels]).astype(float)
+        )
+        view.calibrate(own[k][keep], y[keep].astype(float))
+        m = view.calibrated(own[k][keep])
+        return view, float((np.logaddexp(0, m) - y[keep] * m).mean())
+
+    given = [(np.zeros(0, np.int64), np.zeros(0)) for _ in range(2)]
+    views, losses = map(list, zip(*(refit(k, *given[k]) for k in range(2))))
     exchanged = []
-    views: list[View] = []
-    for turn in range(rounds + 1):
-        views = []
-        for own, extra, (rows, labels) in ((xt, ut, given[0]), (xp, up, given[1])):
-            views.append(
-                View.fit(np.concatenate([own[train], extra[rows]]), np.concatenate([y[train], labels]).astype(float))
-            )
-        if turn == rounds or not free.any():
-            break
-        moved = []
-        for k, (view, extra) in enumerate(((views[0], ut), (views[1], up))):
-            p = sigmoid(view.margin(extra))
-            rows, labels = given[1 - k]
-            n = 0
+    for _ in range(rounds):
+        offers = []
+        for k in range(2):  # what view k is sure of goes to the other one
+            p = sigmoid(views[k].calibrated(extra[k]))
+            rows, labels = np.zeros(0, np.int64), np.zeros(0)
             for value, part in ((1, share), (0, 1 - share)):
                 sure = np.where(free, p if value else 1 - p, -1.0)
-                most = max(1, int(per_round * part * len(extra)))
-                best = np.argsort(-sure, kind="stable")[:most]
+                best = np.argsort(-sure, kind="stable")[: max(1, int(per_round * part * len(p)))]
                 best = best[sure[best] >= least_sure]
                 free[best] = False
                 rows, labels = np.concatenate([rows, best]), np.concatenate([labels, np.full(len(best), float(value))])
-                n += len(best)
-            given[1 - k] = rows, labels
-            moved.append(n)
+            offers.append((rows, labels))
+        moved = [0, 0]
+        for k in range(2):
+            rows, labels = offers[1 - k]
+            if not len(rows):
+                continue
+            more = np.concatenate([given[k][0], rows]), np.concatenate([given[k][1], labels])
+            view, loss = refit(k, *more)
+            if loss <= losses[k] + tolerance:  # else this offer taught it noise
+                given[k], views[k], losses[k], moved[1 - k] = more, view, loss, len(rows)
         exchanged.append(tuple(moved))
-        if not sum(moved):
+        if not any(len(rows) for rows, _ in offers):
             break
-    views[0].calibrate(xt[keep], y[keep].astype(float))
-    views[1].calibrate(xp[keep], y[keep].astype(float))
     both = np.stack([views[0].calibrated(xt[keep]), views[1].calibrated(xp[keep])], axis=1)
-    mix = fit_logistic(both, y[keep].astype(float), l2=1e-4)
+    mix = fit_logistic(both, y[keep].astype(float), l2=1e-3)
+    if (mix[:-1] < 0).any():  # a view never counts against what it says
+        mix = np.zeros(3)
+        best = int(losses[1] < losses[0])
+        mix[best] = 1.0
     return Model(views[0], views[1], mix, float(y.mean()), exchanged)
 
 
@@ -206,6 +220,8 @@ def cotrain(
 
 
 def _columns(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    bounded_batches(docs.sparkSession)
+
     def col(name, kind):
         return F.col(name).cast(kind) if name in docs.columns else F.lit(None).cast(kind)
 
@@ -223,7 +239,7 @@ def feature_rows(rows: DataFrame) -> list:
     schema = pa.schema([("doc_id", pa.int64()), ("y", pa.int32()), ("x", pa.list_(pa.float64()))])
 
     def run(batches):
-        for part in slices(batches, 4 << 20):
+        for part in slices(batches, 1 << 20):
             text, page = features(*[part.column(1)], *[part.column(k).to_pylist() for k in (2, 3, 4)])
             yield batch_of(schema, part.column(0), part.column(5), list(np.concatenate([text, page], axis=1)))
 
@@ -270,7 +286,7 @@ def quality(docs: DataFrame, model: Model, threshold: float = 0.5, id_col: str =
 
     def run(batches):
         m = shipped.value
-        for part in slices(batches, 4 << 20):
+        for part in slices(batches, 1 << 20):
             text, page = features(part.column(1), *[part.column(k).to_pylist() for k in (2, 3, 4)])
             s = m.score(text, page)
             views = (sigmoid(m.text.calibrated(text)), sigmoid(m.page.calibrated(page))) if m.text else (s, s)

@@ -29,10 +29,10 @@ from dataclasses import dataclass
 
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import batch_of, id_text, slices
+from .shared import batch_of, bounded_batches, id_text, slices
 
 # The contract's patterns. ASCII letters only, in either case where it says so.
 ASSIGN = re.compile(
@@ -149,7 +149,7 @@ class Scorer:
 
     table: list[dict[str, tuple[int, float]]]
     ends: list[float]
-    floor: float = -14.0
+    floor: float = -9.0
 
     @classmethod
     def of(cls, a: Automaton) -> "Scorer":
@@ -164,8 +164,9 @@ class Scorer:
         state, total = 0, 0.0
         for c in text:
             move = self.table[state].get(symbol(c))
-            if move is None:
-                return self.floor * len(text)
+            if move is None:  # a symbol that this state never saw: pay, and stay
+                total += self.floor
+                continue
             state, gain = move
             total += gain
         return total + self.ends[state]
@@ -209,6 +210,10 @@ def ordinary_strings(seed: int = 12, each: int = 3000) -> list[str]:
             str(rng.randrange(10**15, 10**19)),
             f"{rng.randrange(1990, 2030)}-{rng.randrange(1, 13):02}-{rng.randrange(1, 29):02}T{rng.randrange(24):02}",
             w[0] + str(rng.randrange(10000)),
+            f"{rng.randrange(1990, 2030)}-{rng.randrange(1, 13):02}-{rng.randrange(1, 29):02}T{rng.randrange(24):02}{rng.randrange(60):02}00.{rng.randrange(1000):03}Z",
+            f"/{w[0]}/{w[1]}{rng.randrange(1, 9)}.{rng.randrange(20)}/{w[2]}-{w[3]}",
+            f"{w[0]}{rng.randrange(9)}.{rng.randrange(30)}.{rng.randrange(9)}-{w[1]}.{rng.randrange(20000000, 20300000)}",
+            f"{word(2).upper()}{rng.randrange(10)}{word(4).upper()}{rng.randrange(10)}{word(2).upper()}",
         ]
     return out
 
@@ -300,7 +305,7 @@ def joined(spans: list[tuple[int, int, int]]) -> str:
 
 
 def secret_scan(
-    docs: DataFrame, model: SecretModel | None = None, least: float = 0.35, id_col: str = "doc_id", text_col: str = "text"
+    docs: DataFrame, model: SecretModel | None = None, least: float = 0.6, id_col: str = "doc_id", text_col: str = "text"
 ) -> DataFrame:
     """doc_id, n_assign, n_access, n_hex, n_grammar, base_sha256, spans of every row of `docs`."""
     model = model or fit_model()
@@ -334,9 +339,10 @@ def redacted(text: str, spans: list[tuple[int, int, int]], mark: str) -> str:
     return "".join(out) + text[at:]
 
 
-def redact(text: Column, model: SecretModel | None = None, least: float = 0.35, mark: str = "[secret]") -> Column:
+def redact(text: Column, model: SecretModel | None = None, least: float = 0.6, mark: str = "[secret]") -> Column:
     """`text` with every span replaced by `mark`; overlapping spans become one mark; null stays null."""
     model = model or fit_model()
+    bounded_batches(SparkSession.getActiveSession())
 
     @F.pandas_udf("string")
     def hide(column: pd.Series) -> pd.Series:
