@@ -98,6 +98,9 @@ def test_identities(spark):
     by_round = [E.combine(E.repartitioned_u(s, AUC, 5, 3, 7).where(F.col("round") == t)).first().estimate for t in (1, 2, 3)]
     assert np.mean(by_round) == pytest.approx(fused.estimate)
     assert E.complete_tiled(s, AUC, (3, 2), 1).first().estimate == pytest.approx(whole.estimate)
+    assert E.complete_auc_broadcast(s.repartition(5)).first().total == whole.total
+    with pytest.raises(ValueError):
+        E.complete_auc_broadcast(s, most_rows=3)
 
 
 def test_inverse_permutation_gives_the_same_draws(spark):

@@ -86,6 +86,34 @@ def complete_tiled(samples: DataFrame, kernel: Kernel, grid: tuple[int, int], se
     )
 
 
+def complete_auc_broadcast(samples: DataFrame, most_rows: int = 8_000_000) -> DataFrame:
+    """tuples, total, estimate of the strict AUC when the second sample is small (checked): its
+    sorted scores go to every task, which answers each of its rows by binary search. Nothing is
+    shuffled but one short row per task, whatever the size of the first sample."""
+    import numpy as np
+    import pyarrow as pa
+
+    minority = samples.where("sample = 1").select("score")
+    m = minority.count()
+    if m > most_rows:
+        raise ValueError(f"{m} rows are too many to broadcast; use sorted_forms.auc_counts")
+    z = np.sort(np.array([r.score for r in minority.collect()], dtype=float))
+    shipped = samples.sparkSession.sparkContext.broadcast(z)
+    schema = pa.schema([("tuples", pa.int64()), ("total", pa.float64())])
+
+    def run(batches):
+        below, rows = 0, 0
+        for b in batches:
+            x = b.column(0).to_numpy(zero_copy_only=False)
+            below, rows = below + int(np.searchsorted(shipped.value, x, side="left").sum()), rows + len(x)
+        yield pa.RecordBatch.from_arrays([pa.array([rows * len(shipped.value)]), pa.array([float(below)])], schema=schema)
+
+    parts = samples.where("sample = 0").select("score").mapInArrow(run, "tuples long, total double")
+    return parts.agg(F.sum("tuples").alias("tuples"), F.sum("total").alias("total")).withColumn(
+        "estimate", F.when(F.col("tuples") > 0, F.col("total") / F.col("tuples"))
+    )
+
+
 # ------------------------------------------------------------------ over sampled tuples
 
 

@@ -64,6 +64,12 @@ def u_complete_tiled(spark, d):
     )
 
 
+@query(COMPLETE)
+def u_complete_broadcast(spark, d):
+    """Small second sample: sorted, broadcast, searched; no shuffle of rows."""
+    return _whole(E.complete_auc_broadcast(balances(spark, d)))
+
+
 def _status(spark, d, limit=120):
     o = load(spark, d, "orders").where(F.col("o_orderkey") <= limit)
     cls = F.array_position(F.array(*map(F.lit, "FOP")), F.col("o_orderstatus")).cast("int") - 1

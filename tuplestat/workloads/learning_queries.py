@@ -239,6 +239,26 @@ def learning_curves_quality(spark, d, runs: int = 6, iterations: int = 60):
     return bands(t, ("shuffle_every", "iteration", "metric"))
 
 
+@query()
+def learning_curves_planted(spark, d, runs: int = 6, iterations: int = 60):
+    """The planted rule without hard rows."""
+    t = curves(spark, planted(spark, d, hard=False), runs, iterations, 20, 50, (1, 25, None), 10_000)
+    return bands(t, ("shuffle_every", "iteration", "metric"))
+
+
+@query()
+def learning_curves_null(spark, d, runs: int = 6, iterations: int = 60):
+    """Null control: one label of the embeddings, which nothing predicts; areas stay near a half."""
+    e = load(spark, d, "embeddings")
+    rows = e.select(
+        (F.col("label") == 0).cast("int").alias("cls"),
+        F.lpad(F.col("vec_id").cast("string"), 12, "0").alias("key"),
+        F.transform(F.slice("embedding", 1, 9), lambda x: x.cast("double") * 8).alias("features"),
+    )
+    t = curves(spark, rows, runs, iterations, 5, 20, (1, 25, None))
+    return bands(t, ("shuffle_every", "iteration", "metric"))
+
+
 @query()
 def trace_bands(spark, d):
     """Bands of the running norm over five seeds."""
