@@ -88,6 +88,15 @@ def test_sorted_forms_against_brute_force(spark, seed):
     assert key(Q.auc_by_worker(a)) == key(E.local_estimates(a, AUC, 5, 2).select("round", "worker", "tuples", "total", "value"))
 
 
+def test_ordered_pairs_of_large_blocks():
+    rng = np.random.default_rng(0)
+    for span in (5, 400, 10**6):
+        x, y = np.sort(rng.integers(0, span, 1500)), rng.integers(0, span, 1500)
+        c = rng.integers(1, 4, 1500)
+        want = int(c @ ((x[:, None] < x[None]) & (y[:, None] < y[None])) @ c)
+        assert concordance.ordered_pairs(x, y, c) == want
+
+
 def test_identities(spark):
     rng = np.random.default_rng(5)
     s = frame(spark, rng.normal(size=40), rng.normal(size=20))

@@ -1,7 +1,7 @@
 """Concordant pairs of two columns, exactly and without forming pairs.
 
 Rows are ranked densely in both coordinates, aggregated to distinct points, and cut into blocks
-of the first rank. Pairs in one block are counted by a Fenwick tree in one task per block; pairs
+of the first rank. Pairs in one block are counted by divided searches in one task per block; pairs
 across blocks come from prefix sums over blocks of the second coordinate's counts. Each point
 needs its count of points with smaller rank in earlier blocks, which a merge join of the
 per-block histograms gives; their size is blocks times distinct second values.
@@ -17,29 +17,31 @@ from pyspark.sql import functions as F
 from .sorted_forms import prefix_sums
 
 
+LEAF = 256
+
+
+def ordered_pairs(x: np.ndarray, y: np.ndarray, c: np.ndarray) -> int:
+    """Weighted pairs with both coordinates strictly smaller, x in order: halves are split where x
+    changes and counted across by a search in the left half's sorted y; leaves are compared at once."""
+    n = len(x)
+    if n < 2 or x[0] == x[-1]:
+        return 0
+    if n <= LEAF:
+        less = (x[:, None] < x[None]) & (y[:, None] < y[None])
+        return int(c @ less @ c)
+    cut = int(np.searchsorted(x, x[n // 2], side="left"))
+    if cut == 0:
+        cut = int(np.searchsorted(x, x[n // 2], side="right"))
+    order = np.argsort(y[:cut], kind="stable")
+    weight = np.concatenate([[0], np.cumsum(c[:cut][order])])
+    across = int(c[cut:] @ weight[np.searchsorted(y[:cut][order], y[cut:], side="left")])
+    return across + ordered_pairs(x[:cut], y[:cut], c[:cut]) + ordered_pairs(x[cut:], y[cut:], c[cut:])
+
+
 def below_in_block(frame: pd.DataFrame) -> pd.DataFrame:
     """block, inner: pairs (weighted) with both coordinates smaller, within one block."""
     f = frame.sort_values(["x", "y"])
-    x, c = f["x"].to_numpy(), f["c"].to_numpy()
-    rank = np.unique(f["y"].to_numpy(), return_inverse=True)[1] + 1
-    tree = np.zeros(int(rank.max(initial=0)) + 2, dtype=np.int64)
-    total, i, n = 0, 0, len(x)
-    while i < n:
-        j = i
-        while j < n and x[j] == x[i]:
-            j += 1
-        for k in range(i, j):
-            r, s = rank[k] - 1, 0
-            while r > 0:
-                s += int(tree[r])
-                r -= r & -r
-            total += int(c[k]) * s
-        for k in range(i, j):
-            r = rank[k]
-            while r < len(tree):
-                tree[r] += c[k]
-                r += r & -r
-        i = j
+    total = ordered_pairs(f["x"].to_numpy(), f["y"].to_numpy(), f["c"].to_numpy(dtype=np.int64))
     return pd.DataFrame({"block": [frame["block"].iloc[0]], "inner": [total]})
 
 
