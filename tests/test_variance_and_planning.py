@@ -60,8 +60,6 @@ def test_dominance_at_equal_pairs():
 
 
 def test_components_are_unbiased(spark):
-    from tuplestat.workloads.base import TWO  # noqa: F401
-
     rng = np.random.default_rng(2)
     x, z = rng.normal(size=30), rng.normal(size=12)
     h = (z[None] < x[:, None]).astype(float)

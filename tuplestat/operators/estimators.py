@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from ..functions.keyed import keyed_u64, permute, sample_rows, unpermute
 from .kernels import Kernel
-from .schemes import each_round, hash_rank, seeded
+from .schemes import hash_rank, seeded
 
 
 def _named(df: DataFrame, sample: int, name: str, extra: tuple[str, ...] = ()) -> DataFrame:

@@ -11,7 +11,7 @@ from ..operators import sorted_forms as Q
 from ..plans import montecarlo as MC
 from ..plans import variance as V
 from ..sources.catalog import load
-from .base import ROUNDS, SEED, WORKERS, balances, ku, query, ranked_sql, rounded
+from .base import SEED, WORKERS, balances, query, ranked_sql, rounded
 
 #: Lines as the two-point law: informative pairs are rare. The modulus suits every table size.
 LINES = """s AS (

@@ -9,7 +9,6 @@ from ..functions import scalar
 from ..functions import sqlfns as Q
 from ..functions.keyed import keyed_u64, permute, unpermute
 from ..operators import schemes as S
-from ..operators.samples import number_rows
 from ..sources.catalog import load, stream_table
 from ..streaming import windows as W
 from .base import SEED, TWO, WORKERS, balances, ku, local_rows, query, ranked_sql, rounded

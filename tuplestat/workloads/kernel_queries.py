@@ -8,7 +8,7 @@ from ..operators import estimators as E
 from ..operators import kernels as K
 from ..operators import metrics as M
 from ..operators import sorted_forms as Q
-from ..operators.samples import number_rows, sizes
+from ..operators.samples import sizes
 from ..sources.catalog import load
 from .base import NUMBERED, SEED, TWO, balances, ku, numbered_balances, query, rounded
 
@@ -181,8 +181,6 @@ def kernel_user_sql(spark, d):
 def _returns(spark, d):
     """Price of returned against accepted lines: independent, so the area is near a half."""
     return load(spark, d, "lineitem").where("l_returnflag IN ('R', 'A')").select(
-        F.col("l_extendedprice").alias("score"), (F.col("l_returnflag") == "R").alias("y"), "l_shipmode", "l_linestatus", "l_orderkey"
-    ) if "l_shipmode" in load(spark, d, "lineitem").columns else load(spark, d, "lineitem").where("l_returnflag IN ('R', 'A')").select(
         F.col("l_extendedprice").alias("score"), (F.col("l_returnflag") == "R").alias("y"), "l_linestatus", "l_orderkey"
     )
 

@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.keyed import keyed_u64, sample_fraction, sample_rows
+from ..functions.keyed import sample_fraction, sample_rows
 from ..operators import estimators as E
 from ..operators import kernels as K
 from ..operators import relops as R
