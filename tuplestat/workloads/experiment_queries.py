@@ -8,6 +8,7 @@ from ..operators import estimators as E
 from ..operators import kernels as K
 from ..operators import schemes as S
 from ..operators import sorted_forms as Q
+from ..operators.samples import number_rows, sizes
 from ..plans import montecarlo as MC
 from ..plans import variance as V
 from ..sources.catalog import load
@@ -45,6 +46,40 @@ def w2_hard_lines(spark, d):
     return r.select("round", "worker", "tuples", F.col("total").cast("long").alias("wins"), F.round("value", 9).alias("value"))
 
 
+PRICES = """s AS (
+  SELECT CASE l_returnflag WHEN 'R' THEN 0 ELSE 1 END AS sample,
+         concat_ws('|', l_orderkey, l_linenumber, l_partkey, l_suppkey, CAST(round(l_extendedprice * 100) AS BIGINT)) AS key, l_extendedprice AS score
+  FROM lineitem WHERE l_returnflag IN ('R', 'A')
+)"""
+
+
+def priced_lines(spark, d):
+    """Price of returned (first) and accepted lines."""
+    key = F.concat_ws("|", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", F.round(F.col("l_extendedprice") * 100).cast("long"))
+    li = load(spark, d, "lineitem").where("l_returnflag IN ('R', 'A')")
+    return li.select((F.col("l_returnflag") != "R").cast("int").alias("sample"), key.alias("key"), F.col("l_extendedprice").alias("score"))
+
+
+@query(
+    f"""WITH {PRICES}, {ranked_sql('s', 100, 4)}, c AS (SELECT round, worker, score, count(*) FILTER (sample = 0) AS pos, count(*) FILTER (sample = 1) AS neg FROM w GROUP BY 1, 2, 3),
+b AS (SELECT *, coalesce(sum(neg) OVER (PARTITION BY round, worker ORDER BY score ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS below FROM c)
+SELECT CAST(round AS INTEGER) AS round, CAST(worker AS INTEGER) AS worker, CAST(sum(pos) * sum(neg) AS BIGINT) AS tuples, CAST(sum(pos * below) AS BIGINT) AS wins,
+round(sum(pos * below) / (CAST(sum(pos) AS DOUBLE) * sum(neg)), 9) AS value FROM b GROUP BY 1, 2"""
+)
+def lines_repartitioned(spark, d):
+    """A hundred workers, four rounds, all lines, without pairs."""
+    r = Q.auc_by_worker(S.hash_rank(priced_lines(spark, d), 100, 4, SEED))
+    return r.select("round", "worker", "tuples", F.col("total").cast("long").alias("wins"), F.round("value", 9).alias("value"))
+
+
+@query()
+def lines_drawn(spark, d):
+    """A hundred workers, sixteen rounds, a hundred drawn pairs each, by inverse permutation."""
+    s = number_rows(priced_lines(spark, d))
+    local = E.local_incomplete_by_inverse(s, K.auc(), 100, 16, 100, SEED, sizes(s))
+    return E.combine(local)
+
+
 @query()
 def w2_lines_relative_variance(spark, d, runs: int = 300):
     """Shuffles of one keyed draw of 5,000 and 50 lines: excess variance falls as 1/T."""
