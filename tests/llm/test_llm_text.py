@@ -6,6 +6,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import public_tokenizers
 import sentencepiece
@@ -172,7 +173,7 @@ def test_chunks_give_the_librarys_ids():
     table = token_store.ChunkIds(tok, 300)
     for i in range(0, 4000, 200):
         texts = random_texts(200, i)
-        ids, n = token_store.encode_texts(texts, table, 1)
+        ids, n = token_store.encode_texts(pa.array(texts, pa.string()), table, 1)
         want = [e.ids + [1] for e in tok.encode_batch(texts, add_special_tokens=False)]
         assert n.tolist() == [len(w) for w in want] and ids.tolist() == sum(want, [])
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 from itertools import chain
 
 import numpy as np
+import pyarrow as pa
 
 
 def flat_ids(lists: list) -> np.ndarray:
@@ -78,8 +79,21 @@ class IdTable(dict):
         """(ids of all texts end to end, number of ids of each text, per flag bit the number of
         strings of each text that have it), from texts cut into strings."""
         stop = np.cumsum([len(x) for x in texts], dtype=np.int64)
-        at = np.fromiter(map(self.__getitem__, chain.from_iterable(texts)), dtype=np.int64, count=int(stop[-1]) if len(stop) else 0)
+        n = int(stop[-1]) if len(stop) else 0
+        at = np.fromiter(map(self.__getitem__, chain.from_iterable(texts)), dtype=np.int64, count=n)
         self.flush()
+        return self.gathered(at, stop)
+
+    def encoded_column(self, texts: pa.ListArray) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
+        """The same from a column of string lists: Arrow finds a slice's distinct strings, and only
+        those become Python strings."""
+        coded = texts.flatten().dictionary_encode()
+        own = coded.dictionary.to_pylist()
+        numbers = np.fromiter(map(self.__getitem__, own), dtype=np.int64, count=len(own))
+        self.flush()
+        return self.gathered(numbers[coded.indices.to_numpy()], np.cumsum(texts.value_lengths().to_numpy(), dtype=np.int64))
+
+    def gathered(self, at: np.ndarray, stop: np.ndarray) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
         self.uses += np.bincount(at, minlength=len(self.uses))
         lengths = np.diff(self.first)[at]
         ids = self.flat[spread(self.first[at], lengths)]

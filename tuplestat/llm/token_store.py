@@ -24,16 +24,17 @@ from itertools import compress
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .id_table import IdTable, flat_ids
-from .shared import batch_of, held, id_text, slices
+from .shared import batch_of, held, id_text, slices, text_bytes
 from .simple8b import pack_block, unpack_block
 
 BLOCKS = "shard int, block int, first long, n_ids long, doc_ids array<long>, payload binary"
-TABLE_CHUNKS = 600_000
+TABLE_CHUNKS = 1_000_000
 
 
 class ChunkIds(IdTable):
@@ -86,23 +87,26 @@ MARKS = ".,;:!?"
 PLAIN = re.compile(f"[a-z\xe0-\xf6\xf8-\xfe]+[{MARKS}]?").fullmatch
 
 
-def chunks_of(text: str, special: tuple[str, ...] = ()) -> list[str]:
-    """Pieces of a text between spaces and line feeds. Latin-1 texts are lowered first: there,
-    Python and the library lower each letter by itself to the same letter. A text that then
-    holds a special string stays as it is, since those are matched before lowering."""
-    try:
-        text.encode("latin-1")
-        low = text.lower()
-        if not any(s in low for s in special):
-            text = low
-    except UnicodeEncodeError:
-        pass
-    return text.replace("\n", " ").split(" ")
+def chunks_of(texts: pa.Array, special: tuple[str, ...] = ()) -> pa.ListArray:
+    """Pieces of each text between spaces and line feeds; nulls are empty texts.
+
+    A-Z is lowered first in rows of Latin-1 characters (no UTF-8 byte from 0xC4 on), where the
+    normaliser lowers each letter by itself to the same letter. A row that then holds a special
+    string stays as it is, since those are matched before lowering.
+    """
+    texts = texts.fill_null("")
+    raw, offsets = text_bytes(texts)
+    wide = np.concatenate([[0], np.cumsum(raw >= 0xC4, dtype=np.int64)])
+    low = pc.ascii_lower(texts)
+    lower = pa.array(wide[offsets[1:]] == wide[offsets[:-1]])
+    for s in special:
+        lower = pc.and_not(lower, pc.match_substring(low, s))
+    return pc.split_pattern(pc.replace_substring(pc.if_else(lower, low, texts), "\n", " "), " ")
 
 
-def encode_texts(texts: list[str], table: ChunkIds, end: int | None) -> tuple[np.ndarray, np.ndarray]:
+def encode_texts(texts: pa.Array, table: ChunkIds, end: int | None) -> tuple[np.ndarray, np.ndarray]:
     """(ids of all texts end to end, number of ids of each); `end` goes behind every text."""
-    ids, per_text, _ = table.encoded([chunks_of(t, table.special) for t in texts])
+    ids, per_text, _ = table.encoded_column(chunks_of(texts, table.special))
     if end is not None:
         ids = np.insert(ids, np.cumsum(per_text), np.uint32(end))
         per_text = per_text + 1
@@ -153,8 +157,8 @@ def write_tokens(
             block, first, coded, sizes, names = block + 1, first + len(ids), [], [], []
             return out
 
-        for part in slices(batches, 4 << 20):
-            ids, lengths = encode_texts([t or "" for t in part.column(1).to_pylist()], table, end_id)
+        for part in slices(batches, 8 << 20):
+            ids, lengths = encode_texts(part.column(1), table, end_id)
             at = size = 0
             for name, n in zip(part.column(0).to_pylist(), lengths.tolist()):
                 names.append(name)
