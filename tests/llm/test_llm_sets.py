@@ -154,6 +154,31 @@ def test_paragraph_pairs_are_verified_exactly(spark):
             assert any(100 * len(a & b) >= 80 * len(a | b) for j, b in enumerate(sets) if j != k)
 
 
+def test_links_are_those_of_all_pairs(spark):
+    """A shared start with varying tails makes mixed buckets; two of the tails are nearly equal."""
+    rng = random.Random(8)
+    texts = []
+    for _ in range(12):
+        start, tail = [rng.choice(WORDS) for _ in range(12)], [rng.choice(WORDS) for _ in range(40)]
+        texts += [start + [rng.choice(WORDS) for _ in range(40)] for _ in range(10)]
+        texts += [start + tail, start + tail[:7] + [rng.choice(WORDS)] + tail[8:], start[1:] + tail]
+    loop = [rng.choice(WORDS) for _ in range(7)]  # repeated shingles make sets of unequal sizes
+    texts += [[rng.choice(WORDS) for _ in range(k)] + loop * 2 + [rng.choice(WORDS) for _ in range(9)] for k in range(9)]
+    d = docs(spark, [" ".join(t) for t in texts])
+    cut = passage_dedup.cut_paragraphs(d, 20, 3, "print shingles").dropDuplicates(["print"]).collect()
+    sets = sorted((r["print"], frozenset(r.shingles)) for r in cut)
+    want, near, sizes = {p: p for p, _ in sets}, 0, {len(x) for _, x in sets}
+    for i, (p, x) in enumerate(sets):
+        for q, y in sets[i + 1 :]:
+            if 100 * len(x & y) >= 80 * len(x | y):
+                near += 1
+                old, new = max(want[p], want[q]), min(want[p], want[q])
+                want = {k: new if v == old else v for k, v in want.items()}
+    assert near > 50 and len(sizes) > 1
+    got = components.connected(passage_dedup.near_links(d, 20, 3, 80)).collect()
+    assert {r.id: r.component for r in got} == {p: c for p, c in want.items() if list(want.values()).count(c) > 1}
+
+
 def test_landmarks_are_dense_and_local():
     rng = np.random.default_rng(0)
     s = rng.integers(0, 2**63, 500, dtype=np.uint64)

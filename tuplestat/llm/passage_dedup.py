@@ -1,17 +1,26 @@
-"""Repeated passages inside documents: paragraph MinHash banding, verification, components.
+"""Repeated passages inside documents: candidate paragraphs, exact links, components.
 
 Shared passages do not respect line ends, so paragraphs are cut by content: the hash of every
 five-word shingle is a landmark where it is least within `window` consecutive shingles, and each
 landmark opens a paragraph of `words` words. Equal passages of window + words + 4 words or more
 hold the same paragraph wherever they stand. Paragraphs overlap; nothing is skipped.
 
-Each paragraph has a fingerprint and `BANDS` MinHash band keys. Paragraphs of one fingerprint
-are one node. Nodes that share a band key are joined to the bucket's smallest node; the pairs are
-verified by the exact Jaccard similarity of their shingle sets, which a second scan recomputes. Components of verified links are clusters. A cluster that occurs in two documents or more
-is a repeat: its occurrence in the smallest doc_id stays, the others are removals.
+Each paragraph has a fingerprint; paragraphs of one fingerprint are one node. Two nodes are linked
+where the Jaccard similarity of their shingle sets reaches `percent`, and every such pair counts,
+whatever else is in its buckets:
 
-BANDS x ROWS is tuned for recall: a pair at 0.8 meets with probability 0.87, and a passage holds
-several paragraphs; equal paragraphs always meet.
+1. Sets that similar differ in few shingles (three at most for 16 at 80 %). Shingles are dealt over
+   one part more than that by their hash, so two such sets agree on a whole part. Nodes that share
+   a part are candidates. (A part that both have empty says nothing; sets that leave a part empty
+   are dealt a second time. A pair is missed where both deals fail, with probability under 2e-5.)
+2. Candidates of sizes a and b are linked when they share ceil(p (a + b) / (100 + p)) shingles, so
+   every subset of that number is a key, named by a and b. Members of a bucket of equal sizes are all
+   linked with each other; in a bucket of two sizes, each with all of the other size. A star
+   around the bucket's smallest node therefore has the components of all its links, and only
+   shares of subsets are compared, never pairs. Keys grow fast with `words` above about 30.
+
+Components of the links are clusters. A cluster that occurs in two documents or more is a repeat:
+its occurrence in the smallest doc_id stays, the others are removals.
 
 Null, short and empty texts have no paragraphs; rows with a null id take no part; rows that
 repeat an id are one document; an empty table gives an empty result. Only the id and text
@@ -20,9 +29,11 @@ columns are read. Positions are word numbers from 0, ends exclusive.
 
 from __future__ import annotations
 
+from itertools import combinations
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .components import connected
@@ -41,7 +52,7 @@ from .shared import (
     word_spans,
 )
 
-BANDS, ROWS, SHINGLE = 2, 2, 5
+SHINGLE = 5
 
 
 def shingle_positions(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -95,22 +106,81 @@ def landmarks(s: np.ndarray, first: np.ndarray, count: np.ndarray, window: int)
 
 
 def paragraphs_at(s: np.ndarray, places: np.ndarray, words: int):
-    """(shingle hashes, fingerprint, band keys) of the paragraphs that open at `places`."""
+    """(shingle hashes of 32 bits, fingerprint) of the paragraphs that open at `places`."""
     width = words - SHINGLE + 1
     grid = s[places[:, None] + np.arange(width)] if len(places) else np.zeros((0, width), np.uint64)
     with np.errstate(over="ignore"):
         f = np.full(len(places), _GOLD, dtype=np.uint64)
         for k in sorted({*range(0, width, SHINGLE), width - 1}):
             f = mix64(f * np.uint64(0xFF51AFD7ED558CCD) + grid[:, k])
-        keys = []
-        for b in range(BANDS):
-            key = np.full(len(places), np.uint64(b + 1) * _GOLD, dtype=np.uint64)
-            for r in range(ROWS):
-                seed = mix64(np.array([(b * ROWS + r + 1) * 7919], dtype=np.uint64))
-                least = mix64(grid ^ seed).min(axis=1) if len(places) else np.zeros(0, np.uint64)
-                key = mix64(key * np.uint64(0xFF51AFD7ED558CCD) + least)
-            keys.append(key.view(np.int64))
-    return grid, f.view(np.int64), keys
+    return grid & np.uint64(0xFFFFFFFF), f.view(np.int64)
+
+
+def shared_least(a: int, b: int, percent: int) -> int:
+    """Shingles that sets of sizes a and b have in common at the threshold."""
+    return -(-percent * (a + b) // (100 + percent))
+
+
+def most_apart(width: int, percent: int) -> int:
+    """The largest symmetric difference of two linked sets of up to `width` shingles."""
+    return max(n - 2 * shared_least(n, 0, percent) for n in range(2, 2 * width + 1))
+
+
+def distinct_in(grid: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows sorted, and where a value stands for the first time."""
+    x = np.sort(grid, axis=1)
+    new = np.ones(x.shape, dtype=bool)
+    new[:, 1:] = x[:, 1:] != x[:, :-1]
+    return x, new
+
+
+def part_keys(grid: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row, key, size of the row's set): a key for every part of a set that isn't empty."""
+    x, new = distinct_in(grid)
+    parts = most_apart(grid.shape[1], percent) + 1
+    rows, keys = [], []
+    again = np.ones(len(x), dtype=bool)
+    for deal in range(2):
+        with np.errstate(over="ignore"):
+            h = mix64(x + np.uint64(deal + 1) * _GOLD)
+            part = (h >> np.uint64(32)) % np.uint64(parts)
+            filled = np.zeros(len(x), dtype=np.int64)
+            for p in range(parts):
+                mine = new & (part == p)
+                here = mine.any(axis=1)
+                filled += here
+                total = np.where(mine, h, np.uint64(0)).sum(axis=1, dtype=np.uint64)
+                at = np.flatnonzero(here & again)
+                rows.append(at)
+                keys.append(mix64(total[at] + np.uint64(deal * parts + p + 1) * _GOLD))
+        again = filled < parts
+    row = np.concatenate(rows)
+    return row, np.concatenate(keys).view(np.int64), new.sum(axis=1)[row]
+
+
+def subset_keys(grid: np.ndarray, mixed: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row, key, side) of the subsets that name links; side 0: between sets of one size, 1 and 2:
+    the smaller and the larger of two sizes, for rows in `mixed` only."""
+    x, new = distinct_in(grid)
+    size = new.sum(axis=1)
+    rows, keys, sides = [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)], [np.zeros(0, np.int32)]
+    for a in np.unique(size).tolist():
+        at = np.flatnonzero(size == a)
+        h = mix64(x[at][new[at]].reshape(len(at), a))
+        for b in range(1, grid.shape[1] + 1):
+            least = shared_least(a, b, percent)
+            if least > min(a, b):
+                continue
+            who = np.arange(len(at)) if a == b else np.flatnonzero(mixed[at])
+            cut = np.array(list(combinations(range(a), a - least)), dtype=np.int64)
+            with np.errstate(over="ignore"):
+                total = h[who].sum(axis=1, dtype=np.uint64)
+                lost = h[who][:, cut].sum(axis=2, dtype=np.uint64)
+                key = mix64(total[:, None] - lost + np.uint64(min(a, b) * 1000 + max(a, b)) * _GOLD)
+            rows.append(np.repeat(at[who], len(cut)))
+            keys.append(key.reshape(-1))
+            sides.append(np.full(key.size, 0 if a == b else 1 if a < b else 2, dtype=np.int32))
+    return np.concatenate(rows), np.concatenate(keys).view(np.int64), np.concatenate(sides)
 
 
 def wanted_prints(keys: DataFrame):
@@ -119,13 +189,14 @@ def wanted_prints(keys: DataFrame):
     return keys.sparkSession.sparkContext.broadcast(None if named is None else np.packbits(named))
 
 
-def cut_paragraphs(docs: DataFrame, words: int, window: int, fields: str, shipped=None) -> DataFrame:
-    """A row per paragraph with some of doc_id, at, print, k0, k1, shingles (hashes of 32 bits).
+def cut_paragraphs(docs: DataFrame, words: int, window: int, fields: str, shipped=None, percent: int = 80) -> DataFrame:
+    """A row per paragraph with some of doc_id, at, print, shingles (hashes of 32 bits), or a row
+    per part of its set with print, key, size.
 
     `shipped` restricts the scan to a bit map's prints; what passes by chance is dropped by the
-    join that follows. `shingles` needs each print once per slice only.
+    join that follows. `shingles` and `key` need each print once per slice only.
     """
-    kinds = {"doc_id": "long", "at": "int", "print": "long", "shingles": "array<int>"} | {f"k{b}": "long" for b in range(BANDS)}
+    kinds = {"doc_id": "long", "at": "int", "print": "long", "shingles": "array<int>", "key": "long", "size": "int"}
     arrow = {"long": pa.int64(), "int": pa.int32(), "array<int>": pa.list_(pa.int32())}
     names = fields.split()
     schema = pa.schema([(n, arrow[kinds[n]]) for n in names])
@@ -140,20 +211,57 @@ def cut_paragraphs(docs: DataFrame, words: int, window: int, fields: str, shippe
             row = np.searchsorted(first, marks, side="right") - 1
             room = marks + words <= first[row + 1]
             marks, row = marks[room], row[room]
-            grid, prints, keys = paragraphs_at(s, marks, words)
+            grid, prints = paragraphs_at(s, marks, words)
             keep = np.arange(len(marks)) if wanted is None else np.flatnonzero(wanted[prints & (MAP_BITS - 1)])
-            if "shingles" in names:
+            if "shingles" in names or "key" in names:
                 keep = keep[np.unique(prints[keep], return_index=True)[1]]
-            made = {"print": lambda: prints[keep], "at": lambda: (marks - first[row])[keep].astype(np.int32)}
+            made = {}
+            if "key" in names:
+                of, keys, size = part_keys(grid[keep], percent)
+                keep = keep[of]
+                made = {"key": lambda: keys, "size": lambda: size.astype(np.int32)}
+            made |= {"print": lambda: prints[keep], "at": lambda: (marks - first[row])[keep].astype(np.int32)}
             made["doc_id"] = lambda: part.column(0).to_numpy(zero_copy_only=False)[row[keep]]
-            made["shingles"] = lambda: list((grid[keep] & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32))
-            for b in range(BANDS):
-                made[f"k{b}"] = lambda b=b: keys[b][keep]
+            made["shingles"] = lambda: list(grid[keep].astype(np.uint32).view(np.int32))
             yield batch_of(schema, *[made[n]() for n in names])
 
     return docs.where("doc_id IS NOT NULL").mapInArrow(run, ", ".join(f"{n} {kinds[n]}" for n in names))
 
 
+def subset_rows(sets: DataFrame, percent: int) -> DataFrame:
+    """print, key, side of every row (print, mixed, shingles)."""
+    schema = pa.schema([("print", pa.int64()), ("key", pa.int64()), ("side", pa.int32())])
+
+    def run(batches):
+        for part in slices(batches, 1 << 17):
+            lists = part.column(2)
+            grid = lists.flatten().to_numpy(zero_copy_only=False).view(np.uint32).astype(np.uint64).reshape(len(lists), -1)
+            row, key, side = subset_keys(grid, part.column(1).to_numpy(zero_copy_only=False), percent)
+            yield batch_of(schema, part.column(0).to_numpy()[row], key, side)
+
+    return sets.select("print", "mixed", "shingles").mapInArrow(run, "print long, key long, side int")
+
+
+def near_links(docs: DataFrame, words: int, window: int, percent: int) -> DataFrame:
+    """Links (a, b) of prints whose components are those of all pairs at the threshold."""
+    bucket = Window.partitionBy("key")
+    ends = lambda c: (F.min(c).over(bucket), F.max(c).over(bucket))
+    (low, high), (small, large) = ends("print"), ends("size")
+    met = cut_paragraphs(docs, words, window, "print key size", percent=percent).select(
+        "print", (low != high).alias("met"), (small != large).alias("mixed")
+    )
+    candidates = staged(met.where("met").groupBy("print").agg(F.max("mixed").alias("mixed")), "candidates")
+    found = cut_paragraphs(docs, words, window, "print shingles", wanted_prints(candidates)).dropDuplicates(["print"])
+    (low, high), (small, large) = ends("print"), ends("side")
+    starred = subset_rows(found.join(candidates, "print"), percent).select(
+        "print", low.alias("hub"), small.alias("small"), large.alias("large")
+    )
+    links = starred.where("print <> hub AND (large = 0 OR small <> large)").select(F.col("hub").alias("a"), F.col("print").alias("b"))
+    links = staged(links.distinct(), "links")
+    discard(candidates)
+    return links
+
+
 def repeated_passages(
     docs: DataFrame,
     words: int = 20,
@@ -164,49 +272,24 @@ def repeated_passages(
 ) -> DataFrame:
     """doc_id, at, end, component_id, removed: every paragraph that repeats across documents.
 
-    The texts are scanned three times (nodes, sets to verify, occurrences to report), which costs
-    less than keeping what the first scan sees.
+    The texts are scanned four times (candidates, their sets, documents of each paragraph,
+    occurrences to report), which costs less than keeping what the first scan sees.
     """
     docs = id_text(docs, id_col, text_col)
-    keys = [f"k{b}" for b in range(BANDS)]
-    # Copies of a paragraph collapse in the map-side part of this aggregate.
-    nodes = staged(
-        cut_paragraphs(docs, words, window, " ".join(["doc_id", "print", *keys]))
-        .groupBy("print")
-        .agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"), *[F.min(k).alias(k) for k in keys]),
-        "nodes",
-    )
-    banded = nodes.select("print", F.explode(F.array(*keys)).alias("key"))
-    buckets = banded.groupBy("key").agg(F.min("print").alias("hub"), F.count("*").alias("n")).where("n > 1").drop("n")
-    pairs = staged(
-        banded.join(buckets, "key")
-        .where("print <> hub")
-        .select(F.col("hub").alias("a"), F.col("print").alias("b"))
-        .distinct(),
-        "pairs",
-    )
-    named = pairs.select(F.col("a").alias("print")).union(pairs.select("b")).distinct()
-    sets = staged(
-        cut_paragraphs(docs, words, window, "print shingles", wanted_prints(named)).dropDuplicates(["print"]), "sets"
-    )
-    both = (
-        pairs.join(sets.select(F.col("print").alias("a"), F.array_distinct("shingles").alias("sa")), "a")
-        .join(sets.select(F.col("print").alias("b"), F.array_distinct("shingles").alias("sb")), "b")
-        .withColumn("common", F.size(F.array_intersect("sa", "sb")))
-        .where(F.expr(f"100 * common >= {int(percent)} * (size(sa) + size(sb) - common)"))
-    )
-    component = staged(connected(both.select("a", "b")), "components")
-    discard(pairs)
-    discard(sets)
-    # Only nodes that occur in two documents or have a link can belong to a repeat.
+    links = near_links(docs, words, window, percent)
+    component = staged(connected(links), "components")
+    discard(links)
+    # Copies of a paragraph collapse in the map-side part of this aggregate. Only nodes that occur
+    # in two documents or have a link can belong to a repeat.
     placed = (
-        nodes.select("print", "low", "high")
+        cut_paragraphs(docs, words, window, "doc_id print")
+        .groupBy("print")
+        .agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"))
         .join(component.withColumnRenamed("id", "print"), "print", "left")
         .where("low <> high OR component IS NOT NULL")
         .withColumn("component_id", F.coalesce("component", "print"))
     )
     placed = staged(placed.select("print", "component_id", "low", "high"), "placed")
-    discard(nodes)
     repeats = (
         placed.groupBy("component_id").agg(F.min("low").alias("keeper"), F.max("high").alias("high")).where("keeper <> high")
     )
