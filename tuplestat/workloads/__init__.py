@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES = ("estimator_queries", "kernel_queries", "variance_queries", "learning_queries", "relational_queries", "function_queries", "experiment_queries")
+MODULES = ("estimator_queries", "kernel_queries", "variance_queries", "learning_queries", "relational_queries", "function_queries", "experiment_queries", "whole_queries")
 
 
 def _loaded():
