@@ -154,6 +154,24 @@ def test_paragraph_pairs_are_verified_exactly(spark):
             assert any(100 * len(a & b) >= 80 * len(a | b) for j, b in enumerate(sets) if j != k)
 
 
+def test_removals_cover_the_whole_passage(spark):
+    rng = random.Random(11)
+    say = lambda k: [rng.choice(WORDS) for _ in range(k)]
+    texts, places = [], []
+    for length in [50, 56, 60, 90, 200] * 6:
+        p = say(length)
+        for copy in range(3):
+            head = say(rng.randrange(80))
+            texts.append(" ".join(head + p + say(rng.randrange(80))))
+            places.append((len(head), len(head) + length, copy))
+    found = passage_dedup.repeated_passages(docs(spark, texts))
+    spans = {r.doc_id: [(s.at, s.end) for s in r.spans] for r in passage_dedup.removal_spans(found).collect()}
+    for i, (at, end, copy) in enumerate(places):
+        inside = sum(min(b, end) - max(a, at) for a, b in spans.get(i, []) if min(b, end) > max(a, at))
+        outside = sum(b - a for a, b in spans.get(i, [])) - inside
+        assert (inside, outside <= 1) == ((end - at if copy else 0), True)
+
+
 def test_links_are_those_of_all_pairs(spark):
     """A shared start with varying tails makes mixed buckets; two of the tails are nearly equal."""
     rng = random.Random(8)

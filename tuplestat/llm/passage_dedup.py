@@ -3,7 +3,9 @@
 Shared passages do not respect line ends, so paragraphs are cut by content: the hash of every
 five-word shingle is a landmark where it is least within `window` consecutive shingles, and each
 landmark opens a paragraph of `words` words. Equal passages of window + words + 4 words or more
-hold the same paragraph wherever they stand. Paragraphs overlap; nothing is skipped.
+hold the same paragraph wherever they stand. Paragraphs overlap or leave up to window - words words
+between them, and up to window - 1 words of a passage lie before its first and behind its last.
+Those are found by growth: see `grown`.
 
 Each paragraph has a fingerprint; paragraphs of one fingerprint are one node. Two nodes are linked
 where the Jaccard similarity of their shingle sets reaches `percent`, and every such pair counts,
@@ -55,9 +57,9 @@ from .shared import (
 SHINGLE = 5
 
 
-def shingle_positions(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def shingle_positions(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Hash of the five-word shingle at every word of every row, laid end to end with the row's
-    first place; words too near the end of their row have the largest hash."""
+    first place; words too near the end of their row have the largest hash. And the words' hashes."""
     raw, offsets = text_bytes(column)
     n = len(offsets) - 1
     starts, ends, row = word_spans(raw, offsets)
@@ -73,7 +75,7 @@ def shingle_positions(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndar
                 x = mix64(x * np.uint64(0xFF51AFD7ED558CCD) + h[k : k + m])
         whole = row[:m] == row[SHINGLE - 1 : SHINGLE - 1 + m]
         s[:m][whole] = np.minimum(x[whole], np.uint64(np.iinfo(np.uint64).max - 1))
-    return s, first, count
+    return s, first, count, h
 
 
 def sliding(x: np.ndarray, width: int, better, back: bool) -> np.ndarray:
@@ -206,7 +208,7 @@ def cut_paragraphs(docs: DataFrame, words: int, window: int, fields: str, shippe
         if shipped is not None and shipped.value is not None:
             wanted = np.unpackbits(shipped.value).astype(bool)
         for part in slices(batches, 1 << 20):
-            s, first, count = shingle_positions(part.column(1))
+            s, first, count, _ = shingle_positions(part.column(1))
             marks = landmarks(s, first, count, window)
             row = np.searchsorted(first, marks, side="right") - 1
             room = marks + words <= first[row + 1]
@@ -270,10 +272,11 @@ def repeated_passages(
     id_col: str = "doc_id",
     text_col: str = "text",
 ) -> DataFrame:
-    """doc_id, at, end, component_id, removed: every paragraph that repeats across documents.
+    """doc_id, at, end, component_id, removed, grown_at, grown_end: every paragraph that repeats
+    across documents, and for those to remove the words around that repeat with it.
 
-    The texts are scanned four times (candidates, their sets, documents of each paragraph,
-    occurrences to report), which costs less than keeping what the first scan sees.
+    The texts are scanned five times (candidates, their sets, documents of each paragraph,
+    occurrences to report, words around them), which costs less than keeping what the first scan sees.
     """
     docs = id_text(docs, id_col, text_col)
     links = near_links(docs, words, window, percent)
@@ -296,18 +299,106 @@ def repeated_passages(
     flagged = staged(placed.select("print", "component_id").join(repeats.drop("high"), "component_id"), "flagged")
     discard(placed)
     found = cut_paragraphs(docs, words, window, "doc_id at print", wanted_prints(flagged.select("print")))
-    return found.join(flagged, "print").select(
+    found = staged(found.join(flagged, "print").select("doc_id", "at", "print", "component_id", "keeper"), "occurrences")
+    more = grown(docs, found, words, window)
+    return found.join(more, ["doc_id", "at", "print"], "left").select(
         "doc_id",
         F.col("at").cast("long").alias("at"),
         (F.col("at") + words).cast("long").alias("end"),
         "component_id",
         (F.col("doc_id") != F.col("keeper")).alias("removed"),
+        (F.col("at") - F.coalesce("before", F.lit(0))).cast("long").alias("grown_at"),
+        (F.col("at") + words + F.coalesce("behind", F.lit(0))).cast("long").alias("grown_end"),
     )
 
 
+def surroundings(docs: DataFrame, words: int, window: int, shipped) -> DataFrame:
+    """doc_id, at, print, side, near: hashes of the up to `window` words before (side 0, nearest
+    first) or behind (side 1) the paragraphs on the bit map's slots (see `slot`)."""
+    schema = pa.schema([("doc_id", pa.int64()), ("at", pa.int32()), ("print", pa.int64()), ("side", pa.int32()), ("near", pa.binary())])
+
+    def run(batches):
+        wanted = None if shipped.value is None else np.unpackbits(shipped.value).astype(bool)
+        for part in slices(batches, 1 << 20):
+            s, first, count, h = shingle_positions(part.column(1))
+            marks = landmarks(s, first, count, window)
+            row = np.searchsorted(first, marks, side="right") - 1
+            room = marks + words <= first[row + 1]
+            marks, row = marks[room], row[room]
+            _, prints = paragraphs_at(s, marks, words)
+            ids, at = part.column(0).to_numpy(zero_copy_only=False)[row], marks - first[row]
+            for side in (0, 1):
+                slots = (prints ^ (at << 3) ^ (ids << 7) ^ side) & (MAP_BITS - 1)
+                keep = np.arange(len(marks)) if wanted is None else np.flatnonzero(wanted[slots])
+                begin = marks[keep] - 1 if side == 0 else marks[keep] + words
+                room = np.minimum(window, marks[keep] - first[row[keep]] if side == 0 else first[row[keep] + 1] - begin)
+                place = begin[:, None] + np.arange(window) * (2 * side - 1)
+                near = h[np.clip(place, 0, max(len(h) - 1, 0))].astype(np.uint32) if len(keep) else np.zeros((0, window), np.uint32)
+                cut = [x.tobytes()[: 4 * k] for x, k in zip(near, room.tolist())]
+                yield batch_of(schema, ids[keep], at[keep].astype(np.int32), prints[keep], np.full(len(keep), side, np.int32), cut)
+
+    return docs.where("doc_id IS NOT NULL").mapInArrow(run, "doc_id long, at int, print long, side int, near binary")
+
+
+def slot():
+    """The bit of (doc_id, at, print, side)."""
+    mixed = F.col("print").bitwiseXOR(F.shiftleft(F.col("at").cast("long"), 3)).bitwiseXOR(F.shiftleft("doc_id", 7))
+    return mixed.bitwiseXOR(F.col("side").cast("long")).bitwiseAND(F.lit(MAP_BITS - 1))
+
+
+def common_words(pairs: DataFrame) -> DataFrame:
+    """doc_id, at, print, side, n: leading words that near and model have in common."""
+    schema = pa.schema([("doc_id", pa.int64()), ("at", pa.int32()), ("print", pa.int64()), ("side", pa.int32()), ("n", pa.int32())])
+
+    def run(batches):
+        for part in slices(batches):
+            n = []
+            for x, y in zip(part.column(4).to_pylist(), part.column(5).to_pylist()):
+                k = min(len(x), len(y or b"")) // 4
+                differ = np.frombuffer(x, np.uint32, k) != np.frombuffer(y or b"", np.uint32, k)
+                n.append(int(differ.argmax()) if differ.any() else k)
+            yield batch_of(schema, *[part.column(c) for c in range(4)], n)
+
+    return pairs.select("doc_id", "at", "print", "side", "near", "model").mapInArrow(run, "doc_id long, at int, print long, side int, n int")
+
+
+def grown(docs: DataFrame, found: DataFrame, words: int, window: int) -> DataFrame:
+    """doc_id, at, print, before, behind: how many words around a removal repeat with it.
+
+    A removal's model is the first occurrence of its print or, where no smaller document holds it,
+    its cluster's first occurrence. Removals with models in one document, at one
+    distance from them, that touch or overlap make a run; the first and last of a run are compared with their models word by word, outward to the
+    first difference. A passage that a run's model shares has no more than `window` words beyond it
+    (each `window` places open a paragraph), so all of an equal passage of window + words + 4
+    words or more is covered. Hashes of words have 32 bits.
+    """
+    where = F.struct("doc_id", "at", "print")
+    models = found.groupBy("print").agg(F.min(where).alias("m"))
+    first = found.groupBy("component_id").agg(F.min(where).alias("c"))
+    gone = found.where("doc_id <> keeper").join(models, "print").join(first, "component_id")
+    gone = gone.withColumn("model", F.when(F.col("m.doc_id") < F.col("doc_id"), F.col("m")).otherwise(F.col("c")))
+    run = Window.partitionBy("doc_id", "model.doc_id", F.col("at") - F.col("model.at")).orderBy("at")
+    opens = F.coalesce(F.lag("at").over(run) + words < F.col("at"), F.lit(True))
+    ends = F.coalesce(F.lead("at").over(run) > F.col("at") + words, F.lit(True))
+    sides = F.array_compact(F.array(F.when(opens, F.lit(0)), F.when(ends, F.lit(1))))
+    edges = gone.select("doc_id", "at", "print", "model", sides.alias("sides"))
+    edges = staged(edges.select("doc_id", "at", "print", "model", F.explode("sides").alias("side")), "edges")
+    asked = edges.withColumn("own", F.lit(0)).union(
+        edges.select("model.doc_id", "model.at", "model.print", "model", "side", F.lit(1)).distinct()
+    )
+    named = bit_map(asked, slot())
+    shipped = docs.sparkSession.sparkContext.broadcast(None if named is None else np.packbits(named))
+    seen = surroundings(docs, words, window, shipped).join(asked, ["doc_id", "at", "print", "side"])
+    group = Window.partitionBy("model", "side").orderBy(F.desc("own"), "near").rowsBetween(Window.unboundedPreceding, 0)
+    both = seen.withColumn("model", F.first(F.when(F.col("own") == 1, F.col("near"))).over(group)).where("own = 0")
+    least = lambda k: F.min(F.when(F.col("side") == k, F.col("n")))
+    return common_words(both).groupBy("doc_id", "at", "print").agg(least(0).alias("before"), least(1).alias("behind"))
+
+
 def removal_spans(found: DataFrame) -> DataFrame:
-    """doc_id, spans (array of at, end; merged, in order) of the words to remove."""
-    ordered = F.array_sort(F.collect_set(F.struct("at", "end")))
+    """doc_id, spans (array of at, end; merged, in order) of the words to remove, grown to all that
+    repeats around the paragraphs."""
+    ordered = F.array_sort(F.collect_set(F.struct(F.col("grown_at").alias("at"), F.col("grown_end").alias("end"))))
     empty = F.array().cast("array<struct<at:bigint,end:bigint>>")
 
     def join(done, x):
