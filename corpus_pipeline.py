@@ -16,6 +16,7 @@ from tuplestat import workers_find_us
 from tuplestat.llm import decontaminate, piece_codec, secret_grammar, sketch_dedup, weak_toxicity
 from tuplestat.llm.registry import tokenizer_file
 from tuplestat.llm.shared import fresh, shared_dir
+from tuplestat.operators.samples import number_rows
 
 ORACLE_SQL = None  # a learnt score decides the first stage
 
@@ -36,11 +37,25 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near-duplicates (five-word shingles, 0.8): the smallest id.
-    Of rows that repeat an id, one stays for each text."""
-    found = sketch_dedup.near_duplicates(docs, size=5, percent=80)
+    Of rows that repeat an id, each text is a document of its own, and one row stays for each text.
+    Rows with a null id all stay."""
+    again = docs.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1")
+    if again.isEmpty():
+        return _without_copies(docs, "doc_id")
+    # Rows are numbered by id and text, in the order of ids; only tables with repeated ids pay for it.
+    row, text = (fresh(docs.columns, c) for c in ("row_id", "text_key"))
+    hashed = docs.withColumn(text, F.coalesce(F.sha2("text", 256), F.lit("")))
+    named = hashed.where("doc_id IS NOT NULL")
+    keys = named.select(F.lit(0).alias("sample"), F.struct("doc_id", text).alias("key")).distinct()
+    numbers = number_rows(keys).select("key.*", F.col("idx").alias(row))
+    kept = _without_copies(named.join(numbers, ["doc_id", text]).dropDuplicates([row]), row)
+    return kept.select(*docs.columns).union(docs.where("doc_id IS NULL"))
+
+
+def _without_copies(docs: DataFrame, id_col: str) -> DataFrame:
+    found = sketch_dedup.near_duplicates(docs, size=5, percent=80, id_col=id_col)
     gone = found.where(~F.col("kept")).select(F.col("doc_id").alias("gone_id")).distinct()
-    kept = docs.join(gone, docs["doc_id"] == gone["gone_id"], "left_anti")
-    return kept
+    return docs.join(gone, docs[id_col] == gone["gone_id"], "left_anti")
 
 
 def drop_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -298,3 +298,15 @@ def test_pipeline_on_odd_rows(spark):
     for _, stage in P.STAGES:
         empty = stage(spark, empty, sf)
     assert empty.count() == 0
+
+
+def test_pipeline_tells_texts_of_one_id_apart(spark):
+    import corpus_pipeline as P
+
+    a, b, c = "one text " * 3 + "here", "another text that two ids hold in full", "a third text that only this id holds"
+    rows = [(1, a), (1, a), (2, b), (3, b), (3, c), (4, None), (4, ""), (4, None), (None, a), (None, a), (5, "alone"), (2, b)]
+    d = spark.createDataFrame(rows, "doc_id long, text string").withColumn("row_id", F.lit(7))
+    out = P.drop_near_duplicates(spark, d, "")
+    assert out.columns == d.columns
+    want = [(1, a), (2, b), (3, c), (4, None), (4, ""), (5, "alone"), (None, a), (None, a)]
+    assert sorted(((r.doc_id, r.text) for r in out.collect()), key=repr) == sorted(want, key=repr)
