@@ -91,3 +91,25 @@ def test_within_workers(spark):
         a, b, c = map(np.array, (a, b, c))
         wins = ((a[None] < b[:, None]).sum(axis=1) * (b[:, None] < c[None]).sum(axis=1)).sum()
         assert got[k] == (len(a) * len(b) * len(c), wins)
+
+
+def test_learning_curves_use_every_row(spark, monkeypatch):
+    from tuplestat.workloads import learning_queries as W
+
+    seen = {}
+
+    def simulate(spark, x, z, test_x, test_z, runs, iterations, workers, batch, *rest, **more):
+        seen["rows"], seen["width"], seen["plan"] = sum(map(len, (x, z, test_x, test_z))), x.shape[1], (runs, workers, batch)
+        return spark.createDataFrame([], "run int, shuffle_every int, iteration int, metric string, value double")
+
+    monkeypatch.setattr(W.L, "simulate", simulate)
+    sf = SF.replace("sf0.001", "sf0.01")
+    lines = spark.read.parquet(f"{sf}/lineitem.parquet").count()
+    for name in ("learning_curves", "learning_curves_planted"):
+        entry.queries()[name](spark, sf)
+        assert seen["rows"] == lines > 10_000
+    entry.queries()["learning_curves_replica"](spark, sf)
+    assert seen["rows"] == 49_000 and seen["plan"] == (100, 100, 100)
+    entry.queries()["learning_curves_quality"](spark, sf)
+    labels = spark.read.parquet(f"{sf}/labels.parquet").where("quality IN (0, 1)").count()
+    assert (seen["rows"], seen["width"]) == (labels, 9)

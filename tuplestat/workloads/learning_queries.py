@@ -217,32 +217,51 @@ def planted(spark, d, hard: bool = True, share: float = 0.07):
     return df.select((F.col("rule") > cut).cast("int").alias("cls"), "key", F.array(*[F.col(f"f{k}") * factor for k in range(9)]).alias("features"))
 
 
-def curves(spark, rows, runs: int, iterations: int, workers: int, batch: int, every: tuple, limit: int = 49_000):
-    """Learning curves on a keyed subset of `limit` rows (the experiment's size), a fifth held out."""
-    sub = rows.orderBy(keyed_u64(SEED, "subset", F.col("key")), "key").limit(limit)
-    data = L.stratified_holdout(sub, 0.2, SEED).collect()
-    pick = lambda c, h: np.array([r.features for r in data if r.cls == c and r.held_out == h])
+def curves(spark, rows, runs: int, iterations: int, workers: int, batch: int, every: tuple, limit: int | None = None):
+    """Learning curves on all rows, or on a keyed subset of `limit`, a fifth held out. The runs
+    share one copy of the rows; more than 256 MB of them are an error, not a sample."""
+    sub = rows if limit is None else rows.orderBy(keyed_u64(SEED, "subset", F.col("key")), "key").limit(limit)
+    data = L.stratified_holdout(sub, 0.2, SEED).orderBy("key").select("cls", "held_out", "features").toArrow()
+    features = data.column("features").combine_chunks()
+    features = features.flatten().to_numpy().reshape(len(features), -1)
+    cls, held = data.column("cls").to_numpy(), data.column("held_out").to_numpy()
+    pick = lambda c, h: features[(cls == c) & (held == h)]
     return L.simulate(spark, pick(0, False), pick(1, False), pick(0, True), pick(1, True), runs, iterations, workers, batch, every, SEED, eval_every=max(1, iterations // 6))
 
 
 @query()
 def learning_curves(spark, d, runs: int = 6, iterations: int = 60):
-    """Median and band over runs, shuffling every 1, 25 or no iterations, hard planted rows."""
-    t = curves(spark, planted(spark, d), runs, iterations, 20, 50, (1, 25, None), 10_000)
+    """Median and band over runs, shuffling every 1, 25 or no iterations, hard planted rows, all lines."""
+    t = curves(spark, planted(spark, d), runs, iterations, 20, 50, (1, 25, None))
     return bands(t, ("shuffle_every", "iteration", "metric"))
 
 
+@query()
+def learning_curves_replica(spark, d, runs: int = 100, iterations: int = 60):
+    """The experiment's size: 49,000 rows, 100 workers, 100 pairs a worker, 100 runs."""
+    t = curves(spark, planted(spark, d), runs, iterations, 100, 100, (1, 25, None), 49_000)
+    return bands(t, ("shuffle_every", "iteration", "metric"))
+
+
+def quality_features(spark, d):
+    """Labelled documents with the nine features of FIXTURES F6, standardised."""
+    from .function_queries import fn_doc_features
+
+    rows = quality_rows(spark, d).select("cls", "key", F.col("key").cast("long").alias("doc_id"))
+    nine = fn_doc_features(spark, d).select("doc_id", F.array(*[f"f{k}" for k in range(9)]).alias("features"))
+    return L.standardized_features(rows.join(nine, "doc_id"), 9)
+
+
 @query()
 def learning_curves_quality(spark, d, runs: int = 6, iterations: int = 60):
-    rows = L.standardized_features(quality_rows(spark, d), 2)
-    t = curves(spark, rows, runs, iterations, 5, 20, (1, 25, None))
+    t = curves(spark, quality_features(spark, d), runs, iterations, 5, 20, (1, 25, None))
     return bands(t, ("shuffle_every", "iteration", "metric"))
 
 
 @query()
 def learning_curves_planted(spark, d, runs: int = 6, iterations: int = 60):
     """The planted rule without hard rows."""
-    t = curves(spark, planted(spark, d, hard=False), runs, iterations, 20, 50, (1, 25, None), 10_000)
+    t = curves(spark, planted(spark, d, hard=False), runs, iterations, 20, 50, (1, 25, None))
     return bands(t, ("shuffle_every", "iteration", "metric"))
 
 
