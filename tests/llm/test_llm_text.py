@@ -343,3 +343,20 @@ def test_views_do_not_share_rows_labels():
     m = cotrain_quality.cotrain((a, b, y), pool, least_sure=0.8)
     s = m.score(*pool)
     assert linear.auc(s, u) > max(linear.auc(m.text.margin(pool[0]), u), linear.auc(m.page.margin(pool[1]), u))
+
+
+def test_piece_ids_decode_to_their_texts(spark):
+    from tuplestat.llm import piece_codec
+    from tuplestat.llm.registry import tokenizer_file
+
+    texts = ["plain words", "", " lead", "two  spaces\nline\ttab", "é 漢字 \U0001f600", "x" * 70, "trail "]
+    d = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    model = tokenizer_file("piece_bpe_32k.model")
+    coded = piece_codec.piece_codec(d, model, with_ids=True)
+    back = {r.doc_id: r.text for r in piece_codec.decode_ids(coded, model).collect()}
+    assert back == dict(enumerate(texts))
+    odd = spark.createDataFrame([(1, None), (2, [])], "doc_id long, ids array<int>")
+    assert sorted((r.doc_id, r.text) for r in piece_codec.decode_ids(odd, model).collect()) == [(1, None), (2, "")]
+    bad = spark.createDataFrame([(1, [10_000_000])], "doc_id long, ids array<int>")
+    with pytest.raises(Exception, match="doesn't have"):
+        piece_codec.decode_ids(bad, model).collect()

@@ -173,7 +173,9 @@ class PieceIds(IdTable):
             OFF_PARITY * (a != b) + NO_ROUND_TRIP * (text != (k[1:] if m else k).replace(MARK, " "))
             for a, b, text, k, m in zip(ours, theirs, back, new, marked)
         ]
-        return flat_ids(theirs), np.array([len(x) for x in theirs], dtype=np.int64), np.array(flags, dtype=np.int8)
+        # The backend's ids, and the reference's only where the backend is off parity.
+        chosen = [b if flag & OFF_PARITY else a for a, b, flag in zip(ours, theirs, flags)]
+        return flat_ids(chosen), np.array([len(x) for x in chosen], dtype=np.int64), np.array(flags, dtype=np.int8)
 
 
 def worker(key: int, proto: bytes, threads: int) -> PieceIds:
@@ -236,3 +238,26 @@ def piece_codec(
 
     out = "doc_id long, n_tokens long, ids_crc32 long, n_off_parity long, round_trip boolean"
     return id_text(docs, id_col, text_col).mapInArrow(run, out + ", ids array<int>" * with_ids)
+
+
+def decode_ids(rows: DataFrame, model_path: str, threads: int = 2, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
+    """doc_id, text of every row: the backend's text of an array of ids.
+
+    Null ids give a null text, no ids an empty one; an id outside the model is an error."""
+    with open(model_path, "rb") as f:
+        proto = f.read()
+    pieces = len(parse_model(proto).pieces)
+    shipped, key = rows.sparkSession.sparkContext.broadcast(proto), hash(proto)
+    schema = pa.schema([("doc_id", pa.int64()), ("text", pa.string())])
+
+    def run(batches):
+        backend = worker(key, shipped.value, threads).backend
+        for part in slices(batches, 2 << 20):
+            lists = part.column(1).to_pylist()
+            if any(k is None or not 0 <= k < pieces for x in lists for k in x or ()):
+                raise ValueError("an id that the model doesn't have")
+            texts = iter(backend.decode_batch([x for x in lists if x is not None], skip_special_tokens=False))
+            yield batch_of(schema, part.column(0), [None if x is None else next(texts) for x in lists])
+
+    named = rows.selectExpr(f"CAST(`{id_col}` AS LONG) AS doc_id", f"CAST(`{ids_col}` AS ARRAY<INT>) AS ids")
+    return named.mapInArrow(run, "doc_id long, text string")
