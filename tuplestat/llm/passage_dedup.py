@@ -5,7 +5,8 @@ five-word shingle is a landmark where it is least within `window` consecutive sh
 landmark opens a paragraph of `words` words. Equal passages of window + words + 4 words or more
 hold the same paragraph wherever they stand. Paragraphs overlap or leave up to window - words words
 between them, and up to window - 1 words of a passage lie before its first and behind its last.
-Those are found by growth: see `grown`.
+Those are found by growth: see `grown`. A text of five words or more that is too short for a
+paragraph is one as a whole.
 
 Each paragraph has a fingerprint; paragraphs of one fingerprint are one node. Two nodes are linked
 where the Jaccard similarity of their shingle sets reaches `percent`, and every such pair counts,
@@ -24,7 +25,7 @@ whatever else is in its buckets:
 Components of the links are clusters. A cluster that occurs in two documents or more is a repeat:
 its occurrence in the smallest doc_id stays, the others are removals.
 
-Null, short and empty texts have no paragraphs; rows with a null id take no part; rows that
+Null and empty texts and those of fewer than five words have no paragraphs; rows with a null id take no part; rows that
 repeat an id are one document; an empty table gives an empty result. Only the id and text
 columns are read. Positions are word numbers from 0, ends exclusive.
 """
@@ -41,7 +42,6 @@ from pyspark.sql import functions as F
 from .components import connected
 from .shared import (
     _GOLD,
-    MAP_BITS,
     batch_of,
     bit_map,
     discard,
@@ -107,10 +107,25 @@ def landmarks(s: np.ndarray, first: np.ndarray, count: np.ndarray, window: int)
     return np.flatnonzero((reach[at] == s) & (s != top))
 
 
-def paragraphs_at(s: np.ndarray, places: np.ndarray, words: int):
-    """(shingle hashes of 32 bits, fingerprint) of the paragraphs that open at `places`."""
+def paragraph_places(s: np.ndarray, first: np.ndarray, count: np.ndarray, words: int, window: int):
+    """(place, row, length) of the paragraphs: `words` words from each landmark that has them behind
+    it, and the whole of a shorter text that has a shingle."""
+    marks = landmarks(s, first, count, window)
+    row = np.searchsorted(first, marks, side="right") - 1
+    room = marks + words <= first[row + 1]
+    short = np.flatnonzero((count >= SHINGLE) & (count < words))
+    length = np.concatenate([np.full(int(room.sum()), words), count[short]])
+    return np.concatenate([marks[room], first[short]]), np.concatenate([row[room], short]), length
+
+
+def paragraphs_at(s: np.ndarray, places: np.ndarray, length: np.ndarray, words: int):
+    """(shingle hashes of 32 bits, fingerprint) of the paragraphs that open at `places`; a short one
+    repeats its last shingle."""
     width = words - SHINGLE + 1
-    grid = s[places[:, None] + np.arange(width)] if len(places) else np.zeros((0, width), np.uint64)
+    if len(places):
+        grid = s[places[:, None] + np.minimum(np.arange(width), (length - SHINGLE)[:, None])]
+    else:
+        grid = np.zeros((0, width), np.uint64)
     with np.errstate(over="ignore"):
         f = np.full(len(places), _GOLD, dtype=np.uint64)
         for k in sorted({*range(0, width, SHINGLE), width - 1}):
@@ -187,34 +202,28 @@ def subset_keys(grid: np.ndarray, mixed: np.ndarray, percent: int) -> tuple[np.n
 
 def wanted_prints(keys: DataFrame):
     """The prints' bit map as a broadcast variable (None inside when there are too many)."""
-    named = bit_map(keys, F.col("print").bitwiseAND(F.lit(MAP_BITS - 1)))
-    return keys.sparkSession.sparkContext.broadcast(None if named is None else np.packbits(named))
+    return keys.sparkSession.sparkContext.broadcast(bit_map(keys, F.col("print")))
 
 
 def cut_paragraphs(docs: DataFrame, words: int, window: int, fields: str, shipped=None, percent: int = 80) -> DataFrame:
-    """A row per paragraph with some of doc_id, at, print, shingles (hashes of 32 bits), or a row
+    """A row per paragraph with some of doc_id, at, n (its words), print, shingles (hashes of 32 bits), or a row
     per part of its set with print, key, size.
 
     `shipped` restricts the scan to a bit map's prints; what passes by chance is dropped by the
     join that follows. `shingles` and `key` need each print once per slice only.
     """
-    kinds = {"doc_id": "long", "at": "int", "print": "long", "shingles": "array<int>", "key": "long", "size": "int"}
+    kinds = {"doc_id": "long", "at": "int", "n": "int", "print": "long", "shingles": "array<int>", "key": "long", "size": "int"}
     arrow = {"long": pa.int64(), "int": pa.int32(), "array<int>": pa.list_(pa.int32())}
     names = fields.split()
     schema = pa.schema([(n, arrow[kinds[n]]) for n in names])
 
     def run(batches):
-        wanted = None
-        if shipped is not None and shipped.value is not None:
-            wanted = np.unpackbits(shipped.value).astype(bool)
+        wanted = shipped.value if shipped is not None else None
         for part in slices(batches, 1 << 20):
             s, first, count, _ = shingle_positions(part.column(1))
-            marks = landmarks(s, first, count, window)
-            row = np.searchsorted(first, marks, side="right") - 1
-            room = marks + words <= first[row + 1]
-            marks, row = marks[room], row[room]
-            grid, prints = paragraphs_at(s, marks, words)
-            keep = np.arange(len(marks)) if wanted is None else np.flatnonzero(wanted[prints & (MAP_BITS - 1)])
+            marks, row, length = paragraph_places(s, first, count, words, window)
+            grid, prints = paragraphs_at(s, marks, length, words)
+            keep = np.arange(len(marks)) if wanted is None else np.flatnonzero(wanted.has(prints))
             if "shingles" in names or "key" in names:
                 keep = keep[np.unique(prints[keep], return_index=True)[1]]
             made = {}
@@ -223,6 +232,7 @@ def cut_paragraphs(docs: DataFrame, words: int, window: int, fields: str, shippe
                 keep = keep[of]
                 made = {"key": lambda: keys, "size": lambda: size.astype(np.int32)}
             made |= {"print": lambda: prints[keep], "at": lambda: (marks - first[row])[keep].astype(np.int32)}
+            made["n"] = lambda: length[keep].astype(np.int32)
             made["doc_id"] = lambda: part.column(0).to_numpy(zero_copy_only=False)[row[keep]]
             made["shingles"] = lambda: list(grid[keep].astype(np.uint32).view(np.int32))
             yield batch_of(schema, *[made[n]() for n in names])
@@ -230,6 +240,18 @@ def cut_paragraphs(docs: DataFrame, words: int, window: int, fields: str, shippe
     return docs.where("doc_id IS NOT NULL").mapInArrow(run, ", ".join(f"{n} {kinds[n]}" for n in names))
 
 
+def among(places: DataFrame, shipped) -> DataFrame:
+    """The rows (doc_id, at, n, print) whose print is in a bit map, and a few others."""
+
+    def run(batches):
+        for part in slices(batches):
+            if shipped.value is not None:
+                part = part.filter(pa.array(shipped.value.has(part.column(3).to_numpy())))
+            yield part
+
+    return places.select("doc_id", "at", "n", "print").mapInArrow(run, "doc_id long, at int, n int, print long")
+
+
 def subset_rows(sets: DataFrame, percent: int) -> DataFrame:
     """print, key, side of every row (print, mixed, shingles)."""
     schema = pa.schema([("print", pa.int64()), ("key", pa.int64()), ("side", pa.int32())])
@@ -275,18 +297,18 @@ def repeated_passages(
     """doc_id, at, end, component_id, removed, grown_at, grown_end: every paragraph that repeats
     across documents, and for those to remove the words around that repeat with it.
 
-    The texts are scanned five times (candidates, their sets, documents of each paragraph,
-    occurrences to report, words around them), which costs less than keeping what the first scan sees.
+    The texts are scanned four times (places, candidates, their sets, words around removals): only
+    the places of paragraphs are kept between scans, about 12 bytes each, and never their sets.
     """
     docs = id_text(docs, id_col, text_col)
+    places = staged(cut_paragraphs(docs, words, window, "doc_id at n print"), "places")
     links = near_links(docs, words, window, percent)
     component = staged(connected(links), "components")
     discard(links)
     # Copies of a paragraph collapse in the map-side part of this aggregate. Only nodes that occur
     # in two documents or have a link can belong to a repeat.
     placed = (
-        cut_paragraphs(docs, words, window, "doc_id print")
-        .groupBy("print")
+        places.groupBy("print")
         .agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"))
         .join(component.withColumnRenamed("id", "print"), "print", "left")
         .where("low <> high OR component IS NOT NULL")
@@ -298,38 +320,38 @@ def repeated_passages(
     )
     flagged = staged(placed.select("print", "component_id").join(repeats.drop("high"), "component_id"), "flagged")
     discard(placed)
-    found = cut_paragraphs(docs, words, window, "doc_id at print", wanted_prints(flagged.select("print")))
-    found = staged(found.join(flagged, "print").select("doc_id", "at", "print", "component_id", "keeper"), "occurrences")
-    more = grown(docs, found, words, window)
+    found = among(places, wanted_prints(flagged.select("print")))
+    found = staged(found.join(flagged, "print").select("doc_id", "at", "n", "print", "component_id", "keeper"), "occurrences")
+    discard(places)
+    discard(flagged)
+    more = staged(grown(docs, found.where(F.col("n") == words), words, window), "grown")
     return found.join(more, ["doc_id", "at", "print"], "left").select(
         "doc_id",
         F.col("at").cast("long").alias("at"),
-        (F.col("at") + words).cast("long").alias("end"),
+        (F.col("at") + F.col("n")).cast("long").alias("end"),
         "component_id",
         (F.col("doc_id") != F.col("keeper")).alias("removed"),
         (F.col("at") - F.coalesce("before", F.lit(0))).cast("long").alias("grown_at"),
-        (F.col("at") + words + F.coalesce("behind", F.lit(0))).cast("long").alias("grown_end"),
+        (F.col("at") + F.col("n") + F.coalesce("behind", F.lit(0))).cast("long").alias("grown_end"),
     )
 
 
 def surroundings(docs: DataFrame, words: int, window: int, shipped) -> DataFrame:
     """doc_id, at, print, side, near: hashes of the up to `window` words before (side 0, nearest
-    first) or behind (side 1) the paragraphs on the bit map's slots (see `slot`)."""
+    first) or behind (side 1) the paragraphs in the bit map (see `slot`)."""
     schema = pa.schema([("doc_id", pa.int64()), ("at", pa.int32()), ("print", pa.int64()), ("side", pa.int32()), ("near", pa.binary())])
 
     def run(batches):
-        wanted = None if shipped.value is None else np.unpackbits(shipped.value).astype(bool)
+        wanted = shipped.value
         for part in slices(batches, 1 << 20):
             s, first, count, h = shingle_positions(part.column(1))
-            marks = landmarks(s, first, count, window)
-            row = np.searchsorted(first, marks, side="right") - 1
-            room = marks + words <= first[row + 1]
-            marks, row = marks[room], row[room]
-            _, prints = paragraphs_at(s, marks, words)
+            marks, row, length = paragraph_places(s, first, count, words, window)
+            full = length == words
+            marks, row = marks[full], row[full]
+            _, prints = paragraphs_at(s, marks, length[full], words)
             ids, at = part.column(0).to_numpy(zero_copy_only=False)[row], marks - first[row]
             for side in (0, 1):
-                slots = (prints ^ (at << 3) ^ (ids << 7) ^ side) & (MAP_BITS - 1)
-                keep = np.arange(len(marks)) if wanted is None else np.flatnonzero(wanted[slots])
+                keep = np.arange(len(marks)) if wanted is None else np.flatnonzero(wanted.has(prints ^ (at << 3) ^ (ids << 7) ^ side))
                 begin = marks[keep] - 1 if side == 0 else marks[keep] + words
                 room = np.minimum(window, marks[keep] - first[row[keep]] if side == 0 else first[row[keep] + 1] - begin)
                 place = begin[:, None] + np.arange(window) * (2 * side - 1)
@@ -341,9 +363,9 @@ def surroundings(docs: DataFrame, words: int, window: int, shipped) -> DataFrame
 
 
 def slot():
-    """The bit of (doc_id, at, print, side)."""
+    """A hash of (doc_id, at, print, side)."""
     mixed = F.col("print").bitwiseXOR(F.shiftleft(F.col("at").cast("long"), 3)).bitwiseXOR(F.shiftleft("doc_id", 7))
-    return mixed.bitwiseXOR(F.col("side").cast("long")).bitwiseAND(F.lit(MAP_BITS - 1))
+    return mixed.bitwiseXOR(F.col("side").cast("long"))
 
 
 def common_words(pairs: DataFrame) -> DataFrame:
@@ -386,8 +408,7 @@ def grown(docs: DataFrame, found: DataFrame, words: int, window: int) -> DataFra
     asked = edges.withColumn("own", F.lit(0)).union(
         edges.select("model.doc_id", "model.at", "model.print", "model", "side", F.lit(1)).distinct()
     )
-    named = bit_map(asked, slot())
-    shipped = docs.sparkSession.sparkContext.broadcast(None if named is None else np.packbits(named))
+    shipped = docs.sparkSession.sparkContext.broadcast(bit_map(asked, slot()))
     seen = surroundings(docs, words, window, shipped).join(asked, ["doc_id", "at", "print", "side"])
     group = Window.partitionBy("model", "side").orderBy(F.desc("own"), "near").rowsBetween(Window.unboundedPreceding, 0)
     both = seen.withColumn("model", F.first(F.when(F.col("own") == 1, F.col("near"))).over(group)).where("own = 0")

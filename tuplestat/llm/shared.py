@@ -5,6 +5,7 @@ from __future__ import annotations
 import atexit
 import ctypes
 import gc
+import re
 import tempfile
 import uuid
 import weakref
@@ -19,13 +20,16 @@ _STAGED: dict[str, weakref.ref] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or (only where it is
-    unset, as in local tests) a temporary folder of this machine."""
+    """The folder that driver and executors share: spark.checkpoint.dir. Where it is unset, only a
+    session in local mode (one machine, as in tests) gets a folder of its own; on a cluster that
+    is an error, since executors would not see it."""
     sc = spark.sparkContext
     base = sc.getConf().get("spark.checkpoint.dir", None)
     if base:
         return base.rstrip("/")
     if sc.getCheckpointDir() is None:
+        if not re.fullmatch(r"local(\[.*\])?", sc.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="tuplestat-ckpt-"))
     return sc.getCheckpointDir().rstrip("/")
 
@@ -37,14 +41,21 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
     and lets later steps read only the columns they need. Files go away with the session.
     """
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/tuplestat-{tag}-{uuid.uuid4().hex}"
+    path = staged_path(spark, tag)
     df.write.parquet(path)
-    _STAGED[path] = weakref.ref(spark)
+    spark.sparkContext._jvm.System.gc()  # Spark deletes shuffle files once their plans are collected
     out = spark.read.schema(df.schema).parquet(path)
     out._staged_path = path
     return out
 
 
+def staged_path(spark: SparkSession, tag: str) -> str:
+    """A new path in the shared folder, which goes away with the session or by `discard`."""
+    path = f"{shared_dir(spark)}/tuplestat-{tag}-{uuid.uuid4().hex}"
+    _STAGED[path] = weakref.ref(spark)
+    return path
+
+
 def discard(df: DataFrame) -> None:
     """Delete the files behind a frame made by `staged` that nothing will read again."""
     if getattr(df, "_staged_path", None) in _STAGED:
@@ -69,29 +80,42 @@ def _sweep() -> None:
             _STAGED.pop(path, None)
 
 
-#: Bits of a summary of needed keys (two megabytes, whatever the data).
-MAP_BITS = 1 << 24
+#: Bits of a summary of needed keys: at least MIN_BITS, eight for a key, at most MOST_BITS (64 MB).
+MIN_BITS, MOST_BITS = 1 << 20, 1 << 29
+
+
+class BitMap:
+    """Which slots of a power-of-two table some keys fall on; packed, shipped once to each worker."""
+
+    def __init__(self, packed: np.ndarray):
+        self.packed = packed
+        self.mask = 8 * len(packed) - 1
+
+    def has(self, hashes: np.ndarray) -> np.ndarray:
+        """Which of these 64-bit hashes (signed) are in the map; some others pass too."""
+        slot = hashes & np.int64(self.mask)
+        return ((self.packed[slot >> 3] >> (slot & 7).astype(np.uint8)) & 1).astype(bool)
 
 
-def bit_map(keys: DataFrame, slot) -> np.ndarray | None:
-    """Which of MAP_BITS slots the keys fall on, or None when there are too many keys for it."""
+def bit_map(keys: DataFrame, hashed) -> BitMap | None:
+    """The map of `keys` by a 64-bit hash column, sized by their number; None when there are so many
+    that even the largest map would hold back little. Callers join exactly afterwards either way."""
+    n = keys.count()
+    if n > MOST_BITS // 2:
+        return None
+    bits = min(MOST_BITS, max(MIN_BITS, 1 << (8 * n - 1).bit_length()))
+    slot = (hashed.bitwiseAND(F.lit(bits - 1)) + 1).alias("slot")
     rows = (
-        keys.select(slot.alias("slot"))
+        keys.select(slot)
         .groupBy(F.bitmap_bucket_number("slot").alias("bucket"))
-        .agg(F.bitmap_construct_agg(F.bitmap_bit_position("slot")).alias("bits"), F.count("*").alias("n"))
-        .collect()  # MAP_BITS / 32768 rows of 4 KB
+        .agg(F.bitmap_construct_agg(F.bitmap_bit_position("slot")).alias("bits"))
+        .toLocalIterator()  # at most bits / 32768 rows of 4 KB
     )
-    if sum(r.n for r in rows) > MAP_BITS // 4:
-        return None
-    out = np.zeros(MAP_BITS, dtype=bool)
+    out = np.zeros(bits // 8, dtype=np.uint8)
     for r in rows:
-        bits = np.unpackbits(np.frombuffer(bytes(r.bits), dtype=np.uint8), bitorder="little").astype(bool)
-        if r.bucket == 0:  # slot 0 has a bucket of its own; the others count from 1
-            out[0] |= bits.any()
-        else:
-            lo = (r.bucket - 1) * 32768 + 1
-            out[lo : lo + 32768] |= bits[: MAP_BITS - lo]
-    return out
+        lo = (r.bucket - 1) * 4096
+        out[lo : lo + 4096] |= np.frombuffer(bytes(r.bits), dtype=np.uint8)
+    return BitMap(out)
 
 
 def fresh(columns: list[str], base: str) -> str:
@@ -103,7 +127,7 @@ def fresh(columns: list[str], base: str) -> str:
     return name
 
 
-BATCH_BYTES = 8 << 20
+BATCH_BYTES = 4 << 20
 
 
 def bounded_batches(spark: SparkSession) -> None:
@@ -123,8 +147,30 @@ def id_text(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
 
 
-def slices(batches, bytes_per_slice: int = 8 << 20):
+def thrifty() -> None:
+    """Have this worker give freed memory back: workers live on from stage to stage, and what an
+    allocator keeps for later adds up on an executor."""
+    pa.default_memory_pool().release_unused()
+    if "c" not in _LIBRARY:
+        _LIBRARY["c"] = None
+        try:
+            _LIBRARY["c"] = ctypes.CDLL(None)
+            for option, value in ((-1, 4 << 20), (-3, 4 << 20), (-8, 2)):  # trim and map thresholds, arenas
+                _LIBRARY["c"].mallopt(option, value)
+        except (OSError, AttributeError):  # another C library
+            pass
+    try:
+        _LIBRARY["c"].malloc_trim(0)
+    except AttributeError:
+        pass
+
+
+_LIBRARY: dict = {}
+
+
+def slices(batches, bytes_per_slice: int = 2 << 20):
     """Re-cut Arrow batches so that a slice holds about `bytes_per_slice` of data (one row at least)."""
+    thrifty()
     for batch in batches:
         n = batch.num_rows
         if n == 0:
@@ -147,10 +193,7 @@ def held(key, make):
         if _HELD:
             _HELD.clear()
             gc.collect()
-            try:
-                ctypes.CDLL(None).malloc_trim(0)
-            except (OSError, AttributeError):  # another C library
-                pass
+            thrifty()
         _HELD[key] = make()
     return _HELD[key]
 

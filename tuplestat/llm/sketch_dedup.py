@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected
-from .shared import _GOLD, MAP_BITS, batch_of, bit_map, discard, id_text, mix64, shingle_hashes, slices, staged
+from .shared import _GOLD, batch_of, bit_map, discard, id_text, mix64, shingle_hashes, slices, staged
 
 REGISTERS, BAND_ROWS = 256, 6
 OUT_BLOCK, IN_BLOCK = 32, 64
@@ -172,19 +172,18 @@ def full_sets(docs: DataFrame, ids: DataFrame, size: int) -> DataFrame:
     pass by chance find no pair later. Too many ids for the map: an equi-join with the texts.
     """
     schema = pa.schema([("id", pa.int64()), ("shingles", pa.binary()), ("registers", pa.binary())])
-    named = bit_map(ids, F.pmod(F.xxhash64("id"), F.lit(MAP_BITS)))
+    named = bit_map(ids, F.xxhash64("id"))
     if named is None:
         chosen = docs.join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
-        rows, shipped = chosen.select("doc_id", "text", F.lit(-1).cast("long").alias("slot")), None
+        rows, shipped = chosen.select("doc_id", "text", F.lit(-1).cast("long").alias("hash")), None
     else:
-        rows = docs.where("doc_id IS NOT NULL").select("doc_id", "text", F.pmod(F.xxhash64("doc_id"), F.lit(MAP_BITS)).alias("slot"))
-        shipped = docs.sparkSession.sparkContext.broadcast(np.packbits(named))
+        rows = docs.where("doc_id IS NOT NULL").select("doc_id", "text", F.xxhash64("doc_id").alias("hash"))
+        shipped = docs.sparkSession.sparkContext.broadcast(named)
 
     def run(batches):
-        wanted = np.unpackbits(shipped.value).astype(bool) if shipped is not None else None
         for part in slices(batches, 1 << 20):
-            if wanted is not None:
-                part = part.filter(pa.array(wanted[part.column(2).to_numpy()]))
+            if shipped is not None:
+                part = part.filter(pa.array(shipped.value.has(part.column(2).to_numpy())))
                 if not part.num_rows:
                     continue
             s, offsets = shingle_hashes(part.column(1), size)
