@@ -42,13 +42,24 @@ def staged(df: DataFrame, tag: str) -> DataFrame:
     """
     spark = df.sparkSession
     path = staged_path(spark, tag)
+    free_shuffles(spark)
     df.write.parquet(path)
-    spark.sparkContext._jvm.System.gc()  # Spark deletes shuffle files once their plans are collected
+    free_shuffles(spark)
     out = spark.read.schema(df.schema).parquet(path)
     out._staged_path = path
     return out
 
 
+def free_shuffles(spark: SparkSession) -> None:
+    """Have the shuffle files of finished steps deleted: Spark does so once the driver's collector
+    has found their plans unused, which a quiet driver may put off for half an hour."""
+    try:
+        spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty(2000)  # events hold plans too
+    except Exception:  # busy for longer, or another version: files go away later
+        pass
+    spark.sparkContext._jvm.System.gc()
+
+
 def staged_path(spark: SparkSession, tag: str) -> str:
     """A new path in the shared folder, which goes away with the session or by `discard`."""
     path = f"{shared_dir(spark)}/tuplestat-{tag}-{uuid.uuid4().hex}"
