@@ -368,8 +368,19 @@ def slot():
     return mixed.bitwiseXOR(F.col("side").cast("long"))
 
 
+def with_pattern(rows: DataFrame, patterns: DataFrame) -> DataFrame:
+    """`rows` with the pattern of their (model, side). Models of more than a thousandth of the rows
+    (2,048 at most) are broadcast, so that a very common passage stays spread over tasks."""
+    total = rows.count()
+    counts = rows.groupBy("model", "side").agg(F.count("*").alias("k")).where(F.col("k") > max(64, total // 1024)).drop("k")
+    hot = patterns.join(F.broadcast(counts), ["model", "side"]).withColumnRenamed("pattern", "hot")
+    marked = rows.join(F.broadcast(hot), ["model", "side"], "left")
+    rest = marked.where("hot IS NULL").drop("hot").join(patterns, ["model", "side"])
+    return marked.where("hot IS NOT NULL").withColumnRenamed("hot", "pattern").unionByName(rest)
+
+
 def common_words(pairs: DataFrame) -> DataFrame:
-    """doc_id, at, print, side, n: leading words that near and model have in common."""
+    """doc_id, at, print, side, n: leading words that near and pattern have in common."""
     schema = pa.schema([("doc_id", pa.int64()), ("at", pa.int32()), ("print", pa.int64()), ("side", pa.int32()), ("n", pa.int32())])
 
     def run(batches):
@@ -381,16 +392,17 @@ def common_words(pairs: DataFrame) -> DataFrame:
                 n.append(int(differ.argmax()) if differ.any() else k)
             yield batch_of(schema, *[part.column(c) for c in range(4)], n)
 
-    return pairs.select("doc_id", "at", "print", "side", "near", "model").mapInArrow(run, "doc_id long, at int, print long, side int, n int")
+    return pairs.select("doc_id", "at", "print", "side", "near", "pattern").mapInArrow(run, "doc_id long, at int, print long, side int, n int")
 
 
 def grown(docs: DataFrame, found: DataFrame, words: int, window: int) -> DataFrame:
     """doc_id, at, print, before, behind: how many words around a removal repeat with it.
 
     A removal's model is the first occurrence of its print or, where no smaller document holds it,
-    its cluster's first occurrence. Removals with models in one document, at one
-    distance from them, that touch or overlap make a run; the first and last of a run are compared with their models word by word, outward to the
-    first difference. A passage that a run's model shares has no more than `window` words beyond it
+    its cluster's first occurrence. Removals of a document that touch or overlap make a run, those
+    with a model of the first kind together and the others by model and distance; the
+    first and last of a run are compared with their models word by word, outward to the first
+    difference. A passage that such a model shares has no more than `window` words beyond the run
     (each `window` places open a paragraph), so all of an equal passage of window + words + 4
     words or more is covered. Hashes of words have 32 bits.
     """
@@ -399,7 +411,8 @@ def grown(docs: DataFrame, found: DataFrame, words: int, window: int) -> DataFra
     first = found.groupBy("component_id").agg(F.min(where).alias("c"))
     gone = found.where("doc_id <> keeper").join(models, "print").join(first, "component_id")
     gone = gone.withColumn("model", F.when(F.col("m.doc_id") < F.col("doc_id"), F.col("m")).otherwise(F.col("c")))
-    run = Window.partitionBy("doc_id", "model.doc_id", F.col("at") - F.col("model.at")).orderBy("at")
+    near = F.when(F.col("m.doc_id") >= F.col("doc_id"), F.struct("model.doc_id", F.col("at") - F.col("model.at")))
+    run = Window.partitionBy("doc_id", near).orderBy("at", "print")
     opens = F.coalesce(F.lag("at").over(run) + words < F.col("at"), F.lit(True))
     ends = F.coalesce(F.lead("at").over(run) > F.col("at") + words, F.lit(True))
     sides = F.array_compact(F.array(F.when(opens, F.lit(0)), F.when(ends, F.lit(1))))
@@ -409,9 +422,9 @@ def grown(docs: DataFrame, found: DataFrame, words: int, window: int) -> DataFra
         edges.select("model.doc_id", "model.at", "model.print", "model", "side", F.lit(1)).distinct()
     )
     shipped = docs.sparkSession.sparkContext.broadcast(bit_map(asked, slot()))
-    seen = surroundings(docs, words, window, shipped).join(asked, ["doc_id", "at", "print", "side"])
-    group = Window.partitionBy("model", "side").orderBy(F.desc("own"), "near").rowsBetween(Window.unboundedPreceding, 0)
-    both = seen.withColumn("model", F.first(F.when(F.col("own") == 1, F.col("near"))).over(group)).where("own = 0")
+    seen = staged(surroundings(docs, words, window, shipped).join(asked, ["doc_id", "at", "print", "side"]), "near")
+    patterns = seen.where("own = 1").groupBy("model", "side").agg(F.min("near").alias("pattern"))
+    both = with_pattern(seen.where("own = 0"), patterns)
     least = lambda k: F.min(F.when(F.col("side") == k, F.col("n")))
     return common_words(both).groupBy("doc_id", "at", "print").agg(least(0).alias("before"), least(1).alias("behind"))
 
