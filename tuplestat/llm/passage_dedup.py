@@ -309,28 +309,35 @@ def repeated_passages(
     # in two documents or have a link can belong to a repeat.
     placed = (
         places.groupBy("print")
-        .agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"))
+        .agg(F.min(F.struct("doc_id", "at")).alias("first"), F.max("doc_id").alias("high"))
         .join(component.withColumnRenamed("id", "print"), "print", "left")
-        .where("low <> high OR component IS NOT NULL")
+        .where("first.doc_id <> high OR component IS NOT NULL")
         .withColumn("component_id", F.coalesce("component", "print"))
     )
-    placed = staged(placed.select("print", "component_id", "low", "high"), "placed")
+    placed = staged(placed.select("print", "component_id", "first", "high"), "placed")
     repeats = (
-        placed.groupBy("component_id").agg(F.min("low").alias("keeper"), F.max("high").alias("high")).where("keeper <> high")
+        placed.groupBy("component_id")
+        .agg(F.min(F.struct("first.doc_id", "first.at", "print")).alias("head"), F.max("high").alias("high"))
+        .where("head.doc_id <> high")
     )
-    flagged = staged(placed.select("print", "component_id").join(repeats.drop("high"), "component_id"), "flagged")
+    flagged = staged(placed.select("print", "component_id", "first").join(repeats.drop("high"), "component_id"), "flagged")
     discard(placed)
-    found = among(places, wanted_prints(flagged.select("print")))
-    found = staged(found.join(flagged, "print").select("doc_id", "at", "n", "print", "component_id", "keeper"), "occurrences")
+    # The model of a removal (see `grown`) comes along, so that occurrences are joined only once.
+    exact = F.col("first.doc_id") < F.col("doc_id")
+    model = F.when(exact, F.struct("first.doc_id", "first.at", "print")).otherwise(F.col("head"))
+    removed = F.col("doc_id") != F.col("head.doc_id")
+    found = among(places, wanted_prints(flagged.select("print"))).join(flagged, "print")
+    found = found.select("doc_id", "at", "n", "print", "component_id", removed.alias("removed"), F.when(removed, model).alias("model"), exact.alias("exact"))
+    found = staged(found, "occurrences")
     discard(places)
     discard(flagged)
-    more = staged(grown(docs, found.where(F.col("n") == words), words, window), "grown")
+    more = staged(grown(docs, found.where((F.col("n") == words) & F.col("removed")), words, window), "grown")
     return found.join(more, ["doc_id", "at", "print"], "left").select(
         "doc_id",
         F.col("at").cast("long").alias("at"),
         (F.col("at") + F.col("n")).cast("long").alias("end"),
         "component_id",
-        (F.col("doc_id") != F.col("keeper")).alias("removed"),
+        "removed",
         (F.col("at") - F.coalesce("before", F.lit(0))).cast("long").alias("grown_at"),
         (F.col("at") + F.col("n") + F.coalesce("behind", F.lit(0))).cast("long").alias("grown_end"),
     )
@@ -395,7 +402,7 @@ def common_words(pairs: DataFrame) -> DataFrame:
     return pairs.select("doc_id", "at", "print", "side", "near", "pattern").mapInArrow(run, "doc_id long, at int, print long, side int, n int")
 
 
-def grown(docs: DataFrame, found: DataFrame, words: int, window: int) -> DataFrame:
+def grown(docs: DataFrame, gone: DataFrame, words: int, window: int) -> DataFrame:
     """doc_id, at, print, before, behind: how many words around a removal repeat with it.
 
     A removal's model is the first occurrence of its print or, where no smaller document holds it,
@@ -406,12 +413,7 @@ def grown(docs: DataFrame, found: DataFrame, words: int, window: int) -> DataFra
     (each `window` places open a paragraph), so all of an equal passage of window + words + 4
     words or more is covered. Hashes of words have 32 bits.
     """
-    where = F.struct("doc_id", "at", "print")
-    models = found.groupBy("print").agg(F.min(where).alias("m"))
-    first = found.groupBy("component_id").agg(F.min(where).alias("c"))
-    gone = found.where("doc_id <> keeper").join(models, "print").join(first, "component_id")
-    gone = gone.withColumn("model", F.when(F.col("m.doc_id") < F.col("doc_id"), F.col("m")).otherwise(F.col("c")))
-    near = F.when(F.col("m.doc_id") >= F.col("doc_id"), F.struct("model.doc_id", F.col("at") - F.col("model.at")))
+    near = F.when(~F.col("exact"), F.struct("model.doc_id", F.col("at") - F.col("model.at")))
     run = Window.partitionBy("doc_id", near).orderBy("at", "print")
     opens = F.coalesce(F.lag("at").over(run) + words < F.col("at"), F.lit(True))
     ends = F.coalesce(F.lead("at").over(run) > F.col("at") + words, F.lit(True))
