@@ -318,3 +318,25 @@ def test_pipeline_tells_texts_of_one_id_apart(spark):
     assert out.columns == d.columns
     want = [(1, a), (2, b), (3, c), (4, None), (4, ""), (5, "alone"), (None, a), (None, a)]
     assert sorted(((r.doc_id, r.text) for r in out.collect()), key=repr) == sorted(want, key=repr)
+
+
+def test_rows_of_one_id_share_a_component(spark):
+    a, b, c = "one text " * 3 + "here", "another text that two ids hold in full", "a third text that only this id holds"
+    rows = [(3, a), (5, a), (5, b), (7, b), (9, b), (9, b), (11, c), (11, None), (12, None)]
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted((r.doc_id, r.component_id, r.kept) for r in D.near_duplicates(d, size=2).collect())
+    want = [(3, 3), (5, 3), (5, 3), (7, 3), (9, 3), (9, 3), (11, 11), (11, 11), (12, 12)]
+    assert got == [(i, c, i == c) for i, c in want]
+
+
+def test_search_with_very_large_components(spark):
+    rows = [(0, [1e12, -1e12]), (1, [1e12, 0.0]), (2, [1e17, 0.0]), (3, [-1e300, 0.0]), (4, [0.5, 0.5]), (100, [1e17, 1e17]), (5, [-1e17, -1e17])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    most = 2**63 - 1
+    held = {i: [max(-most, min(most, int(np.floor(1024.0 * a)) if abs(1024.0 * a) < 2.0**63 else int(np.sign(a)) * most)) for a in x] for i, x in rows}
+    want = []
+    for q in (0, 100):
+        s = sorted((-max(-most - 1, min(most, sum(a * b for a, b in zip(held[q], y)))), i) for i, y in held.items() if i != q)
+        want += [(q, r + 1, i, -n) for r, (n, i) in enumerate(s)]
+    got = segment_topk.top_k(df, F.col("vec_id") % 100 == 0).collect()
+    assert sorted((r.query_id, r["rank"], r.vec_id, r.score) for r in got) == want

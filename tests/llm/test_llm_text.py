@@ -170,7 +170,7 @@ def random_texts(n, seed=1):
 
 def test_chunks_give_the_librarys_ids():
     tok = Tokenizer.from_file(WORD)
-    table = token_store.ChunkIds(tok, 300)
+    table = token_store.ChunkIds(tok, 70_000)
     for i in range(0, 4000, 200):
         texts = random_texts(200, i)
         ids, n = token_store.encode_texts(pa.array(texts, pa.string()), table, 1)
@@ -178,11 +178,21 @@ def test_chunks_give_the_librarys_ids():
         assert n.tolist() == [len(w) for w in want] and ids.tolist() == sum(want, [])
 
 
+def test_other_tokenizers_encode_whole_texts(spark):
+    other = public_tokenizers.path("byte_bpe_50k.json")
+    assert token_store.cuts_at_space(open(WORD).read()) and not token_store.cuts_at_space(open(other).read())
+    tok, texts = Tokenizer.from_file(other), random_texts(60, 5) + ["two words", " lead", "a\n\nb"]
+    path = f"{registry.staged_path(spark, 'test')}"
+    token_store.write_tokens(docs(spark, texts), path, other, end_id=1)
+    got = {r.doc_id: list(r.ids) for r in token_store.read_ids(spark, path).collect()}
+    assert got == {i: tok.encode(t, add_special_tokens=False).ids + [1] for i, t in enumerate(texts)}
+
+
 def test_pieces_give_the_librarys_counts_and_ids():
     sp = sentencepiece.SentencePieceProcessor(model_file=SP)
     count = token_counts.BoundedTable(token_counts.piece_counter(sp), 300)
     backend = piece_codec.build_backend(piece_codec.parse_model(open(SP, "rb").read()))
-    table = piece_codec.PieceIds(backend, sp, 300)
+    table = piece_codec.PieceIds(backend, sp, 70_000)
     for i in range(0, 4000, 200):
         texts = random_texts(200, i)
         want = sp.encode(texts)
@@ -226,7 +236,7 @@ def test_token_queries(spark, messy):
     texts = [(r.doc_id, r.text or "") for r in messy.collect()]
     counts = sorted((r.doc_id if r.doc_id is not None else -1, r.n_bytes, r.n_tokens, r.over_limit) for r in token_counts.token_counts(messy, SP).collect())
     assert counts == sorted((-1 if i is None else i, len(t.encode()), len(sp.encode(t)), len(sp.encode(t)) > 4096) for i, t in texts)
-    path = f"{registry.shared_dir(spark)}/tokens-test-{random.random()}"
+    path = registry.staged_path(spark, "tokens-test")
     token_store.write_tokens(messy, path, WORD, block_ids=500)
     got = sorted((r.start, r.doc_id, r.n_tokens, r.ids_crc32) for r in token_store.read_tokens(spark, path).collect())
     ids = {t: tok.encode(t, add_special_tokens=False).ids + [1] for _, t in texts}

@@ -8,6 +8,10 @@ import numpy as np
 import pyarrow as pa
 
 
+#: A string's head, its place in the dictionary, its number, start, flag and count of uses.
+ENTRY_BYTES = 220
+
+
 def flat_ids(lists: list) -> np.ndarray:
     return np.fromiter(chain.from_iterable(lists), dtype=np.uint32)
 
@@ -27,12 +31,12 @@ def spread(first: np.ndarray, lengths: np.ndarray) -> np.ndarray:
 class IdTable(dict):
     """String -> its number; ids by number in two flat arrays, and a small flag for each number,
     so that texts become id arrays by lookups and one gather. Strings that a slice brings anew are
-    made together by `made`. When the table holds more than `rows`, the rarer half leaves.
+    made together by `made`. When the table takes more than about `most_bytes`, the rarer half leaves.
     """
 
-    def __init__(self, rows: int):
+    def __init__(self, most_bytes: int):
         super().__init__()
-        self.rows = rows
+        self.most_bytes = most_bytes
         self.forget()
 
     def made(self, new: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -46,6 +50,11 @@ class IdTable(dict):
         self.flat = np.zeros(0, dtype=np.uint32)
         self.flags = np.zeros(0, dtype=np.int8)
         self.uses = np.zeros(0, dtype=np.int64)
+        self.text_bytes = 0
+
+    def size(self) -> int:
+        """About the bytes in use: strings with their heads, hash slots, numbers and ids."""
+        return self.text_bytes + ENTRY_BYTES * len(self) + self.flat.nbytes
 
     def __missing__(self, string: str) -> int:
         number = self[string] = len(self)
@@ -61,11 +70,12 @@ class IdTable(dict):
         self.flat = np.concatenate([self.flat, flat])
         self.flags = np.concatenate([self.flags, flags])
         self.uses = np.concatenate([self.uses, np.zeros(len(new), dtype=np.int64)])
+        self.text_bytes += sum(map(len, new))
 
     def trim(self) -> None:
-        if len(self) <= self.rows:
+        if self.size() <= self.most_bytes:
             return
-        keep = np.sort(np.argsort(-self.uses, kind="stable")[: self.rows // 2])
+        keep = np.sort(np.argsort(-self.uses, kind="stable")[: len(self) // 2])
         strings = list(self)
         names = [strings[i] for i in keep.tolist()]
         lengths, flags = np.diff(self.first)[keep], self.flags[keep]
@@ -74,6 +84,7 @@ class IdTable(dict):
         self.update(zip(names, range(len(names))))
         self.first = np.concatenate([[0], np.cumsum(lengths)])
         self.flat, self.flags, self.uses = flat, flags, np.zeros(len(names), dtype=np.int64)
+        self.text_bytes = sum(map(len, names))
 
     def encoded(self, texts: list[list[str]]) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
         """(ids of all texts end to end, number of ids of each text, per flag bit the number of

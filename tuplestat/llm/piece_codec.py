@@ -147,15 +147,15 @@ def build_backend(model: PieceModel):
 
 
 OFF_PARITY, NO_ROUND_TRIP = 1, 2
-TABLE_PIECES = 300_000
+TABLE_BYTES = 40 << 20
 
 
 class PieceIds(IdTable):
     """Pre-token -> ids of the reference, flagged where the backend's ids differ from them or
     where the backend does not decode them to the pre-token."""
 
-    def __init__(self, backend, reference: sentencepiece.SentencePieceProcessor, rows: int = TABLE_PIECES):
-        super().__init__(rows)
+    def __init__(self, backend, reference: sentencepiece.SentencePieceProcessor, most_bytes: int = TABLE_BYTES):
+        super().__init__(most_bytes)
         self.backend, self.reference = backend, reference
         self.encode = getattr(backend, "encode_batch_fast", backend.encode_batch)
         self.lone = [reference.piece_to_id(MARK)]
@@ -225,7 +225,7 @@ def piece_codec(
     def run(batches):
         table = worker(key, shipped.value, threads)
         schema = pa.schema(fields)
-        for part in slices(batches, 2 << 20):
+        for part in slices(batches, 1 << 20):
             texts = [t or "" for t in part.column(1).to_pylist()]
             ids, count, off, lost = encode_texts(texts, table)
             cut = np.concatenate([[0], np.cumsum(count)])

@@ -17,7 +17,7 @@ from . import (
     token_store,
     weak_toxicity,
 )
-from .shared import shared_dir
+from .shared import staged_path
 
 
 def tokenizer_file(name: str) -> str:
@@ -52,9 +52,7 @@ def op5_segment_topk(spark, sf_dir):
 
 
 def op6_token_store(spark, sf_dir):
-    import uuid
-
-    path = f"{shared_dir(spark)}/tokens-{uuid.uuid4().hex}"
+    path = staged_path(spark, "tokens")  # goes away with the session
     token_store.write_tokens(table(spark, sf_dir, "documents"), path, tokenizer_file("word_bpe_49k.json"), end_id=1)
     return token_store.read_tokens(spark, path)
 

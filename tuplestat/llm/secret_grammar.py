@@ -27,12 +27,11 @@ import string
 from collections import defaultdict, deque
 from dataclasses import dataclass
 
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .shared import batch_of, bounded_batches, id_text, slices
+from .shared import batch_of, bounded_batches, id_text, slices, thrifty
 
 # The contract's patterns. ASCII letters only, in either case where it says so.
 ASSIGN = re.compile(
@@ -344,8 +343,8 @@ def redact(text: Column, model: SecretModel | None = None, least: float = 0.6, m
     model = model or fit_model()
     bounded_batches(SparkSession.getActiveSession())
 
-    @F.pandas_udf("string")
-    def hide(column: pd.Series) -> pd.Series:
+    @F.arrow_udf("string")
+    def hide(column: pa.Array) -> pa.Array:
         def one(t):
             if t is None:
                 return None
@@ -353,6 +352,7 @@ def redact(text: Column, model: SecretModel | None = None, least: float = 0.6, m
             spans = sorted(base + grammar_spans(t, base, model, least))
             return redacted(t, spans, mark) if spans else t
 
-        return column.map(one, na_action="ignore")
+        thrifty()
+        return pa.array(map(one, column.to_pylist()), pa.string())
 
     return hide(text)

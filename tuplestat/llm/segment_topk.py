@@ -12,7 +12,8 @@ Work is a grid: the query set in blocks of `query_block`, all rows in hashed blo
 Blocks are dealt by a hash of the row, so common vectors spread. Each task returns k rows per
 query, and the best k of those are kept.
 
-Vectors that are null or hold null or non-finite components take no part; vectors of different
+Vectors that are null or hold null or non-finite components take no part; integer components are
+held to the 64-bit range (2**63 - 1 in size), and so are scores, whose sums are exact; vectors of different
 length are compared over the shorter one's components; a row does not answer a query of the
 same vec_id; equal scores go to the smaller vec_id; repeated rows of one id count once each as
 candidates and once as a query; rows with a null id take no part; an empty table, or one
@@ -30,18 +31,23 @@ from pyspark.sql import functions as F
 
 LEVELS = (1, 4, 16)
 ROWS_AT_ONCE = 2048
+MOST = 2**63 - 1
 
 
 def quantised(df: DataFrame, scale: int, id_col: str, vec_col: str) -> DataFrame:
-    """vec_id, v (array<bigint>): floor(scale * x) of the rows that take part."""
-    big = F.expr("9223372036854775807D")
-    ok = F.col("v").isNotNull() & ~F.exists(
-        "v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) * F.lit(float(scale)) >= big)
-    )
+    """vec_id, v (array<bigint>): floor(scale * x) of the rows that take part, held to the 64-bit range."""
+    ok = F.col("v").isNotNull() & ~F.exists("v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == F.lit(float("inf"))))
+    most = F.lit(2.0**63)
+
+    def whole(x):
+        y = F.floor(F.when(F.abs(x * F.lit(float(scale))) < most, x * F.lit(float(scale))).otherwise(F.lit(0.0)))
+        edge = F.when(x > 0, F.lit(MOST)).otherwise(F.lit(-MOST))
+        return F.when(F.abs(x * F.lit(float(scale))) < most, y).otherwise(edge)
+
     return (
         df.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).cast("array<double>").alias("v"))
         .where(F.col("vec_id").isNotNull() & ok)
-        .select("vec_id", F.transform("v", lambda x: F.floor(x * F.lit(float(scale)))).alias("v"))
+        .select("vec_id", F.transform("v", whole).alias("v"))
     )
 
 
@@ -89,9 +95,10 @@ class Search:
         mine = self.stats[d]
         # Rounding of the bounds in double precision is far below this slack.
         slack = 1.0 + 1e-9 * np.abs(mine[0]).max(initial=0) * np.abs(levels[0]).max(initial=0) * d
-        coarse = mine[0] @ levels[0].T + slack
+        # Scores are held to the 64-bit range, so no bound is below it.
+        coarse = np.maximum(mine[0] @ levels[0].T + slack, -(2.0**63))
         # Components past 2**20 or so could overflow 64-bit products: exact Python integers then.
-        top = int(np.abs(rows).max(initial=0)), int(np.abs(self.vectors).max(initial=0))
+        top = [max(int(x.max(initial=0)), -int(x.min(initial=0))) for x in (rows, self.vectors)]
         exact = top[0] * top[1] * d < 2**62
         for q in range(len(self.ids)):
             order = np.argsort(-coarse[q], kind="stable")
@@ -102,7 +109,7 @@ class Search:
                     break
                 for a, b in zip(mine[1:], levels[1:]):
                     if len(part) and np.isfinite(self.least[q]):
-                        part = part[b[part] @ a[q] + slack >= self.least[q]]
+                        part = part[np.maximum(b[part] @ a[q] + slack, -(2.0**63)) >= self.least[q]]
                 if len(part):
                     self.keep(q, ids[part], rows[part], exact)
 
@@ -110,11 +117,13 @@ class Search:
         if exact:
             got = rows @ self.vectors[q]
         else:
-            got = np.array([sum(int(a) * int(b) for a, b in zip(r, self.vectors[q])) for r in rows], dtype=np.int64)
+            own = self.vectors[q].tolist()
+            sums = (sum(a * b for a, b in zip(r, own)) for r in rows.tolist())
+            got = np.array([max(-MOST - 1, min(MOST, x)) for x in sums], dtype=np.int64)
         self.products += len(ids)
         score = np.concatenate([self.score[q], got])
         found = np.concatenate([self.found[q], ids])
-        best = np.lexsort((found, -score))[: self.k]
+        best = np.lexsort((found, ~score))[: self.k]  # ~ turns the order around without overflow
         self.score[q], self.found[q] = score[best], found[best]
         if len(best) == self.k:
             self.least[q] = float(self.score[q][-1])

@@ -20,8 +20,9 @@ register agrees in two sketches about as often as the sets' Jaccard similarity.
    (42 bands of 6). This last comparison is outsiders times members, at some tens of nanoseconds.
 
 Texts without words are linked with nothing; nulls are empty texts; rows with a null id take no
-part and are their own class (null component, kept); rows that repeat an id are one document;
-an empty table gives an empty result. Only the id and text columns are read.
+part and are their own class (null component, kept); rows that repeat an id are one node of the
+graph, linked with whatever any of its texts is linked with: they share a component, each has its own
+n_shingles, and equal ones are repeated in the result; an empty table gives an empty result. Only the id and text columns are read.
 """
 
 from __future__ import annotations
@@ -310,7 +311,14 @@ def near_duplicates(
     members = staged(bands.join(buckets, "key"), "members")
     pairs = staged(members.where("id <> hub").select(*ordered("id", "hub")).distinct(), "pairs")
     sets = staged(full_sets(docs, members.select("id").distinct(), size), "sets")
-    links = staged(verified(pairs, sets, percent), "links")
+    links = verified(pairs, sets, percent)
+    again = rows.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.count("*").alias("k")).where("k > 1").select("doc_id")
+    again = staged(again, "repeated")
+    repeated = not again.isEmpty()
+    if repeated:  # the texts of one id belong together
+        texts = rows.where("n > 0").join(again, "doc_id").join(classes.drop("registers"), ["f1", "f2", "n"])
+        links = links.union(texts.groupBy("doc_id", "id").agg(F.lit(1)).select(*ordered("doc_id", "id")))
+    links = staged(links, "links")
     component = staged(connected(links), "components")
 
     placed = members.join(component, "id", "left").select("key", "id", F.coalesce("component", "id").alias("component"))
@@ -335,6 +343,10 @@ def near_duplicates(
     )
     found = rows.select("doc_id", "n", "f1", "f2").join(smallest, ["f1", "f2", "n"], "left")
     component_id = F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id"))
+    if repeated:  # an id whose only text is a copy has its node in no class; an empty text has none either
+        nodes = component.select(F.col("id").alias("doc_id"), F.col("component").alias("own")).join(again, "doc_id", "left_semi")
+        found = found.join(nodes, "doc_id", "left")
+        component_id = F.when(F.col("doc_id").isNotNull(), F.coalesce("own", "component_id", "doc_id"))
     return found.select(
         "doc_id",
         F.col("n").alias("n_shingles"),

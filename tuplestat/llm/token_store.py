@@ -7,9 +7,10 @@ its shard, number, first id within the shard, document ids and payload, so that
 Spark writes to will do. Reading decodes blocks independently; the ids before a document are
 the totals of earlier shards (one row per shard) plus its place within its own.
 
-The word-level tokenizer drops white space and its pre-tokenizer never joins across it, so a
-text is encoded chunk by chunk through a bounded table of chunks already seen; the table holds
-what the library returned for a chunk. A block closes at the first document that fills it.
+A tokenizer that drops white space and never joins across it (`cuts_at_space` proves this on its
+settings) encodes a text chunk by chunk through a bounded table of chunks already seen; the table
+holds what the library returned for a chunk. Any other tokenizer encodes whole texts; truncation and
+padding in its file are switched off. A block closes at the first document that fills it.
 
 Nulls are empty texts (only the end id is written); a null doc_id sorts first; repeated rows
 are written each; an empty table gives no blocks. Only the id and text columns are read.
@@ -17,6 +18,7 @@ are written each; an empty table gives no blocks. Only the id and text columns a
 
 from __future__ import annotations
 
+import json
 import os
 import re
 import zlib
@@ -34,14 +36,14 @@ from .shared import batch_of, held, id_text, slices, text_bytes
 from .simple8b import pack_block, unpack_block
 
 BLOCKS = "shard int, block int, first long, n_ids long, doc_ids array<long>, payload binary"
-TABLE_CHUNKS = 1_000_000
+TABLE_BYTES = 128 << 20
 
 
 class ChunkIds(IdTable):
     """Chunks of texts between white space; joined texts fall apart at word-end pieces."""
 
-    def __init__(self, tokenizer, rows: int = TABLE_CHUNKS):
-        super().__init__(rows)
+    def __init__(self, tokenizer, most_bytes: int = TABLE_BYTES):
+        super().__init__(most_bytes)
         self.encode = getattr(tokenizer, "encode_batch_fast", tokenizer.encode_batch)
         vocab = tokenizer.get_vocab(with_added_tokens=True)
         suffix = getattr(tokenizer.model, "end_of_word_suffix", None)
@@ -104,9 +106,70 @@ def chunks_of(texts: pa.Array, special: tuple[str, ...] = ()) -> pa.ListArray:
     return pc.split_pattern(pc.replace_substring(pc.if_else(lower, low, texts), "\n", " "), " ")
 
 
-def encode_texts(texts: pa.Array, table: ChunkIds, end: int | None) -> tuple[np.ndarray, np.ndarray]:
+#: Settings of a tokenizer file under which spaces and line feeds only separate. The pattern's
+#: branches match no white space but runs of it, and what it doesn't match is removed.
+SPACE_NORMALISERS = (
+    {"type": "NFC"},
+    {"type": "Replace", "pattern": {"Regex": r"\s+"}, "content": " "},
+    {"type": "Lowercase"},
+)
+NO_SPACE_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+
+
+def cuts_at_space(source: str) -> bool:
+    """Whether a tokenizer file is known to give each stretch between spaces or line feeds the ids that
+    it has inside any text, with A-Z lowered: the settings of the word-level file, and added tokens
+    that hold no white space, do not strip it and are matched as they stand."""
+    j = json.loads(source)
+    steps = (j.get("pre_tokenizer") or {}).get("pretokenizers") or [{}]
+    split, rest = steps[0], steps[1:]
+    return (
+        (j.get("normalizer") or {}).get("type") == "Sequence"
+        and tuple(j["normalizer"]["normalizers"]) == SPACE_NORMALISERS
+        and (split.get("type"), split.get("pattern"), split.get("behavior"), split.get("invert"))
+        == ("Split", {"Regex": NO_SPACE_PATTERN}, "Removed", True)
+        and len(rest) == 1
+        and (rest[0].get("type"), rest[0].get("add_prefix_space"), rest[0].get("use_regex")) == ("ByteLevel", False, False)
+        and j["model"].get("type") == "BPE"
+        and not j["model"].get("dropout")
+        and not any(
+            t["single_word"] or t["lstrip"] or t["rstrip"] or t["normalized"] or any(c.isspace() for c in t["content"])
+            for t in j.get("added_tokens", ())
+        )
+    )
+
+
+class WholeTexts:
+    """Texts to ids without cuts."""
+
+    def __init__(self, tokenizer):
+        tokenizer.no_truncation()
+        tokenizer.no_padding()
+        self.encode = getattr(tokenizer, "encode_batch_fast", tokenizer.encode_batch)
+
+    def encoded(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        lists = [e.ids for e in self.encode([t or "" for t in texts.to_pylist()], add_special_tokens=False)]
+        return flat_ids(lists), np.array([len(x) for x in lists], dtype=np.int64)
+
+
+def coder(source: str):
+    """What encodes texts under a tokenizer file."""
+    from tokenizers import Tokenizer
+
+    tokenizer = Tokenizer.from_str(source)
+    if not cuts_at_space(source):
+        return WholeTexts(tokenizer)
+    tokenizer.no_truncation()
+    tokenizer.no_padding()
+    return ChunkIds(tokenizer)
+
+
+def encode_texts(texts: pa.Array, table: ChunkIds | WholeTexts, end: int | None) -> tuple[np.ndarray, np.ndarray]:
     """(ids of all texts end to end, number of ids of each); `end` goes behind every text."""
-    ids, per_text, _ = table.encoded_column(chunks_of(texts, table.special))
+    if isinstance(table, WholeTexts):
+        ids, per_text = table.encoded(texts)
+    else:
+        ids, per_text, _ = table.encoded_column(chunks_of(texts, table.special))
     if end is not None:
         ids = np.insert(ids, np.cumsum(per_text), np.uint32(end))
         per_text = per_text + 1
@@ -131,9 +194,7 @@ def write_tokens(
 
     def run(batches):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
-
-        table = held(("store", key), lambda: ChunkIds(Tokenizer.from_str(shipped.value)))
+        table = held(("store", key), lambda: coder(shipped.value))
         schema = pa.schema(
             [
                 ("shard", pa.int32()),
@@ -157,7 +218,7 @@ def write_tokens(
             block, first, coded, sizes, names = block + 1, first + len(ids), [], [], []
             return out
 
-        for part in slices(batches, 8 << 20):
+        for part in slices(batches, 4 << 20):
             ids, lengths = encode_texts(part.column(1), table, end_id)
             at = size = 0
             for name, n in zip(part.column(0).to_pylist(), lengths.tolist()):

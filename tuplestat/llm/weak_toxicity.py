@@ -1,21 +1,23 @@
 """Toxicity by weak supervision.
 
-Lexicon voters come from a short list of insults and from words, and pattern voters from word beginnings of three to six letters,
-that labelled training rows show to be toxic far more often than chance; words are dealt to
-several voters by a hash. Further pattern voters look at the writing (capitals, exclamation
-marks, digits), and clean-voters vote when nothing listed occurs. Each vote is toxic, clean or
-an abstention.
-
-A generative label model then learns, without the labels, how often each voter is right (an EM
+Voters: lexicons of insults by category; lexicons of words (by length) and pattern voters of word
+beginnings (of three to six letters) that a development set, the labelled training rows, shows to
+be toxic far more often than chance, also by tiers of that evidence; patterns of writing (capitals,
+exclamation marks, digits, several hits); and voters for clean that vote when nothing listed
+occurs. Languages whose insults no public list names have their lexicons from the development set
+only. Each vote is toxic, clean or an abstention.
+
+A generative label model then learns from the votes alone how often each voter is right (an EM
 over the hidden class with three-way votes) and which voters repeat each other: the votes'
 correlation given the class discounts a voter's evidence by the number of voters it agrees
-with. Its posterior probabilities are the targets of a linear classifier on the listed words
-and beginnings, which can generalise over them; a two-parameter scaling on the training labels
-turns its margin into a probability at the training rows' share of toxic texts.
+with. It is given the class balance and no label. Its posterior probabilities are the targets of a
+linear classifier on the listed words and beginnings, which generalises over them; a two-parameter
+scaling on the training labels turns its margin into a probability at the training rows' share of
+toxic texts. So labels choose patterns, balance and scale, and never a row's target.
 
-The fit takes a bounded sample, `fit_rows` labelled rows at most per class by a keyed hash of
-the id; its texts (and nothing else) come to the driver. Scoring covers all rows in one scan
-without a shuffle.
+The fit takes a bounded sample, `fit_rows` labelled rows at most per class by a keyed hash of the
+id. Its texts stay on the executors: feature counts, at most `most` chosen features and each row's
+list of them come to the driver. Scoring covers all rows in one scan without a shuffle.
 
 Nulls are empty texts, which get the score of a text without evidence; rows with a null id are
 scored and never train; repeated rows each give a row; labels with null or other values are
@@ -25,68 +27,57 @@ ignored; without any usable label of one class every score is the known share (0
 from __future__ import annotations
 
 import re
-import zlib
 from collections import Counter
 from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .linear import fit_logistic, fit_sparse_logistic, sigmoid
-from .shared import batch_of, bounded_batches, held, slices
+from .shared import batch_of, bounded_batches, discard, held, slices, staged, thrifty
 
 WORD = re.compile(r"[^\W_]+")
 BEGINNINGS = (3, 4, 5, 6)
-SHARDS = 8
-CACHE_WORDS = 250_000
-
+CACHE_WORDS = 60_000
 
-#: A list of common insults, as one voter by itself; languages without a list rely on what
-#: labelled rows show.
-SEEDS = frozenset(
-    "idiot idiots moron morons stupid dumb loser losers pathetic worthless disgusting trash scum clown fool jerk "
-    "ugly imbecile vermin filth".split()
-)
-LISTED = "#listed"
+#: Common insults by category, a voter each.
+INSULTS = {
+    "mind": "idiot idiots moron morons stupid dumb fool imbecile clown",
+    "worth": "loser losers pathetic worthless trash scum vermin filth",
+    "disgust": "disgusting ugly jerk",
+}
+CATEGORY = {w: f"#{name}" for name, words in INSULTS.items() for w in words.split()}
 
 
 def features_of(word: str) -> list[str]:
-    """A word, its proper beginnings (marked by a star), and the mark of the list if it is on it."""
-    return [word] + [word[:k] + "*" for k in BEGINNINGS if len(word) > k] + [LISTED] * (word in SEEDS)
+    """A word, its proper beginnings (marked by a star), and its category if it is a listed insult."""
+    listed = CATEGORY.get(word)
+    return [word] + [word[:k] + "*" for k in BEGINNINGS if len(word) > k] + ([listed] if listed else [])
 
 
 def words_of(text: str) -> set[str]:
     return set(WORD.findall(text.lower()))
 
 
-def select_features(texts: list[str], y: np.ndarray, most: int = 20_000) -> dict[str, int]:
-    """Features far more frequent in toxic rows: log-odds of two or more at four standard errors.
+def count_features(texts: list[str], y: list[int]) -> list[tuple[str, int, int]]:
+    """(feature, toxic rows, other rows) of a batch."""
+    counts = Counter(), Counter()
+    for t, label in zip(texts, y):
+        counts[label].update({f for w in words_of(t) for f in features_of(w)})
+    return [(f, counts[1][f], counts[0][f]) for f in counts[0].keys() | counts[1].keys()]
 
-    Toxic rows are counted first and only what occurs in three of them is counted in the others,
-    which keeps the table short.
-    """
-    pos: Counter[str] = Counter()
-    for t, label in zip(texts, y.tolist()):
-        if label:
-            pos.update({f for w in words_of(t) for f in features_of(w)})
-    pos = Counter({f: k for f, k in pos.items() if k >= 3})
-    neg: Counter[str] = Counter()
-    for t, label in zip(texts, y.tolist()):
-        if not label:
-            neg.update({f for w in words_of(t) for f in features_of(w) if f in pos})
-    n1, n0 = int(y.sum()), int(len(y) - y.sum())
-    ranked = []
-    for f, p in pos.items():
-        n = neg[f]
-        odds = np.log((p + 0.5) / (n1 - p + 0.5)) - np.log((n + 0.5) / (n0 - n + 0.5))
-        error = np.sqrt(1 / (p + 0.5) + 1 / (n + 0.5))
-        if odds >= 2 and (odds / error >= 4 or (n == 0 and p >= 5)):
-            ranked.append((-odds / error, f))
-    ranked.sort()
-    return {f: i for i, (_, f) in enumerate(ranked[:most])}
+
+def select_features(counts: DataFrame, n1: int, n0: int, most: int) -> dict[str, int]:
+    """Features far more frequent in toxic rows, best first: in three of them at least, with log-odds
+    of two or more at four standard errors."""
+    p, n = F.col("p"), F.col("n")
+    odds = F.log((p + 0.5) / (F.lit(n1) - p + 0.5)) - F.log((n + 0.5) / (F.lit(n0) - n + 0.5))
+    error = F.sqrt(1 / (p + 0.5) + 1 / (n + 0.5))
+    ranked = counts.groupBy("f").agg(F.sum("p").alias("p"), F.sum("n").alias("n")).where("p >= 3")
+    ranked = ranked.withColumn("z", odds / error).where((odds >= 2) & ((F.col("z") >= 4) | ((n == 0) & (p >= 5))))
+    return {r.f: i for i, r in enumerate(ranked.orderBy(F.desc("z"), "f").limit(most).select("f").collect())}
 
 
 @dataclass
@@ -129,26 +120,51 @@ def rows_of(texts: list[str], table: Table) -> list[np.ndarray]:
     return out
 
 
-def votes_of(rows: list[np.ndarray], texts: list[str], features: dict[str, int]) -> tuple[np.ndarray, list[str]]:
-    """Votes (1 toxic, -1 clean, 0 none), rows x voters, and the voters' names."""
-    names = [f"words{k}" for k in range(SHARDS)] + [f"begin{k}" for k in BEGINNINGS]
-    kind = np.zeros(max(len(features), 1), dtype=np.int64)
+def shape_votes(text: str) -> tuple[int, int, int]:
+    """Votes of the patterns of writing: capitals, exclamation marks, digits."""
+    n = max(len(text), 1)
+    return (
+        int(sum(map(str.isupper, text)) > 0.5 * n),
+        int(text.count("!") > 0.02 * n),
+        -int(sum(map(str.isdigit, text)) > 0.1 * n),
+    )
+
+
+#: Voters over all listed features, by name; each sees another side of a row's hits.
+LENGTHS = ((1, 5), (6, 8), (9, 10_000))
+TIERS = 4
+
+
+def voters(features: dict[str, int]) -> tuple[list[str], np.ndarray]:
+    """The names of the lexicon and beginning voters, and which of them each feature belongs to
+    (features x voters): its category, the length of its beginning or word, its tier by rank. A
+    voter spans languages, since voters of one language each would look like classes of their own."""
+    names = [f"insult_{c}" for c in INSULTS] + [f"begins_{k}" for k in BEGINNINGS]
+    names += [f"words_{lo}_{hi}" for lo, hi in LENGTHS] + [f"tier_{t}" for t in range(TIERS)]
+    member = np.zeros((max(len(features), 1), len(names)), dtype=bool)
     for f, i in features.items():
-        kind[i] = SHARDS + BEGINNINGS.index(len(f) - 1) if f.endswith("*") else zlib.crc32(f.encode()) % SHARDS
-    votes = np.zeros((len(rows), len(names) + 6), dtype=np.int8)
-    for i, (hit, text) in enumerate(zip(rows, texts)):
-        kinds = np.unique(kind[hit]) if len(hit) else ()
-        votes[i, list(kinds)] = 1
-        n = max(len(text), 1)
-        words = any(k < SHARDS for k in kinds)
-        begins = any(k >= SHARDS for k in kinds)
-        votes[i, -6] = 1 if len(hit) >= 3 else 0
-        votes[i, -5] = 0 if words else -1
-        votes[i, -4] = 0 if begins else -1
-        votes[i, -3] = 1 if sum(map(str.isupper, text)) > 0.5 * n else 0
-        votes[i, -2] = 1 if text.count("!") > 0.02 * n else 0
-        votes[i, -1] = -1 if sum(map(str.isdigit, text)) > 0.1 * n else 0
-    return votes, [*names, "several", "no_word", "no_beginning", "capitals", "exclamations", "digits"]
+        if f.startswith("#"):
+            member[i, names.index(f"insult_{f[1:]}")] = True
+            continue
+        if f.endswith("*"):
+            member[i, names.index(f"begins_{len(f) - 1}")] = True
+        else:
+            member[i, names.index(next(f"words_{lo}_{hi}" for lo, hi in LENGTHS if lo <= len(f) <= hi))] = True
+        member[i, names.index(f"tier_{i * TIERS // len(features)}")] = True
+    return names, member
+
+
+def votes_of(rows: list[np.ndarray], shapes: list, features: dict[str, int]) -> tuple[np.ndarray, list[str]]:
+    """Votes (1 toxic, -1 clean, 0 none), rows x voters, and the voters' names."""
+    names, member = voters(features)
+    begins = member[:, len(INSULTS) : len(INSULTS) + len(BEGINNINGS)].any(axis=1)
+    votes = np.zeros((len(rows), len(names) + 8), dtype=np.int8)
+    for i, (hit, shape) in enumerate(zip(rows, shapes)):
+        stems = int(begins[hit].sum()) if len(hit) else 0
+        if len(hit):
+            votes[i, : len(names)] = member[hit].any(axis=0)
+        votes[i, -8:] = (len(hit) >= 3, len(hit) >= 6, -(len(hit) == stems), -(stems == 0), -(len(hit) == 0), *shape)
+    return votes, [*names, "three_hits", "six_hits", "no_word", "no_beginning", "no_hit", "capitals", "exclamations", "digits"]
 
 
 def label_model(votes: np.ndarray, balance: float = 0.5, rounds: int = 50) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -195,14 +211,11 @@ def margins(rows: list[np.ndarray], weights: np.ndarray) -> np.ndarray:
     return np.array([weights[r].sum() for r in rows]) + weights[-1]
 
 
-def fit(texts: list[str], labels: np.ndarray, prior: float) -> Model:
-    """The whole chain on a sample; `prior` is the share of toxic rows that scores should have."""
+def fit(rows: list[np.ndarray], shapes: list, labels: np.ndarray, features: dict[str, int], prior: float) -> Model:
+    """Label model, classifier and scale from rows of feature numbers; `prior` is the share of
+    toxic rows that scores should have."""
     y = labels.astype(np.int64)
-    if len(y) == 0 or y.min() == y.max():
-        return Model(prior=float(prior))
-    features = select_features(texts, y)
-    rows = rows_of(texts, Table(features))
-    votes, names = votes_of(rows, texts, features)
+    votes, names = votes_of(rows, shapes, features)
     posterior, accuracy, discount = label_model(votes, float(y.mean()))
     weights = fit_sparse_logistic(rows, posterior, len(features))
     weight = np.where(y == 1, prior / y.mean(), (1 - prior) / (1 - y.mean()))
@@ -231,8 +244,9 @@ def fit_model(
     id_col: str = "doc_id",
     text_col: str = "text",
     label_col: str = "toxic",
+    most: int = 20_000,
 ) -> Model:
-    """Fit on at most `fit_rows` training rows of each class."""
+    """Fit on at most `fit_rows` training rows of each class and `most` features."""
     usable = (
         labels.select(F.col(id_col).cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("y"))
         .where(F.col("doc_id").isNotNull() & F.col("y").isin(0, 1) & ~held_out_by_crc(F.col("doc_id")))
@@ -243,14 +257,47 @@ def fit_model(
         one = usable.where(F.col("y") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(fit_rows)
         picked = one if picked is None else picked.union(one)
     ids = picked.dropDuplicates(["doc_id"])
-    sample = (
+    bounded_batches(docs.sparkSession)
+    sample = staged(
         docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
         .join(F.broadcast(ids), "doc_id")  # 2 * fit_rows short rows at most
-        .dropDuplicates(["doc_id"])
-        .collect()
+        .dropDuplicates(["doc_id"]),
+        "fit",
+    )
+    n = {r.y: r.n for r in sample.groupBy("y").agg(F.count("*").alias("n")).collect()}
+    if len(n) < 2:
+        discard(sample)
+        return Model(prior=float(share or 0.0))
+
+    def counted(batches):
+        schema = pa.schema([("f", pa.string()), ("p", pa.int64()), ("n", pa.int64())])
+        for part in slices(batches, 1 << 20):
+            found = count_features([t or "" for t in part.column(0).to_pylist()], part.column(1).to_pylist())
+            if found:
+                yield batch_of(schema, *zip(*found))
+
+    features = select_features(sample.select("text", "y").mapInArrow(counted, "f string, p long, n long"), n[1], n[0], most)
+    shipped = docs.sparkSession.sparkContext.broadcast(features)
+
+    def listed(batches):
+        schema = pa.schema([("doc_id", pa.int64()), ("y", pa.int32()), ("hit", pa.list_(pa.int32())), ("shape", pa.list_(pa.int32()))])
+        table = Table(shipped.value)
+        for part in slices(batches, 1 << 20):
+            texts = [t or "" for t in part.column(1).to_pylist()]
+            hits = [np.sort(r).tolist() for r in rows_of(texts, table)]
+            yield batch_of(schema, part.column(0), part.column(2), hits, [list(shape_votes(t)) for t in texts])
+
+    # 2 * fit_rows rows of at most a few hundred numbers.
+    rows = sample.select("doc_id", "text", "y").mapInArrow(listed, "doc_id long, y int, hit array<int>, shape array<int>").collect()
+    discard(sample)
+    rows.sort(key=lambda r: r.doc_id)
+    return fit(
+        [np.array(r.hit, dtype=np.int64) for r in rows],
+        [tuple(r["shape"]) for r in rows],
+        np.array([r.y for r in rows], dtype=np.int64),
+        features,
+        float(share),
     )
-    sample.sort(key=lambda r: r.doc_id)
-    return fit([r.text or "" for r in sample], np.array([r.y for r in sample], dtype=np.int64), float(share or 0.0))
 
 
 def _table(model: Model) -> Table:
@@ -288,9 +335,10 @@ def score_column(text: Column, model: Model, spark) -> Column:
     bounded_batches(spark)
     shipped = spark.sparkContext.broadcast(model)
 
-    @F.pandas_udf("double")
-    def score(column: pd.Series) -> pd.Series:
+    @F.arrow_udf("double")
+    def score(column: pa.Array) -> pa.Array:
         m = shipped.value
-        return pd.Series(scores([t or "" for t in column.tolist()], m, _table(m)), index=column.index)
+        thrifty()
+        return pa.array(scores([t or "" for t in column.to_pylist()], m, _table(m)), pa.float64())
 
     return score(text)
