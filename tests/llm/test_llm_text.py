@@ -133,6 +133,8 @@ def test_secret_query_is_whole(spark, messy):
         base = naive_base(texts[r.doc_id])
         assert r.base_sha256 == hashlib.sha256(",".join(f"{G.KINDS[k]}:{a}:{b}" for a, k, b in base).encode()).hexdigest()
         assert [r.n_assign, r.n_access, r.n_hex] == [sum(k == x for _, x, _ in base) for k in range(3)]
+    glued = "see " + "0123456789abcdef" * 2 + "/ghp_" + "aB3dE5" * 6 + " and " + "QwErTyUiOpAsDfGhJkLzXcVbNmQwErTyUiOpAsDfGh end"
+    assert [(k, glued[a:b][:4]) for a, k, b in G.grammar_spans(glued, G.base_spans(glued), G.fit_model(), 0.6)] == [(3, "ghp_"), (3, "QwEr")]
     assert got[1].n_grammar == 1 and got[0].spans == "assign:4:22,access:23:43"
     assert d.select(G.redact(F.col("text")).alias("t")).first().t == "pw: [secret] [secret] x"
 
@@ -190,13 +192,14 @@ def test_other_tokenizers_encode_whole_texts(spark):
 
 def test_pieces_give_the_librarys_counts_and_ids():
     sp = sentencepiece.SentencePieceProcessor(model_file=SP)
-    count = token_counts.BoundedTable(token_counts.piece_counter(sp), 300)
     backend = piece_codec.build_backend(piece_codec.parse_model(open(SP, "rb").read()))
     table = piece_codec.PieceIds(backend, sp, 70_000)
     for i in range(0, 4000, 200):
         texts = random_texts(200, i)
         want = sp.encode(texts)
-        assert token_counts.count_texts(texts, count) == [len(w) for w in want]
+        names, many = token_counts.pre_tokens(pa.array(texts, pa.string()))
+        pieces = np.concatenate([[0], np.cumsum(token_counts.count_pieces(names.to_pylist(), sp))])
+        assert np.diff(pieces[np.concatenate([[0], np.cumsum(many)])]).tolist() == [len(w) for w in want]
         ids, n, off, lost = piece_codec.encode_texts(texts, table)
         assert n.tolist() == [len(w) for w in want] and ids.tolist() == sum(want, [])
         back = backend.decode_batch(want, skip_special_tokens=False)
@@ -236,6 +239,8 @@ def test_token_queries(spark, messy):
     texts = [(r.doc_id, r.text or "") for r in messy.collect()]
     counts = sorted((r.doc_id if r.doc_id is not None else -1, r.n_bytes, r.n_tokens, r.over_limit) for r in token_counts.token_counts(messy, SP).collect())
     assert counts == sorted((-1 if i is None else i, len(t.encode()), len(sp.encode(t)), len(sp.encode(t)) > 4096) for i, t in texts)
+    few = token_counts.token_counts(messy, SP, common=3)  # nearly all pre-tokens take the join
+    assert sorted((-1 if r.doc_id is None else r.doc_id, r.n_bytes, r.n_tokens, r.over_limit) for r in few.collect()) == counts
     path = registry.staged_path(spark, "tokens-test")
     token_store.write_tokens(messy, path, WORD, block_ids=500)
     got = sorted((r.start, r.doc_id, r.n_tokens, r.ids_crc32) for r in token_store.read_tokens(spark, path).collect())

@@ -11,8 +11,12 @@ Labelled credentials come from `labelled_credentials` (publicly documented forma
 seeded generator) and may be replaced by the caller's own. The fit is tiny and runs on the
 driver; its result is a table of transitions of a few kilobytes.
 
+Candidates are all runs of 12 or more of the characters that credentials are made of, letters alone
+too, without the marks at their ends; where a pattern's span covers part of a run, what is left on
+either side is a candidate. The likelihood alone decides.
+
 Spans are half-open ranges of code points. The patterns' spans always stay; the automata add
-spans (kind `grammar`) of candidates that no pattern span overlaps. Nulls are empty texts
+spans (kind `grammar`) of candidates that score high enough. Nulls are empty texts
 without spans; repeated rows each give a row; an empty table gives an empty result. Only the
 id and text columns are read.
 """
@@ -42,7 +46,9 @@ HEX = re.compile(r"[0-9a-f]{32,}")  # a maximal run, as the greedy pattern with
 KINDS = ("assign", "access", "hex", "grammar")
 ASSIGN_VALUE, ACCESS_LENGTH = 8, 16
 
-CANDIDATE = re.compile(r"[A-Za-z0-9+/_.=-]{16,}")
+LEAST_LENGTH = 12
+CANDIDATE = re.compile(r"[A-Za-z0-9+/_.=-]{%d,}" % LEAST_LENGTH)
+MARKS = ".=-/"
 
 
 # ------------------------------------------------------------------ automata
@@ -59,6 +65,8 @@ def symbol(c: str) -> str:
     return c
 
 
+CLASS_OF = {ord(c): symbol(c) for c in string.ascii_letters + string.digits}
+SEEN_CLASSES = 50_000  # sequences of at most 64 classes: some megabytes
 SIZE = {"9": 10, "f": 6, "z": 20, "F": 6, "Z": 20}
 
 
@@ -252,10 +260,21 @@ class SecretModel:
             name: Scorer.of(infer(["".join(map(symbol, w)) for w in words], alpha)) for name, words in labelled.items()
         }
         self.background = Bigrams(ordinary)
+        self.seen: dict[str, float] = {}
 
     def gain(self, text: str) -> float:
-        best = max(s.score(text) for s in self.formats.values())
-        return (best - self.background.score(text)) / max(len(text), 1)
+        """Scores depend on character classes only, so each sequence of classes is scored once (while
+        it stays in a table of bounded size)."""
+        classes = text.translate(CLASS_OF)
+        found = self.seen.get(classes)
+        if found is None:
+            best = max(s.score(text) for s in self.formats.values())
+            found = (best - self.background.score(text)) / max(len(text), 1)
+            if len(text) <= 64:
+                if len(self.seen) >= SEEN_CLASSES:
+                    self.seen.clear()
+                self.seen[classes] = found
+        return found
 
 
 def fit_model(labelled: dict[str, list[str]] | None = None) -> SecretModel:
@@ -283,22 +302,32 @@ LETTER = re.compile("[A-Za-z]")
 
 
 def grammar_spans(text: str, base: list[tuple[int, int, int]], model: SecretModel, least: float):
-    """Candidates with letters and digits that score at least `least` bits a character."""
-    out = []
+    """Candidates (see the module's docstring) that score at least `least` bits a character."""
+    out, at = [], 0
     for m in CANDIDATE.finditer(text):
-        s = m.group()
-        if not (DIGIT.search(s) and LETTER.search(s)):
-            continue
-        a, b = m.span()
-        if any(x < b and a < y for x, _, y in base):
-            continue
-        core = s.strip(".=-/")
-        if len(core) >= 16 and model.gain(core) >= least:
-            at = a + s.index(core)
-            out.append((at, 3, at + len(core)))
+        lo, hi = m.span()
+        while at < len(base) and base[at][2] <= lo:
+            at += 1
+        for x, _, y in base[at:]:  # pieces of the run before each span that reaches into it
+            if x >= hi:
+                break
+            if y > lo:
+                judge(text, lo, x, model, least, out)
+                lo = max(lo, y)
+        judge(text, lo, hi, model, least, out)
     return out
 
 
+def judge(text: str, lo: int, hi: int, model: SecretModel, least: float, out: list) -> None:
+    """Add text[lo:hi] without marks at its ends to `out` if it is long and likely enough."""
+    if hi - lo < LEAST_LENGTH:
+        return
+    core = text[lo:hi].lstrip(MARKS)
+    lo, core = hi - len(core), core.rstrip(MARKS)
+    if len(core) >= LEAST_LENGTH and model.gain(core) >= least:
+        out.append((lo, 3, lo + len(core)))
+
+
 def joined(spans: list[tuple[int, int, int]]) -> str:
     return ",".join(f"{KINDS[k]}:{a}:{b}" for a, k, b in spans)
 
