@@ -147,7 +147,7 @@ def build_backend(model: PieceModel):
 
 
 OFF_PARITY, NO_ROUND_TRIP = 1, 2
-TABLE_BYTES = 40 << 20
+TABLE_BYTES = 80 << 20
 
 
 class PieceIds(IdTable):

@@ -40,7 +40,7 @@ from .shared import batch_of, bounded_batches, discard, held, slices, staged, th
 
 WORD = re.compile(r"[^\W_]+")
 BEGINNINGS = (3, 4, 5, 6)
-CACHE_WORDS = 60_000
+CACHE_WORDS = 120_000
 
 #: Common insults by category, a voter each.
 INSULTS = {
