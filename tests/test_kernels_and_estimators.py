@@ -211,3 +211,28 @@ def test_plans_scale(spark):
     k = {0: 20, 1: 10}
     p = plan(S.seeded(number_rows(s), k, 5, 2, 1).select("round", "worker"))
     assert "ArrowEvalPython" not in p and "BatchEvalPython" not in p
+
+
+def test_main_method_has_no_window_over_a_sample(spark, monkeypatch):
+    s = number_rows(frame(spark, range(40), range(20)))
+    k = sizes(s)
+    fused = E.repartitioned_u(s, AUC, 5, 3, 7, sizes=k)
+    text = plan(fused)
+    assert "Union" not in text and "row_number" not in text and text.count("Window") <= plan(Q.auc_by_worker(S.static(s, 5, 7))).count("Window")
+    made = []
+    monkeypatch.setattr(E, "seeded", lambda df, *a, **b: made.append(a[2]) or S.seeded(df, *a, **b))
+    one_by_one = E.repartitioned_u(s, AUC, 5, 3, 7, sizes=k, execution="iterative")
+    assert made == [1, 1, 1] and "Exchange" not in plan(one_by_one)  # three jobs of one round; their short rows are folded
+    key = lambda df: sorted((r["round"], r.worker, r.tuples, r.total) for r in df.collect())
+    assert key(one_by_one) == key(fused)
+    drawn = [key(E.repartitioned_u(s, AUC, 5, 3, 7, 6, k, execution=x)) for x in ("inverse", "fused", "iterative")]
+    assert drawn[0] == drawn[1] == drawn[2]
+
+
+def test_prefix_sums_within_groups_over_many_tasks(spark):
+    rng = np.random.default_rng(3)
+    rows = [("big" if i % 3 else f"g{i % 40}", float(v), int(c)) for i, (v, c) in enumerate(zip(rng.permutation(4000), rng.integers(1, 9, 4000)))]
+    df = spark.createDataFrame(rows, "g string, o double, v long").repartition(7)
+    got = {(r.g, r.o): r.before_v for r in Q.prefix_sums(df, "o", ("v",), ("g",)).collect()}
+    assert got == {(r.g, r.o): r.before_v for r in Q.prefix_sums(df, "o", ("v",), ("g",), local=True).collect()}
+    assert len(got) == 4000

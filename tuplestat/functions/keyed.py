@@ -40,32 +40,34 @@ def layers(n: int) -> int:
     return max(24, 2 * math.ceil(math.log2(max(n, 2))))
 
 
-def permute(idx: Column, n: int, seed: int, rnd: Column | int, sample: int) -> Column:
-    """Place of `idx` under the keyed permutation of 0..n-1 for (seed, rnd, sample)."""
-    rnd = rnd if isinstance(rnd, Column) else F.lit(rnd)
-    keys = F.sequence(F.lit(1), F.lit(layers(n)))
+def _layer(n: int, seed: int, rnd: Column, sample: int, hashed: str):
+    """One layer: x meets its partner k - x modulo n, and a hash of the larger one decides on a swap.
+    The layer undoes itself. Under "md5" any SQL engine can repeat it; "xxhash64" is faster."""
+
+    def h(shift: int, *parts: Column) -> Column:
+        if hashed == "md5":
+            return keyed_u64(seed + shift, rnd, sample, *parts)
+        return F.xxhash64(F.lit(seed + shift), rnd, F.lit(sample), *parts)
 
     def layer(x, j):
-        k = F.pmod(F.xxhash64(F.lit(seed), rnd, F.lit(sample), j), F.lit(n))
-        partner = F.pmod(k + F.lit(n) - x, F.lit(n))
-        swap = F.xxhash64(F.lit(seed + 1), rnd, F.lit(sample), j, F.greatest(x, partner)).bitwiseAND(F.lit(1)) == 1
+        partner = F.pmod(F.pmod(h(0, j), F.lit(n)) + F.lit(n) - x, F.lit(n))
+        swap = h(1, j, F.greatest(x, partner)).bitwiseAND(F.lit(1)) == 1
         return F.when(swap, partner).otherwise(x)
 
-    return F.aggregate(keys, idx.cast("long"), layer)
+    return layer
 
 
-def unpermute(place: Column, n: int, seed: int, rnd: Column | int, sample: int) -> Column:
-    """Inverse of `permute`: every layer undoes itself, so the layers run backwards."""
+def permute(idx: Column, n: int, seed: int, rnd: Column | int, sample: int, hashed: str = "xxhash64") -> Column:
+    """Place of `idx` under the keyed permutation of 0..n-1 for (seed, rnd, sample)."""
     rnd = rnd if isinstance(rnd, Column) else F.lit(rnd)
-    keys = F.sequence(F.lit(layers(n)), F.lit(1), F.lit(-1))
+    return F.aggregate(F.sequence(F.lit(1), F.lit(layers(n))), idx.cast("long"), _layer(n, seed, rnd, sample, hashed))
 
-    def layer(x, j):
-        k = F.pmod(F.xxhash64(F.lit(seed), rnd, F.lit(sample), j), F.lit(n))
-        partner = F.pmod(k + F.lit(n) - x, F.lit(n))
-        swap = F.xxhash64(F.lit(seed + 1), rnd, F.lit(sample), j, F.greatest(x, partner)).bitwiseAND(F.lit(1)) == 1
-        return F.when(swap, partner).otherwise(x)
 
-    return F.aggregate(keys, place.cast("long"), layer)
+def unpermute(place: Column, n: int, seed: int, rnd: Column | int, sample: int, hashed: str = "xxhash64") -> Column:
+    """Inverse of `permute`: every layer undoes itself, so the layers run backwards."""
+    rnd = rnd if isinstance(rnd, Column) else F.lit(rnd)
+    keys = F.sequence(F.lit(layers(n)), F.lit(1), F.lit(-1))
+    return F.aggregate(keys, place.cast("long"), _layer(n, seed, rnd, sample, hashed))
 
 
 def sample_fraction(df: DataFrame, key: Column, fraction: float, seed: int) -> DataFrame:

@@ -14,7 +14,10 @@ from pyspark.sql import functions as F
 
 from ..functions.keyed import keyed_u64, permute, sample_rows, unpermute
 from .kernels import Kernel
+from .samples import number_rows
+from .samples import sizes as count_rows
 from .schemes import hash_rank, seeded
+from .sorted_forms import auc_by_worker
 
 
 def _named(df: DataFrame, sample: int, name: str, extra: tuple[str, ...] = ()) -> DataFrame:
@@ -28,6 +31,10 @@ def summed(pairs: DataFrame, value: Column, by: tuple[str, ...] = ()) -> DataFra
     )
 
 
+#: The largest table of numbers that an estimator ships to every task.
+BROADCAST_BYTES = 64 << 20
+
+
 # ------------------------------------------------------------------ over all tuples
 
 
@@ -86,7 +93,7 @@ def complete_tiled(samples: DataFrame, kernel: Kernel, grid: tuple[int, int], se
     )
 
 
-def complete_auc_broadcast(samples: DataFrame, most_rows: int = 8_000_000) -> DataFrame:
+def complete_auc_broadcast(samples: DataFrame, most_rows: int = BROADCAST_BYTES // 8) -> DataFrame:
     """tuples, total, estimate of the strict AUC when the second sample is small (checked): its
     sorted scores go to every task, which answers each of its rows by binary search. Nothing is
     shuffled but one short row per task, whatever the size of the first sample."""
@@ -97,7 +104,7 @@ def complete_auc_broadcast(samples: DataFrame, most_rows: int = 8_000_000) -> Da
     m = minority.count()
     if m > most_rows:
         raise ValueError(f"{m} rows are too many to broadcast; use sorted_forms.auc_counts")
-    z = np.sort(np.array([r.score for r in minority.collect()], dtype=float))
+    z = np.sort(minority.toArrow().column(0).to_numpy())
     shipped = samples.sparkSession.sparkContext.broadcast(z)
     schema = pa.schema([("tuples", pa.int64()), ("total", pa.float64())])
 
@@ -185,13 +192,13 @@ def subsample_u(samples: DataFrame, kernel: Kernel, sizes: dict[int, int], seed:
 # ------------------------------------------------------------------ within workers
 
 
-def worker_grid(spark, workers: int, rounds: int) -> DataFrame:
+def worker_grid(spark, workers: int, rounds: int, first: int = 1) -> DataFrame:
     return spark.range(workers).select(F.col("id").cast("int").alias("worker")).withColumn(
-        "round", F.explode(F.sequence(F.lit(1), F.lit(rounds)))
+        "round", F.explode(F.sequence(F.lit(first), F.lit(first + rounds - 1)))
     )
 
 
-def local_estimates(assigned: DataFrame, kernel: Kernel, workers: int, rounds: int, empty: str = "zero") -> DataFrame:
+def local_estimates(assigned: DataFrame, kernel: Kernel, workers: int, rounds: int, empty: str = "zero", first: int = 1) -> DataFrame:
     """round, worker, tuples, total, value: the kernel's mean over the tuples inside each worker.
 
     Tuples meet through an equi-join on (round, worker). The grid of all workers is joined last,
@@ -200,21 +207,21 @@ def local_estimates(assigned: DataFrame, kernel: Kernel, workers: int, rounds: i
     by = ("round", "worker")
     pairs = tuples(assigned, kernel, by)
     names = [c for c in pairs.columns if c not in by]
-    return _with_empty(summed(pairs, kernel(*map(F.col, names)), by), workers, rounds, empty)
+    return _with_empty(summed(pairs, kernel(*map(F.col, names)), by), workers, rounds, empty, first)
 
 
-def _with_empty(found: DataFrame, workers: int, rounds: int, empty: str) -> DataFrame:
+def _with_empty(found: DataFrame, workers: int, rounds: int, empty: str, first: int = 1) -> DataFrame:
     value = F.when(F.col("tuples") > 0, F.col("total") / F.col("tuples"))
     if empty == "skip":
         return found.withColumn("value", value)
-    grid = worker_grid(found.sparkSession, workers, rounds)
+    grid = worker_grid(found.sparkSession, workers, rounds, first)
     full = grid.join(found, ["round", "worker"], "left").fillna(0, ["tuples"]).fillna(0.0, ["total"])
     missing = F.lit(0.0) if empty == "zero" else F.raise_error(F.lit("a worker has no tuples")).cast("double")
     return full.withColumn("value", F.coalesce(value, missing))
 
 
 def local_incomplete(
-    assigned: DataFrame, kernel: Kernel, workers: int, rounds: int, batch: int, seed: int, sizes: dict[int, int], empty: str = "zero"
+    assigned: DataFrame, kernel: Kernel, workers: int, rounds: int, batch: int, seed: int, sizes: dict[int, int], empty: str = "zero", first: int = 1
 ) -> DataFrame:
     """The same over `batch` pairs drawn with replacement inside each worker and round. Parts are
     proportional, so their sizes and slots are known without a window. The draws (which the
@@ -228,7 +235,7 @@ def local_incomplete(
 
     d = F.col("draw")
     drawn = (
-        worker_grid(spark, workers, rounds)
+        worker_grid(spark, workers, rounds, first)
         .withColumn("draw", F.explode(F.sequence(F.lit(0), F.lit(batch - 1))))
         .where((part(0) > 0) & (part(1) > 0))
         .select(
@@ -241,11 +248,11 @@ def local_incomplete(
     x = assigned.where("sample = 0").select(*by, F.col("slot").alias("i"), F.col("score").alias("x"))
     z = assigned.where("sample = 1").select(*by, F.col("slot").alias("j"), F.col("score").alias("z"))
     pairs = drawn.join(x, [*by, "i"]).join(z, [*by, "j"])
-    return _with_empty(summed(pairs, kernel(F.col("x"), F.col("z")), tuple(by)), workers, rounds, empty)
+    return _with_empty(summed(pairs, kernel(F.col("x"), F.col("z")), tuple(by)), workers, rounds, empty, first)
 
 
 def local_incomplete_by_inverse(
-    samples: DataFrame, kernel: Kernel, workers: int, rounds: int, batch: int, seed: int, sizes: dict[int, int]
+    samples: DataFrame, kernel: Kernel, workers: int, rounds: int, batch: int, seed: int, sizes: dict[int, int], hashed: str = "xxhash64"
 ) -> DataFrame:
     """`local_incomplete` under the seeded permutation without repartitioning at all: each drawn
     (round, worker, slot) is turned back into the row number that stands there, so only the drawn
@@ -258,7 +265,7 @@ def local_incomplete_by_inverse(
 
     def row(sample: int) -> Column:
         slot = F.pmod(keyed_u64(seed, "local", F.col("round"), F.col("worker"), sample, F.col("draw")), part(sample))
-        return unpermute(slot * workers + F.col("worker"), sizes[sample], seed, F.col("round"), sample)
+        return unpermute(slot * workers + F.col("worker"), sizes[sample], seed, F.col("round"), sample, hashed)
 
     drawn = (
         worker_grid(spark, workers, rounds)
@@ -272,17 +279,27 @@ def local_incomplete_by_inverse(
     return _with_empty(summed(pairs, kernel(F.col("x"), F.col("z")), ("round", "worker")), workers, rounds, "zero")
 
 
-def combine(local: DataFrame, weighting: str = "equal") -> DataFrame:
-    """workers, rounds, tuples, estimate: mean over workers, then over rounds. `tuples` weighting
+def combine(local: DataFrame, weighting: str = "equal", moved_rows: int | None = None) -> DataFrame:
+    """workers, rounds, tuples, estimate (and moved_rows, if the caller knows them): mean over workers, then over rounds. `tuples` weighting
     (by tuples, not the method's own) is on offer for unequal parts."""
     weight = F.avg("value") if weighting == "equal" else F.sum("total") / F.sum("tuples")
     by_round = local.groupBy("round").agg(F.count("*").alias("workers"), F.sum("tuples").alias("tuples"), weight.alias("value"))
-    return by_round.agg(
+    out = by_round.agg(
         F.max("workers").alias("workers"),
         F.count("*").alias("rounds"),
         F.sum("tuples").cast("long").alias("tuples"),
         F.avg("value").alias("estimate"),
     )
+    return out if moved_rows is None else out.withColumn("moved_rows", F.lit(moved_rows).cast("long"))
+
+
+def shipped_rows(sizes: dict[int, int], rounds: int) -> int:
+    """Rows that `rounds` repartitions ship: all of them, every time."""
+    return rounds * sum(sizes.values())
+
+
+def _numbered(samples: DataFrame, sizes: dict[int, int] | None) -> tuple[DataFrame, dict[int, int]]:
+    return samples if "idx" in samples.columns else number_rows(samples), sizes or count_rows(samples)
 
 
 def repartitioned_u(
@@ -293,42 +310,71 @@ def repartitioned_u(
     seed: int,
     batch: int | None = None,
     sizes: dict[int, int] | None = None,
-    permutation: str = "hash_rank",
-    execution: str = "fused",
+    permutation: str = "swap_or_not",
+    execution: str = "auto",
     empty: str = "zero",
+    hashed: str = "xxhash64",
 ) -> DataFrame:
-    """Per-(round, worker) estimates over `rounds` fresh shuffles. Fused: one plan for all rounds,
-    rows copied once per round. Iterative: a plan per round, unioned, so that shuffle storage
-    holds one copy at a time."""
+    """Per-(round, worker) estimates over `rounds` fresh shuffles.
+
+    By default rows find their workers by the seeded permutation of their numbers ("hash_rank" sorts
+    each sample instead). Kernels with a sorted form take no pairs. Fused: one plan for all rounds,
+    rows copied once per round. Iterative: a job per round, whose short result rows are folded on
+    the driver before its shuffle files go, so that shuffle storage holds one copy of the data.
+    Inverse: drawn pairs only, looked up by the inverse permutation, no repartition. "auto" leaves
+    this to `planner.choose_plan`."""
+    from ..plans.planner import choose_plan
+
+    ranked = permutation == "hash_rank"
+    if not ranked or batch is not None or execution == "auto":
+        samples, sizes = (samples, sizes or count_rows(samples)) if ranked else _numbered(samples, sizes)
+    has_sorted = kernel.name == "auc_strict" and batch is None
+    if execution == "auto":
+        plan = choose_plan(has_sorted, sizes[0], sizes.get(1, sizes[0]), workers, rounds)
+        execution = "iterative" if plan["execution"] == "iterative" else "fused"
+        if batch is not None and not ranked and set(sizes) == {0, 1} and empty == "zero":
+            execution = "inverse"
+    if execution == "inverse":
+        return local_incomplete_by_inverse(samples, kernel, workers, rounds, batch, seed, sizes, hashed)
 
     def one(first: int, count: int) -> DataFrame:
-        if permutation == "swap_or_not":
-            assigned = seeded(samples, sizes, workers, count, seed, first)
-        else:
+        if ranked:
             assigned = hash_rank(samples, workers, count, seed, True, first)
-        shifted = assigned.withColumn("round", (F.col("round") - first + 1).cast("int"))
-        if batch is None:
-            local = local_estimates(shifted, kernel, workers, count, empty)
         else:
-            if first != 1:
-                raise ValueError("drawn pairs are keyed by round: use fused execution")
-            local = local_incomplete(shifted, kernel, workers, count, batch, seed, sizes, empty)
-        return local.withColumn("round", (F.col("round") + first - 1).cast("int"))
+            assigned = seeded(samples, sizes, workers, count, seed, first, hashed)
+        if batch is not None:
+            return local_incomplete(assigned, kernel, workers, count, batch, seed, sizes, empty, first)
+        if has_sorted:
+            return _with_empty(auc_by_worker(assigned).drop("value"), workers, count, empty, first)
+        return local_estimates(assigned, kernel, workers, count, empty, first)
 
     if execution == "fused":
         return one(1, rounds)
-    return reduce(DataFrame.unionByName, [one(t, 1) for t in range(1, rounds + 1)])
+    spark, rows = samples.sparkSession, []
+    for t in range(1, rounds + 1):  # a row per worker and round comes back
+        here = one(t, 1).select("round", "worker", "tuples", "total", "value")
+        rows += [tuple(r) for r in here.collect()]
+        spark.sparkContext._jvm.System.gc()  # lets Spark delete the round's shuffle files
+    return spark.createDataFrame(rows, "round int, worker int, tuples long, total double, value double")
 
 
 def early_stopped(
-    samples: DataFrame, kernel: Kernel, workers: int, seed: int, tolerance: float, max_rounds: int = 32, least_rounds: int = 3
+    samples: DataFrame,
+    kernel: Kernel,
+    workers: int,
+    seed: int,
+    tolerance: float,
+    max_rounds: int = 32,
+    least_rounds: int = 3,
+    hashed: str = "xxhash64",
 ) -> DataFrame:
-    """round, value, estimate, half_width: shuffle until the standard error of the mean over the
+    """round, value, estimate, std_error: shuffle until the standard error of the mean over the
     rounds is below `tolerance`. One action per round; a handful of numbers on the driver."""
     values: list[float] = []
     rows = []
+    samples, sizes = _numbered(samples, None)
     for t in range(1, max_rounds + 1):
-        local = local_estimates(hash_rank(samples, workers, 1, seed, True, t).withColumn("round", F.lit(1)), kernel, workers, 1)
+        local = local_estimates(seeded(samples, sizes, workers, 1, seed, t, hashed), kernel, workers, 1, "zero", t)
         values.append(local.agg(F.avg("value").alias("v")).first().v)
         mean = sum(values) / t
         error = (sum((v - mean) ** 2 for v in values) / (t - 1) / t) ** 0.5 if t > 1 else None

@@ -17,15 +17,35 @@ def as_sample(df: DataFrame, sample: int, key: Column, score: Column, nulls: str
     return out.where(~bad)
 
 
+_KEPT: list[DataFrame] = []
+
+
+def kept(df: DataFrame) -> DataFrame:
+    """`df` persisted because two passes must see the same partitions; `release` frees it."""
+    _KEPT.append(df.persist())
+    return _KEPT[-1]
+
+
+def release(since: int = 0) -> None:
+    """Free what `kept` holds, or what it holds beyond the first `since` frames. Results built on
+    them still work: Spark computes a freed frame again from the same shuffle."""
+    while len(_KEPT) > since:
+        _KEPT.pop().unpersist()
+
+
+def held_frames() -> int:
+    return len(_KEPT)
+
+
 def number_rows(df: DataFrame, order_by: str = "key", within: str = "sample") -> DataFrame:
     """`df` with idx: 0, 1, ... in the order of `order_by` within each value of `within`.
 
     Rows are range-partitioned and sorted; a row's number is its rank in its partition plus the
     counts of earlier partitions (one row per partition and value, joined back by broadcast).
-    No window spans a whole sample. The partitioned rows are kept for both passes.
+    No window spans a whole sample. The partitioned rows are kept for both passes (see `release`).
     """
     part = df.repartitionByRange(F.col(within), F.col(order_by)).sortWithinPartitions(within, order_by)
-    part = part.withColumn("_p", F.spark_partition_id()).persist()
+    part = kept(part.withColumn("_p", F.spark_partition_id()))
     local = Window.partitionBy("_p", within).orderBy(order_by)
     before = Window.partitionBy(within).orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)
     offsets = (

@@ -35,13 +35,15 @@ def hash_rank(df: DataFrame, workers: int, rounds: int, seed: int, by_sample: bo
     return _dealt(df.withColumn("_rank", rank), workers, F.col("_rank")).drop("_rank")
 
 
-def seeded(df: DataFrame, sizes: dict[int, int], workers: int, rounds: int, seed: int, first: int = 1) -> DataFrame:
+def seeded(
+    df: DataFrame, sizes: dict[int, int], workers: int, rounds: int, seed: int, first: int = 1, hashed: str = "xxhash64"
+) -> DataFrame:
     """Proportional parts without coordination: every row computes its place under the shared
     keyed permutation of its sample. Needs idx; no window, no sort, no shuffle."""
     df = each_round(df, rounds, first)
     place = None
     for sample, n in sorted(sizes.items()):
-        here = permute(F.col("idx"), n, seed, F.col("round"), sample)
+        here = permute(F.col("idx"), n, seed, F.col("round"), sample, hashed)
         place = F.when(F.col("sample") == sample, here) if place is None else place.when(F.col("sample") == sample, here)
     return _dealt(df.withColumn("_place", place), workers, F.col("_place")).drop("_place")
 

@@ -10,25 +10,31 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .samples import kept
 
-def prefix_sums(df: DataFrame, order_by: str, values: tuple[str, ...], by: tuple[str, ...] = ()) -> DataFrame:
+
+def prefix_sums(df: DataFrame, order_by: str, values: tuple[str, ...], by: tuple[str, ...] = (), local: bool = False) -> DataFrame:
     """`df` with before_<value>: sums over rows with smaller `order_by` (distinct within `by`).
 
-    With `by`, a window inside each group; else range partitions with broadcast offsets, so that
-    no single task sees all rows."""
-    if by:
+    Range partitions over (by, order_by) with sums of their own, plus what earlier partitions hold of a
+    partition's first group: one broadcast row per partition at most, so neither a large group nor
+    many groups meet in one task. `local`: a window inside each group instead, for groups that fit
+    a task by definition (the parts of logical workers)."""
+    if local:
         w = Window.partitionBy(*by).orderBy(order_by).rowsBetween(Window.unboundedPreceding, -1)
         for v in values:
             df = df.withColumn(f"before_{v}", F.coalesce(F.sum(v).over(w), F.lit(0)))
         return df
-    part = df.repartitionByRange(order_by).sortWithinPartitions(order_by).withColumn("_p", F.spark_partition_id()).persist()
-    inner = Window.partitionBy("_p").orderBy(order_by).rowsBetween(Window.unboundedPreceding, -1)
-    outer = Window.orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)  # one row per partition
-    totals = part.groupBy("_p").agg(*[F.sum(v).alias(v) for v in values])
-    totals = totals.select("_p", *[F.coalesce(F.sum(v).over(outer), F.lit(0)).alias(f"_{v}") for v in values])
-    out = part.join(F.broadcast(totals), "_p")
+    part = df.repartitionByRange(*by, order_by).sortWithinPartitions(*by, order_by)
+    part = kept(part.withColumn("_p", F.spark_partition_id()))
+    inner = Window.partitionBy("_p", *by).orderBy(order_by).rowsBetween(Window.unboundedPreceding, -1)
+    # A row per partition and group; those of one group are as few as the partitions it spans.
+    outer = Window.partitionBy(*by).orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)
+    totals = part.groupBy("_p", *by).agg(*[F.sum(v).alias(v) for v in values])
+    totals = totals.select("_p", *by, F.count("*").over(outer).alias("_k"), *[F.sum(v).over(outer).alias(f"_{v}") for v in values])
+    out = part.join(F.broadcast(totals.where("_k > 0").drop("_k")), ["_p", *by], "left")
     for v in values:
-        out = out.withColumn(f"before_{v}", F.coalesce(F.sum(v).over(inner), F.lit(0)) + F.col(f"_{v}"))
+        out = out.withColumn(f"before_{v}", F.coalesce(F.sum(v).over(inner), F.lit(0)) + F.coalesce(F.col(f"_{v}"), F.lit(0)))
     return out.drop("_p", *[f"_{v}" for v in values])
 
 
@@ -62,7 +68,7 @@ def auc_by_worker(assigned: DataFrame) -> DataFrame:
         .groupBy("round", "worker", "score")
         .agg(F.sum("x").alias("pos"), F.sum(1 - F.col("x")).alias("neg"))
     )
-    ranked = prefix_sums(counted, "score", ("neg",), ("round", "worker"))
+    ranked = prefix_sums(counted, "score", ("neg",), ("round", "worker"), local=True)
     return (
         ranked.groupBy("round", "worker")
         .agg(

@@ -52,6 +52,18 @@ def ranked_sql(source: str, workers: int, rounds: int, keys: str = "t.round, s.s
 ), w AS (SELECT *, rk % {workers} AS worker, rk // {workers} AS slot FROM a)"""
 
 
+def seeded_sql(workers: int, rounds: int, seed: int = SEED) -> str:
+    """CTEs c (sizes), y (places) and w (worker, slot) of the seeded permutation, hashed by md5, over the
+    numbered rows n. Layer j pairs x with k - x modulo m and swaps by a bit of the larger one's hash."""
+    k = f"({ku(str(seed), 'r', 'sample', 'j')} % m)"
+    partner = f"(({k} + m - x) % m)"
+    layer = f"CASE WHEN {ku(str(seed + 1), 'r', 'sample', 'j', f'greatest(x, {partner})')} % 2 = 1 THEN {partner} ELSE x END"
+    return f"""c AS (SELECT sample, count(*) AS m FROM n GROUP BY sample), y AS (
+  SELECT r AS round, n.*, list_reduce(list_prepend(CAST(idx AS BIGINT), range(1, CAST(greatest(24, 2 * ceil(log2(m))) AS BIGINT) + 1)), lambda x, j: {layer}) AS rk
+  FROM n JOIN c USING (sample), (SELECT unnest(range(1, {rounds + 1})) AS r) t
+), w AS (SELECT *, rk % {workers} AS worker, rk // {workers} AS slot FROM y)"""
+
+
 #: Local strict AUC per (round, worker) of CTE w, empty workers as zero.
 LOCAL_AUC = """l AS (
   SELECT x.round, x.worker, count(*) AS tuples, sum(CASE WHEN z.score < x.score THEN 1 ELSE 0 END) AS total

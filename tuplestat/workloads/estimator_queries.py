@@ -26,6 +26,7 @@ from .base import (
     query,
     ranked_sql,
     rounded,
+    seeded_sql,
 )
 
 AUC = K.auc()
@@ -141,6 +142,18 @@ def u_incomplete_wor(spark, d):
     return _whole(E.incomplete_u(s, AUC, 2000, SEED, sizes(s), "without_replacement"))
 
 
+@query(
+    f"""WITH {NUMBERED}, c AS (SELECT count(*) FILTER (sample = 0) AS n, count(*) FILTER (sample = 1) AS m FROM s)
+SELECT count(*) AS tuples, CAST(sum(CASE WHEN z.score < x.score THEN 1 ELSE 0 END) AS BIGINT) AS total,
+       round(avg(CASE WHEN z.score < x.score THEN 1.0 ELSE 0.0 END), 9) AS estimate {PAIRS}"""
+)
+def u_incomplete_wor_all(spark, d):
+    """As many draws without replacement as there are pairs: the complete statistic."""
+    s = numbered_balances(spark, d)
+    size = sizes(s)
+    return _whole(E.incomplete_u(s, AUC, size[0] * size[1], SEED, size, "without_replacement"))
+
+
 @query()
 def u_incomplete_bernoulli(spark, d):
     s = numbered_balances(spark, d)
@@ -159,6 +172,14 @@ def u_subsample(spark, d):
     return _whole(E.subsample_u(balances(spark, d), AUC, {0: 100, 1: 20}, SEED))
 
 
+def _seeded(rounds=ROUNDS, workers=WORKERS):
+    return f"WITH {NUMBERED}, {seeded_sql(workers, rounds)}, {LOCAL_AUC.format(rounds=rounds, workers=workers)}"
+
+
+LOCAL = " SELECT CAST(round AS INTEGER) AS round, CAST(worker AS INTEGER) AS worker, tuples, wins, round(value, 9) AS value FROM g"
+MOVED = COMBINED.format(source="g").replace("round(avg(value), 9) AS estimate", f"round(avg(value), 9) AS estimate, (SELECT {ROUNDS} * count(*) FROM s) AS moved_rows")
+
+
 def _shuffled(rounds=ROUNDS, workers=WORKERS):
     return f"WITH {TWO}, {ranked_sql('s', workers, rounds)}, {LOCAL_AUC.format(rounds=rounds, workers=workers)}"
 
@@ -168,27 +189,48 @@ def u_local(spark, d):
     return local_rows(E.local_estimates(S.hash_rank(balances(spark, d), WORKERS, 1, SEED), AUC, WORKERS, 1))
 
 
-@query(_shuffled() + " SELECT CAST(round AS INTEGER) AS round, CAST(worker AS INTEGER) AS worker, tuples, wins, round(value, 9) AS value FROM g")
+@query(_seeded() + LOCAL)
 def u_repartitioned(spark, d):
-    """The main method: one row per round and worker, evaluated without pairs."""
-    return local_rows(sorted_forms.auc_by_worker(S.hash_rank(balances(spark, d), WORKERS, ROUNDS, SEED)))
+    """The main method: one row per round and worker, workers by the seeded permutation, evaluated
+    without pairs."""
+    return local_rows(E.repartitioned_u(balances(spark, d), AUC, WORKERS, ROUNDS, SEED, hashed="md5"))
 
 
-@query(_shuffled() + COMBINED.format(source="g"))
+@query(_shuffled() + LOCAL)
+def u_repartitioned_ranked(spark, d):
+    """The same law from ranked hashes, which coordinate through a sort."""
+    return local_rows(E.repartitioned_u(balances(spark, d), AUC, WORKERS, ROUNDS, SEED, permutation="hash_rank", execution="fused"))
+
+
+@query(_seeded() + MOVED)
 def u_repartitioned_estimate(spark, d):
-    return rounded(E.combine(E.repartitioned_u(balances(spark, d), AUC, WORKERS, ROUNDS, SEED)), 9, "estimate")
+    s = numbered_balances(spark, d)
+    size = sizes(s)
+    local = E.repartitioned_u(s, AUC, WORKERS, ROUNDS, SEED, sizes=size, hashed="md5")
+    return rounded(E.combine(local, moved_rows=E.shipped_rows(size, ROUNDS)), 9, "estimate")
 
 
-@query(_shuffled() + COMBINED.format(source="g"))
+@query(_seeded() + COMBINED.format(source="g"))
 def u_repartitioned_iterative(spark, d):
-    return rounded(E.combine(E.repartitioned_u(balances(spark, d), AUC, WORKERS, ROUNDS, SEED, execution="iterative")), 9, "estimate")
+    """A job per round; one copy of the data in shuffle storage at a time."""
+    local = E.repartitioned_u(balances(spark, d), AUC, WORKERS, ROUNDS, SEED, execution="iterative", hashed="md5")
+    return rounded(E.combine(local), 9, "estimate")
 
 
-def _local_draws(rounds):
+@query(_seeded() + COMBINED.format(source="g"))
+def u_repartitioned_pairs(spark, d):
+    """The same number from pairs that meet in an equi-join, as kernels without a sorted form do."""
+    s = numbered_balances(spark, d)
+    a = S.seeded(s, sizes(s), WORKERS, ROUNDS, SEED, hashed="md5")
+    return rounded(E.combine(E.local_estimates(a, AUC, WORKERS, ROUNDS)), 9, "estimate")
+
+
+def _local_draws(rounds, seeded=False):
     c = "(SELECT count(*) FROM s WHERE sample = {k})"
     part = lambda k: f"({c.format(k=k)} // {WORKERS} + CASE WHEN k.worker < {c.format(k=k)} % {WORKERS} THEN 1 ELSE 0 END)"
     key = lambda k: ku(str(SEED), "'local'", "t.round", "k.worker", str(k), "b")
-    return f"""WITH {TWO}, {ranked_sql('s', WORKERS, rounds)}, p AS (
+    rows = f"{NUMBERED}, {seeded_sql(WORKERS, rounds)}" if seeded else f"{TWO}, {ranked_sql('s', WORKERS, rounds)}"
+    return f"""WITH {rows}, p AS (
   SELECT t.round, k.worker, b, {key(0)} % {part(0)} AS i, {key(1)} % {part(1)} AS j
   FROM (SELECT unnest(range(1, {rounds + 1})) AS round) t, (SELECT unnest(range({WORKERS})) AS worker) k, (SELECT unnest(range({BATCH})) AS b)
 ), g AS (
@@ -210,20 +252,36 @@ def u_local_incomplete(spark, d):
 @query(_local_draws(ROUNDS) + COMBINED.format(source="g"))
 def u_repartitioned_incomplete(spark, d):
     s = balances(spark, d)
-    return rounded(E.combine(E.repartitioned_u(s, AUC, WORKERS, ROUNDS, SEED, BATCH, sizes(s))), 9, "estimate")
+    local = E.repartitioned_u(s, AUC, WORKERS, ROUNDS, SEED, BATCH, sizes(s), "hash_rank", "fused")
+    return rounded(E.combine(local), 9, "estimate")
 
 
-@query()
+@query(_local_draws(ROUNDS, True) + LOCAL)
 def u_repartitioned_incomplete_inverse(spark, d):
     """Seeded permutation, drawn rows looked up through its inverse: no repartition at all."""
-    s = numbered_balances(spark, d)
-    return local_rows(E.local_incomplete_by_inverse(s, AUC, WORKERS, ROUNDS, BATCH, SEED, sizes(s)))
+    return local_rows(E.repartitioned_u(balances(spark, d), AUC, WORKERS, ROUNDS, SEED, BATCH, hashed="md5"))
 
 
-@query()
+@query(_local_draws(ROUNDS, True) + COMBINED.format(source="g"))
+def u_repartitioned_incomplete_iterative(spark, d):
+    """The same draws after a true repartition, a job per round."""
+    local = E.repartitioned_u(balances(spark, d), AUC, WORKERS, ROUNDS, SEED, BATCH, execution="iterative", hashed="md5")
+    return rounded(E.combine(local), 9, "estimate")
+
+
+@query(_seeded() + LOCAL)
 def u_repartitioned_seeded(spark, d):
+    """The scheme and the sorted form by themselves."""
     s = numbered_balances(spark, d)
-    return local_rows(sorted_forms.auc_by_worker(S.seeded(s, sizes(s), WORKERS, ROUNDS, SEED)))
+    return local_rows(sorted_forms.auc_by_worker(S.seeded(s, sizes(s), WORKERS, ROUNDS, SEED, hashed="md5")))
+
+
+@query(f"SELECT {ROUNDS} AS rounds, {ROUNDS * WORKERS} AS parts, (SELECT count(*) FROM customer WHERE c_acctbal IS NOT NULL) // {WORKERS} * (SELECT count(*) FROM supplier WHERE s_acctbal IS NOT NULL) // {WORKERS} AS pairs_each")
+def u_repartitioned_fast(spark, d):
+    """The default (64-bit) hash: rounds, parts and pairs of a part; its values are held to those of the
+    md5 form by law, not by number."""
+    local = E.repartitioned_u(balances(spark, d), AUC, WORKERS, ROUNDS, SEED)
+    return local.agg(F.countDistinct("round").cast("int").alias("rounds"), F.count("*").cast("int").alias("parts"), F.min("tuples").alias("pairs_each"))
 
 
 GRID = f"""{_local_draws(ROUNDS)}, l AS (
@@ -286,9 +344,14 @@ def u_repartitioned_d2(spark, d):
     return local_rows(E.local_estimates(S.hash_rank(s, 5, 3, SEED), K.ABSDIFF, 5, 3)).withColumn("value", F.round("value", 6))
 
 
-@query()
+@query(
+    f"""{_seeded(12)}, v AS (SELECT round, avg(value) AS value FROM g GROUP BY round),
+e AS (SELECT round, value, avg(value) OVER a AS estimate, stddev_samp(value) OVER a / sqrt(round) AS std_error FROM v WINDOW a AS (ORDER BY round ROWS UNBOUNDED PRECEDING)),
+o AS (SELECT coalesce(min(round), 12) AS last FROM e WHERE round >= 3 AND std_error <= 0.002)
+SELECT CAST(round AS INTEGER) AS round, round(value, 9) AS value, round(estimate, 9) AS estimate, round(std_error, 9) AS std_error FROM e, o WHERE round <= last"""
+)
 def u_early_stop(spark, d):
-    return E.early_stopped(balances(spark, d), AUC, WORKERS, SEED, tolerance=0.002, max_rounds=12)
+    return rounded(E.early_stopped(balances(spark, d), AUC, WORKERS, SEED, 0.002, 12, hashed="md5"), 9, "value", "estimate", "std_error")
 
 
 # ------------------------------------------------------------------ schemes
@@ -318,10 +381,10 @@ def assign_prop_swor(spark, d):
     )
 
 
-@query()
+@query(f"WITH {NUMBERED}, {seeded_sql(WORKERS, 2)} {ASSIGNED}, CAST(slot AS BIGINT) AS slot FROM w")
 def assign_seeded(spark, d):
     s = numbered_balances(spark, d)
-    return _assigned(S.seeded(s, sizes(s), WORKERS, 2, SEED), "slot")
+    return _assigned(S.seeded(s, sizes(s), WORKERS, 2, SEED, hashed="md5"), "slot")
 
 
 @query(f"WITH {TWO}, {ranked_sql('s', WORKERS, 2, 't.round')} {ASSIGNED} FROM w")
@@ -366,11 +429,14 @@ def assign_static(spark, d):
     return _assigned(S.static(balances(spark, d), WORKERS, SEED))
 
 
-@query()
+@query(f"WITH {TWO} SELECT {WORKERS} AS workers, count(*) AS rows, true AS even FROM s")
 def assign_round_robin(spark, d):
     """The engine's own size-preserving shuffle: parts differ by one row per input task at most."""
     s = balances(spark, d)
-    return s.repartition(WORKERS).groupBy(F.spark_partition_id().alias("worker")).agg(F.count("*").alias("rows"))
+    tasks = s.rdd.getNumPartitions()
+    parts = s.repartition(WORKERS).groupBy(F.spark_partition_id().alias("worker")).agg(F.count("*").alias("rows"))
+    even = (F.max("rows") - F.min("rows") <= tasks).alias("even")
+    return parts.agg(F.count("*").cast("int").alias("workers"), F.sum("rows").alias("rows"), even)
 
 
 @query(

@@ -86,8 +86,8 @@ def u_repartitioned_k3_whole(spark, d):
     cur = S.hash_rank(s, 5, 2, SEED).groupBy(*by, "score").agg(
         *[F.sum((F.col("sample") == c).cast("double")).alias(f"n{c}") for c in range(3)]
     )
-    cur = Q.prefix_sums(cur, "score", ("n0",), by).withColumn("two", F.col("n1") * F.col("before_n0"))
-    cur = Q.prefix_sums(cur, "score", ("two",), by)
+    cur = Q.prefix_sums(cur, "score", ("n0",), by, local=True).withColumn("two", F.col("n1") * F.col("before_n0"))
+    cur = Q.prefix_sums(cur, "score", ("two",), by, local=True)
     r = cur.groupBy(*by).agg(
         (F.sum("n0") * F.sum("n1") * F.sum("n2")).alias("tuples"), F.sum(F.col("n2") * F.col("before_two")).alias("wins")
     )
@@ -101,7 +101,7 @@ def u_repartitioned_d2_whole(spark, d):
     s = as_sample(load(spark, d, "orders"), 0, key, F.round("o_totalprice"))
     by, c, v = ("round", "worker"), F.col("c"), F.col("score")
     cur = S.hash_rank(s, 5, 3, SEED).groupBy(*by, "score").agg(F.count("*").cast("double").alias("c"))
-    cur = Q.prefix_sums(cur.withColumn("w", c * v), "score", ("c", "w"), by)
+    cur = Q.prefix_sums(cur.withColumn("w", c * v), "score", ("c", "w"), by, local=True)
     r = cur.groupBy(*by).agg(
         (F.sum("c") * (F.sum("c") - 1) / 2).cast("long").alias("tuples"), F.sum(c * (v * F.col("before_c") - F.col("before_w"))).alias("total")
     )
