@@ -215,6 +215,8 @@ def test_plans_scale(spark):
 
 def test_main_method_has_no_window_over_a_sample(spark, monkeypatch):
     s = number_rows(frame(spark, range(40), range(20)))
+    assert "Window" not in plan(s).split("InMemoryTableScan")[0]
+    s = spark.createDataFrame(s.collect(), s.schema)
     k = sizes(s)
     fused = E.repartitioned_u(s, AUC, 5, 3, 7, sizes=k)
     text = plan(fused)

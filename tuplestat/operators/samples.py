@@ -45,16 +45,16 @@ def number_rows(df: DataFrame, order_by: str = "key", within: str = "sample") ->
     No window spans a whole sample. The partitioned rows are kept for both passes (see `release`).
     """
     part = df.repartitionByRange(F.col(within), F.col(order_by)).sortWithinPartitions(within, order_by)
-    part = kept(part.withColumn("_p", F.spark_partition_id()))
-    local = Window.partitionBy("_p", within).orderBy(order_by)
+    # A row's place in its sorted partition is the low part of the id that Spark gives it.
+    part = part.withColumn("_p", F.spark_partition_id()).withColumn("_at", F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)))
+    part = kept(part)
     before = Window.partitionBy(within).orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = (
-        part.groupBy("_p", within).agg(F.count("*").alias("_n")).withColumn("_before", F.coalesce(F.sum("_n").over(before), F.lit(0)))
-    )
+    offsets = part.groupBy("_p", within).agg(F.count("*").alias("_n"), F.min("_at").alias("_first"))
+    offsets = offsets.select("_p", within, (F.coalesce(F.sum("_n").over(before), F.lit(0)) - F.col("_first")).alias("_before"))
     return (
-        part.join(F.broadcast(offsets.drop("_n")), ["_p", within])
-        .withColumn("idx", (F.row_number().over(local) - 1 + F.col("_before")).cast("long"))
-        .drop("_p", "_before")
+        part.join(F.broadcast(offsets), ["_p", within])
+        .withColumn("idx", (F.col("_at") + F.col("_before")).cast("long"))
+        .drop("_p", "_at", "_before")
     )
 
 

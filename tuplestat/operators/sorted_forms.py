@@ -31,11 +31,11 @@ def prefix_sums(df: DataFrame, order_by: str, values: tuple[str, ...], by: tuple
     # A row per partition and group; those of one group are as few as the partitions it spans.
     outer = Window.partitionBy(*by).orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)
     totals = part.groupBy("_p", *by).agg(*[F.sum(v).alias(v) for v in values])
-    totals = totals.select("_p", *by, F.count("*").over(outer).alias("_k"), *[F.sum(v).over(outer).alias(f"_{v}") for v in values])
-    out = part.join(F.broadcast(totals.where("_k > 0").drop("_k")), ["_p", *by], "left")
+    totals = totals.select("_p", *by, F.count("*").over(outer).alias("_earlier_parts"), *[F.sum(v).over(outer).alias(f"_part_{v}") for v in values])
+    out = part.join(F.broadcast(totals.where("_earlier_parts > 0").drop("_earlier_parts")), ["_p", *by], "left")
     for v in values:
-        out = out.withColumn(f"before_{v}", F.coalesce(F.sum(v).over(inner), F.lit(0)) + F.coalesce(F.col(f"_{v}"), F.lit(0)))
-    return out.drop("_p", *[f"_{v}" for v in values])
+        out = out.withColumn(f"before_{v}", F.coalesce(F.sum(v).over(inner), F.lit(0)) + F.coalesce(F.col(f"_part_{v}"), F.lit(0)))
+    return out.drop("_p", *[f"_part_{v}" for v in values])
 
 
 def auc_counts(df: DataFrame, score: Column, positive: Column, by: tuple[str, ...] = ()) -> DataFrame:
