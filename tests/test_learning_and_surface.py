@@ -49,6 +49,9 @@ def test_modes_agree_and_momentum(spark):
     a, trace = L.fit_sgd(df, np.zeros(3), 4, 4, 10, 2, 5)
     b, _ = L.fit_sgd(df, np.zeros(3), 4, 4, 10, 2, 5, mode="barrier")
     assert a == pytest.approx(b) and [t[1] for t in trace] == [1, 1, 2, 2]
+    assert a == pytest.approx(L.fit_sgd(df, np.zeros(3), 4, 4, 10, 2, 5, mode="driver_sync")[0])
+    many = [L.fit_sgd(df, np.zeros(3), 2, 200, 5, 1, 5, mode=m)[0] for m in ("lookup", "driver_sync")]  # workers without rows
+    assert many[0] == pytest.approx(many[1]) and np.abs(many[0]).max() > 0
     c, _ = L.fit_sgd(df, np.zeros(3), 4, 4, 10, None, 5)
     assert not np.allclose(a, c)
 
@@ -75,7 +78,11 @@ def test_erm_and_simulation(spark):
     r = {q.candidate: q for q in L.erm_select(df, [[0.5, 0.5, 0.5], [-1.0, 0.0, 0.0]]).collect()}
     assert r[0].best and not r[1].best
     t = L.simulate(spark, x, z, x, z, 2, 10, 4, 10, (1, None), 3, eval_every=5, monitor_pairs=500)
-    assert t.where("metric = 'test_auc'").agg(F.min("value")).first()[0] >= 0 and t.count() == 2 * 2 * 3 * 2
+    assert t.where("metric = 'test_auc'").agg(F.min("value")).first()[0] >= 0 and t.count() == 2 * 2 * 3 * 4
+    few = L.simulate(spark, x, z[:2], x, z, 1, 10, 4, 10, (1,), 3, eval_every=5, monitor_pairs=500)  # two workers lack a class
+    assert few.where("metric = 'train_loss'").count() == 3
+    gap = 1 + x[:, :1] - z[:, 0][None]
+    assert L.all_pairs_hinge(x[:, 0], z[:, 0]) == pytest.approx(np.maximum(0, gap).mean())
 
 
 def test_binned_area_brackets_the_exact_one(spark):
@@ -143,3 +150,39 @@ def test_late_rows(spark):
     rows = [(1, "2024-01-01 00:00", "2024-01-01 01:00"), (2, "2024-01-05 00:00", "2024-01-05 00:00"), (3, "2024-01-01 02:00", "2024-01-05 03:00")]
     df = spark.createDataFrame(rows, "k int, t string, a string").select("k", F.to_timestamp("t").alias("t"), F.to_timestamp("a").alias("a"))
     assert {r.k: r.late for r in windows.split_late(df, "t", "a", "2 days").collect()} == {1: False, 2: False, 3: True}
+
+
+def test_shuffles_raise_the_median_and_narrow_the_band(spark):
+    """With two or three rows of a class on a worker, a worker's fixed pairs are a small part of all
+    pairs: without shuffles models differ by the cut they got, with shuffles they agree and are better."""
+    rng = np.random.default_rng(2)
+    w = rng.normal(size=9)
+
+    def rows(k, high):
+        f = rng.normal(size=(k * 30, 9))
+        f = f[np.argsort(f @ w + rng.normal(size=k * 30))]
+        return f[-k * 6 :][rng.permutation(k * 6)[:k]] if high else f[: k * 24][rng.permutation(k * 24)[:k]]
+
+    x, z, test_x, test_z = rows(60, False), rows(40, True), rows(500, False), rows(500, True)
+    t = L.simulate(spark, x, z, test_x, test_z, 40, 300, 20, 20, (1, 25, None), 3, eval_every=300, monitor_pairs=20_000)
+    last = t.where("iteration = 300").collect()
+    for metric, sign in (("test_auc", 1), ("test_loss", -1), ("train_loss", -1)):
+        value = {e: np.array([sign * r.value for r in last if r.shuffle_every == e and r.metric == metric]) for e in (1, 25, 0)}
+        median = [np.median(value[e]) for e in (1, 25, 0)]
+        band = [np.ptp(np.quantile(value[e], [0.05, 0.95])) for e in (1, 25, 0)]
+        assert median[0] > median[1] > median[2] and band[0] < band[1] < band[2], metric
+
+
+def test_two_point_runs_have_the_law_of_single_runs(spark):
+    from tuplestat.plans import montecarlo as MC
+
+    rng = np.random.default_rng(1)
+    fast = MC.two_point_runs(rng, 4000, 0.2, 60, 12, 4, 3, 10)
+    slow = {}
+    for _ in range(4000):
+        x, z = np.where(rng.random(60) < 0.2, 0.0, 2.0), np.where(rng.random(12) < 0.2, 1.0, -1.0)
+        for k, v in MC.one_run(x, z, 4, 3, 10, "prop_swor", rng).items():
+            slow.setdefault(k, []).append(v)
+    for k, v in slow.items():
+        assert np.mean(v) == pytest.approx(fast[k].mean(), abs=0.004), k
+        assert np.var(v) == pytest.approx(np.var(fast[k]), rel=0.15), k

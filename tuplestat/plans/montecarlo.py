@@ -7,7 +7,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-SCHEMES = ("prop_swor", "swor", "swor_iid", "prop_swr")
+SCHEMES = ("prop_swor", "swor", "swor_iid", "prop_swr", "stride", "static")
 
 
 def strict_auc(x: np.ndarray, z: np.ndarray) -> float:
@@ -17,8 +17,12 @@ def strict_auc(x: np.ndarray, z: np.ndarray) -> float:
     return float(np.searchsorted(np.sort(z), x, side="left").sum()) / (len(x) * len(z))
 
 
-def parts(rng: np.random.Generator, n: int, m: int, workers: int, scheme: str) -> list[tuple[np.ndarray, np.ndarray]]:
-    """Row numbers of both samples on each worker."""
+def parts(rng: np.random.Generator, n: int, m: int, workers: int, scheme: str, rnd: int = 1) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Row numbers of both samples on each worker. Stride and static use no randomness: they depend on
+    the rows' order, and on the round or not even on that."""
+    if scheme in ("stride", "static"):
+        where = [(i + (i // workers * rnd if scheme == "stride" else 0)) % workers for i in (np.arange(n), np.arange(m))]
+        return [tuple(np.flatnonzero(a == w) for a in where) for w in range(workers)]
     if scheme == "prop_swor":
         p, q = rng.permutation(n), rng.permutation(m)
         return [(p[w::workers], q[w::workers]) for w in range(workers)]
@@ -41,9 +45,9 @@ def one_run(x: np.ndarray, z: np.ndarray, workers: int, rounds: int, batch: int,
     i, j = rng.integers(n, size=workers * batch), rng.integers(m, size=workers * batch)
     out["incomplete"] = float((z[j] < x[i]).mean())
     full, drawn = [], []
-    for _ in range(rounds):
+    for t in range(rounds):
         f, d = 0.0, 0.0
-        for a, b in parts(rng, n, m, workers, scheme):
+        for a, b in parts(rng, n, m, workers, scheme, t + 1):
             f += strict_auc(x[a], z[b])
             if len(a) and len(b):
                 d += (z[rng.choice(b, size=batch)] < x[rng.choice(a, size=batch)]).mean()
@@ -56,12 +60,45 @@ def one_run(x: np.ndarray, z: np.ndarray, workers: int, rounds: int, batch: int,
     return out
 
 
+def two_point_runs(rng: np.random.Generator, runs: int, eps: float, n: int, m: int, workers: int, rounds: int, batch: int) -> dict[str, np.ndarray]:
+    """`one_run` under proportional shuffles for many samples of the two-point law at once. A pair is
+    out of order only where x is 0 and z is 1, so an area is one minus a product of shares, and shares
+    of a worker are hypergeometric: the same law without rows."""
+    a, b = rng.binomial(n, eps, runs), rng.binomial(m, eps, runs)  # rows that can lose
+    sizes = [np.array([k // workers + (w < k % workers) for w in range(workers)]) for k in (n, m)]
+
+    def dealt(total: np.ndarray, rows: int, part: np.ndarray) -> np.ndarray:
+        out, left, room = np.zeros((runs, workers), dtype=np.int64), total.copy(), rows
+        for w in range(workers):
+            out[:, w] = rng.hypergeometric(left, room - left, part[w]) if room > part[w] else left
+            left, room = left - out[:, w], room - part[w]
+        return out
+
+    out = {"complete": 1 - a * b / (n * m), "incomplete": 1 - rng.binomial(workers * batch, a * b / (n * m)) / (workers * batch)}
+    full, drawn = np.zeros((rounds, runs)), np.zeros((rounds, runs))
+    for t in range(rounds):
+        lost = dealt(a, n, sizes[0]) * dealt(b, m, sizes[1]) / (sizes[0] * sizes[1])
+        full[t], drawn[t] = 1 - lost.mean(axis=1), 1 - (rng.binomial(batch, lost) / batch).mean(axis=1)
+    out |= {"local": full[0], "local_incomplete": drawn[0], "repartitioned": full.mean(axis=0), "repartitioned_incomplete": drawn.mean(axis=0)}
+    k, h = max(1, int(round((workers * batch * n / m) ** 0.5))), max(1, int(round((workers * batch * m / n) ** 0.5)))
+    out["subsample"] = 1 - rng.hypergeometric(a, n - a, k) * rng.hypergeometric(b, m - b, h) / (k * h)
+    return out
+
+
 def law_runs(
     spark: SparkSession, runs: int, n: int, m: int, eps: tuple[float, ...], workers: int, rounds: int, batch: int = 100, scheme: str = "prop_swor", seed: int = 7
 ) -> DataFrame:
     """run, eps, estimator, value: fresh samples of the two-point law in every run."""
     schema = pa.schema([("run", pa.int32()), ("eps", pa.float64()), ("estimator", pa.string()), ("value", pa.float64())])
 
+    def at_once(batches):
+        for b in batches:
+            ids = b.column(0).to_numpy()
+            for k, e in enumerate(eps):
+                found = two_point_runs(np.random.default_rng([seed, int(ids[0]), k]), len(ids), e, n, m, workers, rounds, batch)
+                for name, values in found.items():
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t.type) for c, t in zip((ids, np.full(len(ids), e), [name] * len(ids), values), schema)], schema=schema)
+
     def work(batches):
         for b in batches:
             rows = []
@@ -73,7 +110,11 @@ def law_runs(
                     rows += [(run, e, name, v) for name, v in one_run(x, z, workers, rounds, batch, scheme, rng).items()]
             yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows), schema)], schema=schema)
 
-    ids = spark.range(runs).select(F.col("id").cast("int").alias("run")).repartition(max(1, min(runs, 64)))
+    spread = max(1, min(runs, 64))
+    if scheme == "prop_swor" and n >= workers and m >= workers:
+        ids = spark.range(0, runs, 1, spread).select(F.col("id").cast("int").alias("run"))
+        return ids.mapInArrow(at_once, "run int, eps double, estimator string, value double")
+    ids = spark.range(runs).select(F.col("id").cast("int").alias("run")).repartition(spread)
     return ids.mapInArrow(work, "run int, eps double, estimator string, value double")
 
 
@@ -81,13 +122,13 @@ def table_runs(
     samples: DataFrame, runs: int, workers: int, rounds: int, batch: int = 100, scheme: str = "prop_swor", seed: int = 7
 ) -> DataFrame:
     """run, estimator, value on one fixed table: only the shuffles vary. The two samples' scores
-    are shipped to the runs, so they must be small (checked)."""
-    rows = samples.select("sample", "key", "score").orderBy("sample", "key").limit(2_000_001).collect()
-    if len(rows) > 2_000_000:
-        raise ValueError("conditional runs are for tables of at most two million rows")
+    are shipped to the runs, so they must be small (64 MB, checked first)."""
+    if samples.count() * 8 > 64 << 20:
+        raise ValueError("conditional runs are for tables of at most 64 MB of scores")
     spark = samples.sparkSession
-    x = np.array([r["score"] for r in rows if r["sample"] == 0])
-    z = np.array([r["score"] for r in rows if r["sample"] == 1])
+    rows = samples.select("sample", "key", "score").orderBy("sample", "key").select("sample", "score").toArrow()
+    sample, score = rows.column(0).to_numpy(), rows.column(1).to_numpy()
+    x, z = score[sample == 0], score[sample == 1]
     shipped = spark.sparkContext.broadcast((x, z))
     schema = pa.schema([("run", pa.int32()), ("estimator", pa.string()), ("value", pa.float64())])
 

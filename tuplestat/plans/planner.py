@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from .variance import Components, equal_budget, var_complete, var_repartitioned, var_repartitioned_incomplete
+from .variance import Components, equal_budget, var_complete, var_incomplete, var_repartitioned, var_repartitioned_incomplete
 
 
 def pairs(estimator: str, n: int, m: int, workers: int = 1, rounds: int = 1, batch: int = 1) -> int:
@@ -35,8 +35,11 @@ def diagnose(c: Components, n: int, m: int, workers: int, threshold: float = 0.0
 
 
 def frontier(c: Components, n: int, m: int, workers: int, rounds: tuple[int, ...], batches: tuple[int, ...]) -> list[tuple]:
-    """(estimator, rounds, batch, pairs, variance) of a grid of plans."""
-    out = [("repartitioned", t, 0, pairs("repartitioned", n, m, workers, t), var_repartitioned(c, n, m, workers, t)) for t in rounds]
+    """(estimator, rounds, batch, pairs, variance) of a grid of plans, with the complete statistic and
+    pairs drawn from all tuples (as many as each number of rounds evaluates) beside them."""
+    out = [("complete", 0, 0, pairs("complete", n, m), var_complete(c, n, m))]
+    out += [("incomplete", 0, 0, k, var_incomplete(c, n, m, k)) for k in (pairs("repartitioned", n, m, workers, t) for t in rounds)]
+    out += [("repartitioned", t, 0, pairs("repartitioned", n, m, workers, t), var_repartitioned(c, n, m, workers, t)) for t in rounds]
     out += [
         ("repartitioned_incomplete", t, b, workers * b * t, var_repartitioned_incomplete(c, n, m, workers, t, b))
         for t in rounds

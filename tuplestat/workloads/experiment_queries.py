@@ -72,6 +72,20 @@ def lines_repartitioned(spark, d):
     return r.select("round", "worker", "tuples", F.col("total").cast("long").alias("wins"), F.round("value", 9).alias("value"))
 
 
+@query(
+    f"""WITH {PRICES}, k AS (SELECT sample, count(*) AS n FROM s GROUP BY sample), w AS (SELECT unnest(range(100)) AS worker),
+p AS (SELECT worker, max(n // 100 + CASE WHEN worker < n % 100 THEN 1 ELSE 0 END) FILTER (sample = 0) AS a, max(n // 100 + CASE WHEN worker < n % 100 THEN 1 ELSE 0 END) FILTER (sample = 1) AS b FROM k, w GROUP BY worker)
+SELECT CAST(t AS INTEGER) AS round, CAST(worker AS INTEGER) AS worker, CAST(a * b AS BIGINT) AS tuples, true AS plausible FROM p, (SELECT unnest(range(1, 5)) AS t)"""
+)
+def lines_seeded(spark, d):
+    """The default path on all lines: the fast hash's permutation, no sort of a sample. Its values follow
+    the law only (plausible: within six standard errors of one half), its parts are exact."""
+    s = number_rows(priced_lines(spark, d))
+    local = E.repartitioned_u(s, K.auc(), 100, 4, SEED, sizes=sizes(s))
+    error = F.sqrt(F.lit(1 / 12) * (F.lit(2.0) / F.sqrt(F.col("tuples").cast("double"))))
+    return local.select("round", "worker", "tuples", (F.abs(F.col("value") - 0.5) < 6 * error).alias("plausible"))
+
+
 @query()
 def lines_drawn(spark, d):
     """A hundred workers, sixteen rounds, a hundred drawn pairs each, by inverse permutation."""
@@ -127,19 +141,39 @@ def w6_mean_difference(spark, d):
     return rounded(r.select("n", "estimate"), 6, "estimate")
 
 
-@query()
+@query(
+    """WITH p AS (SELECT l_quantity AS x, l_extendedprice AS y, count(*) AS c FROM lineitem WHERE l_quantity IS NOT NULL AND l_extendedprice IS NOT NULL GROUP BY 1, 2),
+q AS (SELECT DISTINCT x AS level FROM p), t AS (SELECT sum(c) AS n FROM p),
+b AS (SELECT level, x, c, coalesce(sum(CASE WHEN x < level THEN c ELSE 0 END) OVER (PARTITION BY level ORDER BY y RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW EXCLUDE GROUP), 0) AS below FROM p, q),
+k AS (SELECT sum(c * below) AS k FROM b WHERE x = level)
+SELECT CAST(n * (n - 1) // 2 AS BIGINT) AS pairs, CAST(k AS BIGINT) AS concordant, round(CAST(k AS DOUBLE) / (CAST(n AS DOUBLE) * (n - 1) / 2), 9) AS estimate FROM k, t"""
+)
 def w6_concordance(spark, d):
     """Quantity against price over all lines: half the untied pairs, as they are independent."""
     from ..operators.concordance import concordance_counts
 
-    return concordance_counts(load(spark, d, "lineitem"), "l_quantity", "l_extendedprice")
+    return rounded(concordance_counts(load(spark, d, "lineitem"), "l_quantity", "l_extendedprice"), 9, "estimate")
 
 
-@query()
+def _chain_sql(k: int) -> str:
+    """Chains that end in each class, class after class, from prefix sums over the scores."""
+    out = "c1 AS (SELECT *, n1 AS e1 FROM c)"
+    for i in range(2, k + 1):
+        out += f""", c{i} AS (SELECT *, n{i} * coalesce(sum(e{i - 1}) OVER (ORDER BY v ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS e{i} FROM c{i - 1})"""
+    return out
+
+
+COUNTS5 = ", ".join(f"CAST(count(*) FILTER (substr(o_orderpriority, 1, 1) = '{i}') AS DOUBLE) AS n{i}" for i in range(1, 6))
+
+
+@query(
+    f"""WITH c AS (SELECT o_totalprice AS v, {COUNTS5} FROM orders GROUP BY 1), {_chain_sql(5)}
+SELECT {" * ".join(f"sum(n{i})" for i in range(1, 6))} AS tuples, sum(e5) AS chains, round(sum(e5) / ({" * ".join(f"sum(n{i})" for i in range(1, 6))}), 12) AS estimate FROM c5"""
+)
 def w7_multipartite(spark, d):
     """Five ordered classes, all orders: near 1/120."""
     r = Q.vus_counts(load(spark, d, "orders"), F.col("o_totalprice"), F.substring("o_orderpriority", 1, 1), 5)
-    return r.select("tuples", "chains", "estimate")
+    return rounded(r.select("tuples", "chains", "estimate"), 12, "estimate")
 
 
 @query(

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..functions.keyed import keyed_u64
 from ..operators import schemes as S
 from ..operators.estimators import draws
-from ..operators.samples import number_rows, sizes
+from ..operators.samples import number_rows, release, sizes
 from ..plans import learning as L
 from ..plans.montecarlo import trace_bands as bands
 from ..sources.catalog import load
@@ -115,7 +115,7 @@ def sgd_distributed_step(spark, d):
     return m.select(step(W[0], "g0").alias("w0"), step(W[1], "g1").alias("w1"), "workers")
 
 
-def _fit(spark, d, every, mode="driver_sync", iterations=6):
+def _fit(spark, d, every, mode="lookup", iterations=6):
     train = L.standardized_features(quality_rows(spark, d), 2)
     w, trace = L.fit_sgd(train, [0.0, 0.0], iterations, 5, BATCH, every, SEED, mode)
     rows = [(0, it, rnd, "norm", v) for it, rnd, v in trace] + [(0, iterations, 0, f"w{k}", float(v)) for k, v in enumerate(w)]
@@ -137,12 +137,30 @@ def sgd_every_iteration(spark, d):
     return _fit(spark, d, 1, iterations=4)
 
 
+@query()
+def sgd_placed(spark, d):
+    """The same run as sgd_repartitioned with rows placed on their workers, a job per iteration."""
+    return _fit(spark, d, 3, "driver_sync")
+
+
 @query()
 def sgd_barrier(spark, d):
     """The same run as sgd_repartitioned, a barrier job per round."""
     return _fit(spark, d, 3, "barrier")
 
 
+@query(
+    """WITH k AS (SELECT count(*) AS rows FROM documents d JOIN labels l ON l.doc_id = d.doc_id WHERE quality IN (0, 1)), e AS (SELECT unnest([1, 25, 100, 0]) AS every)
+SELECT CAST(every AS INTEGER) AS shuffle_every, CAST(CASE WHEN every = 0 THEN 1 ELSE ceil(200.0 / every) END AS BIGINT) AS shuffles,
+CAST(rows * CASE WHEN every = 0 THEN 1 ELSE ceil(200.0 / every) END AS BIGINT) AS moved_rows, CAST(200 * 100 * 9 AS BIGINT) AS gradient_numbers, CAST(200 * 100 * 9 AS BIGINT) AS model_numbers FROM k, e"""
+)
+def sgd_communication(spark, d):
+    """What 200 iterations of SGD over a hundred workers send, by the iterations between shuffles."""
+    rows = quality_rows(spark, d).count()
+    out = [(e or 0, *L.communication(rows, 200, e, 100, 9).values()) for e in (1, 25, 100, None)]
+    return spark.createDataFrame(out, "shuffle_every int, shuffles long, moved_rows long, gradient_numbers long, model_numbers long")
+
+
 def _loss_sql(c):
     a, b = c
     gap = f"1 + ({a} * x.f0 + {b} * x.f1) - ({a} * z.f0 + {b} * z.f1)"
@@ -226,6 +244,7 @@ def curves(spark, rows, runs: int, iterations: int, workers: int, batch: int, ev
     features = features.flatten().to_numpy().reshape(len(features), -1)
     cls, held = data.column("cls").to_numpy(), data.column("held_out").to_numpy()
     pick = lambda c, h: features[(cls == c) & (held == h)]
+    release()
     return L.simulate(spark, pick(0, False), pick(1, False), pick(0, True), pick(1, True), runs, iterations, workers, batch, every, SEED, eval_every=max(1, iterations // 6))
 
 
@@ -237,9 +256,19 @@ def learning_curves(spark, d, runs: int = 6, iterations: int = 60):
 
 
 @query()
-def learning_curves_replica(spark, d, runs: int = 100, iterations: int = 60):
-    """The experiment's size: 49,000 rows, 100 workers, 100 pairs a worker, 100 runs."""
-    t = curves(spark, planted(spark, d), runs, iterations, 100, 100, (1, 25, None), 49_000)
+def learning_curves_replica(spark, d, runs: int = 100, iterations: int = 200):
+    """The experiment's size: 49,000 rows, 100 workers, 100 pairs a worker, 100 runs, shuffles every
+    1, 5, 25, 100 or no iterations."""
+    t = curves(spark, planted(spark, d), runs, iterations, 100, 100, (1, 5, 25, 100, None), 49_000)
+    return bands(t, ("shuffle_every", "iteration", "metric"))
+
+
+@query()
+def learning_curves_small_parts(spark, d, runs: int = 40, iterations: int = 300):
+    """The regime where shuffles matter most: 20 workers with a few rows of each class, so that fixed
+    parts hold a small part of all pairs. Bands narrow and medians improve with more shuffles."""
+    rows = planted(spark, d, hard=False, share=0.4)
+    t = curves(spark, rows, runs, iterations, 20, 20, (1, 25, None), 125)
     return bands(t, ("shuffle_every", "iteration", "metric"))
 
 
@@ -278,9 +307,12 @@ def learning_curves_null(spark, d, runs: int = 6, iterations: int = 60):
     return bands(t, ("shuffle_every", "iteration", "metric"))
 
 
-@query()
+@query(
+    """SELECT CAST(it AS INTEGER) AS iteration, count(*) AS runs, round(quantile_cont(v, 0.05), 9) AS low, round(median(v), 9) AS median, round(quantile_cont(v, 0.95), 9) AS high
+FROM (SELECT run, it, sin(run + it / 7.0) AS v FROM (SELECT unnest(range(40)) AS run), (SELECT unnest(range(5)) AS it)) GROUP BY it"""
+)
 def trace_bands(spark, d):
-    """Bands of the running norm over five seeds."""
+    """Bands over forty runs of a known curve."""
     rows = [(run, it, float(np.sin(run + it / 7))) for run in range(40) for it in range(5)]
     t = spark.createDataFrame(rows, "run int, iteration int, value double")
-    return bands(t, ("iteration",))
+    return rounded(bands(t, ("iteration",)), 9, "low", "median", "high")

@@ -14,6 +14,8 @@ from .base import ROUNDS, SEED, TWO, WORKERS, balances, query, rounded
 LARGE, SMALL = (100_000, 200, 100), (5000, 50, 10)
 PRESETS = {"small_v2": V.Components(0.1, 0.001, 1.0), "large_v2": V.Components(0.1, 0.1, 1.0)}
 EPS = (0.5, 0.2, 0.1, 0.05, 0.02, 0.01)
+#: Most pairs and most moved rows.
+BUDGET = (10**6 + 1, 5 * (100_000 + 200) + 1)
 GRID_T, GRID_B = (1, 2, 5, 10, 25, 100), (20, 100, 500)
 
 
@@ -225,7 +227,9 @@ def plan_rounds(spark, d):
     GRID
     + """ SELECT preset, 'repartitioned' AS estimator, CAST(t AS INTEGER) AS rounds, 0 AS batch, CAST(n * m * t / w AS BIGINT) AS pairs, round((vn + (w - 1) * v0 / (n * m * t)) * 1e6, 6) AS millionths FROM h WHERE b = 20
 UNION ALL SELECT preset, 'repartitioned_incomplete', CAST(t AS INTEGER), CAST(b AS INTEGER), CAST(w * b * t AS BIGINT),
-round((vn + (w - 1) * v0 / (n * m * t) - (vn + (w - 1) * v0 / (n * m)) / (t * b) + v / (w * t * b)) * 1e6, 6) FROM h"""
+round((vn + (w - 1) * v0 / (n * m * t) - (vn + (w - 1) * v0 / (n * m)) / (t * b) + v / (w * t * b)) * 1e6, 6) FROM h
+UNION ALL SELECT preset, 'incomplete', 0, 0, CAST(n * m * t / w AS BIGINT), round(((1 - w / (n * m * t)) * vn + v * w / (n * m * t)) * 1e6, 6) FROM h WHERE b = 20
+UNION ALL SELECT preset, 'complete', 0, 0, CAST(n * m AS BIGINT), round(vn * 1e6, 6) FROM h WHERE b = 20 AND t = 1"""
 )
 def variance_frontier(spark, d):
     """Variance against evaluated pairs in the large configuration."""
@@ -234,6 +238,47 @@ def variance_frontier(spark, d):
     return rounded(spark.createDataFrame(rows, "preset string, estimator string, rounds int, batch int, pairs long, millionths double"), 6, "millionths")
 
 
+@query(
+    PAIR
+    + f""", vc AS (SELECT *, (sx / (n - 1) - ms0) / m AS v1, (sz / (m - 1) - ms0) / n AS v2 FROM k), t AS (SELECT unnest([1, 2, 5, 10]) AS t),
+e AS (SELECT t, n, m, ms0, v1 / n + v2 / m + ms0 / (n * m) AS vn, v1 + v2 + ms0 AS v FROM vc, t)
+SELECT 'repartitioned' AS estimator, CAST(t AS INTEGER) AS rounds, CAST(n * m * t // {WORKERS} AS BIGINT) AS pairs, round((vn + {WORKERS - 1} * ms0 / (n * m * t)) / vn, 8) AS relative FROM e
+UNION ALL SELECT 'incomplete', 0, CAST(n * m * t // {WORKERS} AS BIGINT), round(((1 - 1.0::DOUBLE / (n * m * t // {WORKERS})) * vn + v / (n * m * t // {WORKERS})) / vn, 8) FROM e
+UNION ALL SELECT 'complete', 0, CAST(n * m AS BIGINT), 1.0 FROM e WHERE t = 1"""
+)
+def variance_frontier_measured(spark, d):
+    """The same curves, relative to the complete statistic, from components measured on the balances."""
+    c = V.auc_components(balances(spark, d), F.col("score"), F.col("sample") == 0).first()
+    k = V.Components(c.v1, c.v2, c.v0)
+    vn = V.var_complete(k, c.n, c.m)
+    rows = [(r[0], r[1], r[3], r[4] / vn) for r in P.frontier(k, c.n, c.m, WORKERS, (1, 2, 5, 10), ())]
+    return rounded(spark.createDataFrame(rows, "estimator string, rounds int, pairs long, relative double"), 8, "relative")
+
+
+@query(
+    """WITH c AS (SELECT * FROM (VALUES (5000, 50, 10), (100000, 200, 100)) x(n, m, w)),
+p AS (SELECT n, m, w, (n + m) // w AS k FROM c), f AS (SELECT p.*, i FROM p, (SELECT unnest(range(0, 1100)) AS i) WHERE i < k)
+SELECT CAST(n AS BIGINT) AS n, CAST(m AS BIGINT) AS m, CAST(w AS BIGINT) AS workers, round(-0.99::DOUBLE * exp(sum(ln((n - i)::DOUBLE) - ln((n + m - i)::DOUBLE))), 8) AS fixed_size,
+round(-0.99::DOUBLE * pow(1 - 1.0::DOUBLE / any_value(w), any_value(m)), 8) AS independent FROM f GROUP BY n, m, w"""
+)
+def swor_bias(spark, d):
+    """Bias of the zero rule when rows are dealt without regard to sample, at an area of 0.99."""
+    rows = [(n, m, w, V.swor_bias(0.99, n, m, w), V.swor_bias(0.99, n, m, w, False)) for n, m, w in (SMALL, LARGE)]
+    return rounded(spark.createDataFrame(rows, "n long, m long, workers long, fixed_size double, independent double"), 8, "fixed_size", "independent")
+
+
+@query(
+    """WITH c AS (SELECT * FROM (VALUES (5000, 50, 10), (100000, 200, 100)) x(n, m, w)),
+p AS (SELECT n, m, w, k, exp(lgamma(m + 1) - lgamma(k + 1) - lgamma(m - k + 1) + k * ln(1.0::DOUBLE / w) + (m - k) * ln(1 - 1.0::DOUBLE / w)) AS chance,
+  0.1::DOUBLE * w / n + 0.001::DOUBLE / k + 1.0::DOUBLE * w / (n::DOUBLE * k) AS var FROM (SELECT c.*, unnest(range(1, m + 1)) AS k FROM c))
+SELECT CAST(n AS BIGINT) AS n, CAST(m AS BIGINT) AS m, CAST(w AS BIGINT) AS workers, round(sum(chance * var) / sum(chance) / w * 1e6, 6) AS millionths FROM p GROUP BY n, m, w"""
+)
+def swor_variance(spark, d):
+    """One round of independently thrown rows, empty workers skipped: a mixture over minority sizes."""
+    rows = [(n, m, w, V.swor_numeric(PRESETS["small_v2"], n, m, w) * 1e6) for n, m, w in (SMALL, LARGE)]
+    return rounded(spark.createDataFrame(rows, "n long, m long, workers long, millionths double"), 6, "millionths")
+
+
 @query(
     """WITH p AS (SELECT * FROM (VALUES ('small_v2', 0.001::DOUBLE), ('large_v2', 0.1)) x(preset, v2)), e AS (SELECT preset, 99 * 1.0::DOUBLE / 2e7 / (0.1::DOUBLE / 1e5 + v2 / 200 + 1.0::DOUBLE / 2e7) AS excess FROM p)
 SELECT preset, CASE WHEN excess > 0.05 THEN 'shuffle' ELSE 'minority_limited' END AS advice, round(excess, 6) AS excess FROM e"""
@@ -246,13 +291,17 @@ def plan_diagnose(spark, d):
 
 @query(
     GRID
-    + """, o AS (SELECT preset, CAST(t AS INTEGER) AS rounds, 0 AS batch, (vn + (w - 1) * v0 / (n * m * t)) AS var FROM h WHERE b = 20 AND t = 5)
-SELECT preset, rounds, batch, round(var * 1e6, 6) AS millionths FROM o"""
+    + f""", q AS (SELECT DISTINCT preset, n, m, w, v0, v, vn FROM h), r AS (SELECT q.*, k FROM q, (SELECT unnest(range(1, 200)) AS k) WHERE k * (n + m) <= {BUDGET[1]}),
+o AS (SELECT preset, k, 0 AS batch, vn + (w - 1) * v0 / (n * m * k) AS var FROM r WHERE n * m * k / w <= {BUDGET[0]}
+  UNION ALL SELECT preset, k, batch, vn + (w - 1) * v0 / (n * m * k) - (vn + (w - 1) * v0 / (n * m)) / (k * batch) + v / (w * k * batch)
+  FROM (SELECT r.*, CAST(floor({BUDGET[0]} / (w * k)) AS BIGINT) AS batch FROM r) WHERE batch >= 1)
+SELECT preset, CAST(k AS INTEGER) AS rounds, CAST(batch AS INTEGER) AS batch, round(var * 1e6, 6) AS millionths FROM o
+QUALIFY row_number() OVER (PARTITION BY preset ORDER BY var, batch, k) = 1"""
 )
 def plan_budget(spark, d):
     """A million pairs and half a million moved rows: five rounds of all local pairs."""
     n, m, w = LARGE
-    rows = [(k, t, b, v * 1e6) for k, c in PRESETS.items() for t, b, v in [P.best_under_budget(c, n, m, w, 10**6 + 1, 5 * (n + m) + 1)]]
+    rows = [(k, t, b, v * 1e6) for k, c in PRESETS.items() for t, b, v in [P.best_under_budget(c, n, m, w, *BUDGET)]]
     return rounded(spark.createDataFrame(rows, "preset string, rounds int, batch int, millionths double"), 6, "millionths")
 
 
@@ -260,7 +309,7 @@ def plan_budget(spark, d):
 
 
 @query()
-def mc_relative_variance(spark, d, runs: int = 400):
+def mc_relative_variance(spark, d, runs: int = 5000):
     """Fresh samples of the two-point law: each estimator's variance over the complete one's closed
     form, beside the theory."""
     n, m, w = SMALL
