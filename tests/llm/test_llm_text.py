@@ -346,7 +346,32 @@ def test_quality_on_held_out_rows(spark):
     model = cotrain_quality.fit_model(d, labels.where("doc_id % 2 = 0"))
     r = cotrain_quality.quality(d, model).join(labels.where("doc_id % 2 = 1"), "doc_id").collect()
     assert linear.auc(np.array([x.score for x in r]), np.array([x.quality for x in r])) > 0.9
-    assert sum(map(sum, model.exchanged)) > 0
+    assert sum(map(sum, model.exchanged)) > 0 and (model.mix[:-1] > 0).all()
+
+
+def test_offers_come_from_all_rows(spark):
+    """The distributed top-k picks what a sort of all rows would."""
+    d = registry.table(spark, SF, "documents")
+    rows = cotrain_quality.feature_rows(d, "doc_id", "text").cache()
+    table, text, page = cotrain_quality.collected(rows.orderBy("doc_id"))
+    rng = np.random.default_rng(0)
+    views = [cotrain_quality.View(x.mean(axis=0), x.std(axis=0) + 1, rng.normal(size=x.shape[1] + 1)) for x in (text, page)]
+    got = cotrain_quality.corpus_offers(rows, 40, 0.55)
+    want = cotrain_quality.pool_offers(text, page, 40, 0.55)
+    first, brute = got(views, 0.7), want(views, 0.7)[0]
+    assert len(brute[2]) > 20 and sorted(first[0][2]) == sorted(brute[2])
+    assert np.allclose(np.sort(first[0][0], axis=0), np.sort(brute[0], axis=0))
+    again = got(views, 0.7)
+    lots = np.concatenate([o[0] for o in (*first, *again)])
+    whole = {tuple(x) for x in text.tolist()}
+    assert all(tuple(x) in whole for x in lots.tolist()) and len(again[0][2]) <= 40
+
+
+def test_views_are_separate(spark):
+    rows = [(1, "some text", "en", "a", 9), (2, "some text", "fr", "b", 700), (3, "OTHER 77 text!", "en", "a", 9)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    _, text, page = cotrain_quality.collected(cotrain_quality.feature_rows(d, "doc_id", "text").orderBy("doc_id"))
+    assert (text[0] == text[1]).all() and (page[0] == page[2]).all() and (text[0] != text[2]).any() and (page[0] != page[1]).any()
 
 
 def test_views_do_not_share_rows_labels():
@@ -355,7 +380,7 @@ def test_views_do_not_share_rows_labels():
     a, b = rng.normal(size=(300, 2)) + y[:, None], rng.normal(size=(300, 2)) + y[:, None]
     u = (rng.random(2000) < 0.5).astype(int)
     pool = rng.normal(size=(2000, 2)) + u[:, None], rng.normal(size=(2000, 2)) + u[:, None]
-    m = cotrain_quality.cotrain((a, b, y), pool, least_sure=0.8)
+    m = cotrain_quality.cotrain((a, b, y), cotrain_quality.pool_offers(*pool, 100, 0.8))
     s = m.score(*pool)
     assert linear.auc(s, u) > max(linear.auc(m.text.margin(pool[0]), u), linear.auc(m.page.margin(pool[1]), u))
 

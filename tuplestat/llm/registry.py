@@ -36,7 +36,7 @@ def op1_sketch_dedup(spark, sf_dir):
 
 def op2_cotrain_quality(spark, sf_dir):
     docs = table(spark, sf_dir, "documents")
-    return cotrain_quality.quality(docs, cotrain_quality.fit_model(docs, table(spark, sf_dir, "labels")))
+    return cotrain_quality.cotrained(docs, table(spark, sf_dir, "labels"))
 
 
 def op3_secret_scan(spark, sf_dir):

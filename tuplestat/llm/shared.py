@@ -138,6 +138,16 @@ def fresh(columns: list[str], base: str) -> str:
     return name
 
 
+def least_hashed(df: DataFrame, n: int, key: str) -> DataFrame:
+    """The `n` rows with the least hashes of `key` (all, if fewer). Rows far above are left out first, so
+    that the task which picks the rows gets a few times `n` however large the table is."""
+    h = F.xxhash64(F.col(key))
+    total = df.count()
+    if total > 8 * n:
+        df = df.where(h < F.lit(-(1 << 63) + int((1 << 64) * (4 * n + 400) / total)))
+    return df.orderBy(h, key).limit(n)
+
+
 BATCH_BYTES = 4 << 20
 
 

@@ -8,8 +8,8 @@ and the operator refuses a model that breaks them.
 
 1. A scan collects the distinct pre-tokens with their uses; the pieces of each are counted once and
    written as a table.
-2. A second scan has each text's pre-token frequencies. The most used pre-tokens (`common` rows of
-   at most COMMON_BYTES bytes each, so a bounded broadcast) are joined and summed in place; the
+2. A second scan has each text's pre-token frequencies. The most used pre-tokens (`common` rows at
+   most, of at most COMMON_BYTES bytes each, so a bounded broadcast) are joined and summed in place; the
    frequencies of all others leave the scan, are joined with the table and summed by row.
 
 A very common pre-token is thus never shuffled, and a rare one only meets its own uses. Token ids
@@ -154,8 +154,14 @@ def token_counts(
     docs = id_text(docs, id_col, text_col)
     table = staged(distinct_pieces(docs, context.broadcast(proto), hash(proto)), "pieces")
     # `common` rows of at most COMMON_BYTES and a number each, whatever the corpus.
-    short = table.where(F.octet_length("name") <= COMMON_BYTES)
-    top = short.orderBy(F.desc("uses"), "name").limit(common).select("name", "pieces").toArrow()
+    short = table.where(F.octet_length("name") <= COMMON_BYTES).withColumn("level", F.floor(8 * F.log2("uses")).cast("int"))
+    levels = short.groupBy("level").agg(F.count("*").alias("n")).collect()  # eight levels for each power of two
+    least, room = 1 << 30, common
+    for r in sorted(levels, key=lambda r: -r.level):
+        if r.n > room:
+            break
+        least, room = r.level, room - r.n
+    top = short.where(F.col("level") >= least).select("name", "pieces").toArrow()
     names = pa.concat_arrays([pa.array([], pa.string()), *top.column(0).cast(pa.string()).chunks])
     shipped = context.broadcast((names, top.column(1).to_numpy()))
     rows = staged(frequencies(docs, shipped), "frequencies")

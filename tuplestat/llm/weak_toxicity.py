@@ -36,7 +36,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .linear import fit_logistic, fit_sparse_logistic, sigmoid
-from .shared import batch_of, bounded_batches, discard, held, slices, staged, thrifty
+from .shared import batch_of, bounded_batches, discard, held, least_hashed, slices, staged, thrifty
 
 WORD = re.compile(r"[^\W_]+")
 BEGINNINGS = (3, 4, 5, 6)
@@ -254,7 +254,7 @@ def fit_model(
     share = usable.agg(F.avg("y").alias("p")).first().p
     picked = None
     for y in (0, 1):
-        one = usable.where(F.col("y") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(fit_rows)
+        one = least_hashed(usable.where(F.col("y") == y), fit_rows, "doc_id")
         picked = one if picked is None else picked.union(one)
     ids = picked.dropDuplicates(["doc_id"])
     bounded_batches(docs.sparkSession)
