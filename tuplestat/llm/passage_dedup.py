@@ -14,7 +14,9 @@ whatever else is in its buckets:
 
 1. Sets that similar differ in few shingles (three at most for 16 at 80 %). Shingles are dealt over
    one part more than that by their hash, so two such sets agree on a whole part. Nodes that share
-   a part are candidates. (A part that both have empty says nothing; sets that leave a part empty
+   a part meet in a bucket. Where just two meet, a 64-bit summary of their sets tells most pairs
+   that are too far apart, and the others are a pair to verify. Where more meet, all are
+   candidates of step 2. (A part that both have empty says nothing; sets that leave a part empty
    are dealt a second time. A pair is missed where both deals fail, with probability under 2e-5.)
 2. Candidates of sizes a and b are linked when they share ceil(p (a + b) / (100 + p)) shingles, so
    every subset of that number is a key, named by a and b. Members of a bucket of equal sizes are all
@@ -200,6 +202,14 @@ def subset_keys(grid: np.ndarray, mixed: np.ndarray, percent: int) -> tuple[np.n
     return np.concatenate(rows), np.concatenate(keys).view(np.int64), np.concatenate(sides)
 
 
+def summary(grid: np.ndarray) -> np.ndarray:
+    """64 bits of a row's set, of which a shingle sets one: sets differ in as many shingles at least."""
+    out = np.zeros(len(grid), dtype=np.uint64)
+    for column in grid.T:
+        out |= np.uint64(1) << (mix64(column) & np.uint64(63))
+    return out.view(np.int64)
+
+
 def wanted_prints(keys: DataFrame):
     """The prints' bit map as a broadcast variable (None inside when there are too many)."""
     return keys.sparkSession.sparkContext.broadcast(bit_map(keys, F.col("print")))
@@ -207,12 +217,12 @@ def wanted_prints(keys: DataFrame):
 
 def cut_paragraphs(docs: DataFrame, words: int, window: int, fields: str, shipped=None, percent: int = 80) -> DataFrame:
     """A row per paragraph with some of doc_id, at, n (its words), print, shingles (hashes of 32 bits), or a row
-    per part of its set with print, key, size.
+    per part of its set with print, key, size, bits (see `summary`).
 
     `shipped` restricts the scan to a bit map's prints; what passes by chance is dropped by the
     join that follows. `shingles` and `key` need each print once per slice only.
     """
-    kinds = {"doc_id": "long", "at": "int", "n": "int", "print": "long", "shingles": "array<int>", "key": "long", "size": "int"}
+    kinds = {"doc_id": "long", "at": "int", "n": "int", "print": "long", "shingles": "array<int>", "key": "long", "size": "int", "bits": "long"}
     arrow = {"long": pa.int64(), "int": pa.int32(), "array<int>": pa.list_(pa.int32())}
     names = fields.split()
     schema = pa.schema([(n, arrow[kinds[n]]) for n in names])
@@ -230,7 +240,7 @@ def cut_paragraphs(docs: DataFrame, words: int, window: int, fields: str, shippe
             if "key" in names:
                 of, keys, size = part_keys(grid[keep], percent)
                 keep = keep[of]
-                made = {"key": lambda: keys, "size": lambda: size.astype(np.int32)}
+                made = {"key": lambda: keys, "size": lambda: size.astype(np.int32), "bits": lambda: summary(grid[keep])}
             made |= {"print": lambda: prints[keep], "at": lambda: (marks - first[row])[keep].astype(np.int32)}
             made["n"] = lambda: length[keep].astype(np.int32)
             made["doc_id"] = lambda: part.column(0).to_numpy(zero_copy_only=False)[row[keep]]
@@ -271,18 +281,37 @@ def near_links(docs: DataFrame, words: int, window: int, percent: int) -> DataFr
     bucket = Window.partitionBy("key")
     ends = lambda c: (F.min(c).over(bucket), F.max(c).over(bucket))
     (low, high), (small, large) = ends("print"), ends("size")
-    met = cut_paragraphs(docs, words, window, "print key size", percent=percent).select(
-        "print", (low != high).alias("met"), (small != large).alias("mixed")
+    bits = lambda c: (F.bit_or(c).over(bucket), F.bit_and(c).over(bucket))
+    (some, every), (any_print, all_print) = bits("bits"), bits("print")
+    apart = most_apart(words - SHINGLE + 1, percent)
+    rows = cut_paragraphs(docs, words, window, "print key size bits", percent=percent).select(
+        "print",
+        low.alias("low"),
+        high.alias("high"),
+        (small != large).alias("mixed"),
+        F.bit_count(some.bitwiseXOR(every)).alias("differ"),
+        # Any third print shows in the bits of all prints, but for one in 10^8.
+        ((any_print == low.bitwiseOR(high)) & (all_print == low.bitwiseAND(high))).alias("two"),
     )
-    candidates = staged(met.where("met").groupBy("print").agg(F.max("mixed").alias("mixed")), "candidates")
-    found = cut_paragraphs(docs, words, window, "print shingles", wanted_prints(candidates)).dropDuplicates(["print"])
+    met = staged(rows.where(f"low <> high AND NOT (two AND differ > {apart})").drop("differ"), "met")
+    candidates = staged(met.where("NOT two").groupBy("print").agg(F.max("mixed").alias("mixed")), "candidates")
+    pairs = staged(met.where("two").select(F.col("low").alias("a"), F.col("high").alias("b")).distinct(), "pairs")
+    named = candidates.select("print").union(pairs.select("a")).union(pairs.select("b")).distinct()
+    found = cut_paragraphs(docs, words, window, "print shingles", wanted_prints(staged(named, "named"))).dropDuplicates(["print"])
+    sets = staged(found, "sets")
+    discard(met)
+    side = lambda c: sets.select(F.col("print").alias(c), F.col("shingles").alias(f"{c}_set"))
+    both = pairs.join(side("a"), "a").join(side("b"), "b")
+    common = F.size(F.array_intersect("a_set", "b_set"))
+    close = both.where(100 * common >= percent * F.size(F.array_union("a_set", "b_set"))).select("a", "b")
     (low, high), (small, large) = ends("print"), ends("side")
-    starred = subset_rows(found.join(candidates, "print"), percent).select(
+    starred = subset_rows(sets.join(candidates, "print"), percent).select(
         "print", low.alias("hub"), small.alias("small"), large.alias("large")
     )
     links = starred.where("print <> hub AND (large = 0 OR small <> large)").select(F.col("hub").alias("a"), F.col("print").alias("b"))
-    links = staged(links.distinct(), "links")
-    discard(candidates)
+    links = staged(links.union(close).distinct(), "links")
+    for done in (candidates, pairs, sets):
+        discard(done)
     return links
 
 
@@ -309,12 +338,15 @@ def repeated_passages(
     # in two documents or have a link can belong to a repeat.
     placed = (
         places.groupBy("print")
-        .agg(F.min(F.struct("doc_id", "at")).alias("first"), F.max("doc_id").alias("high"))
+        .agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"))
         .join(component.withColumnRenamed("id", "print"), "print", "left")
-        .where("first.doc_id <> high OR component IS NOT NULL")
-        .withColumn("component_id", F.coalesce("component", "print"))
+        .where("low <> high OR component IS NOT NULL")
+        .select("print", F.coalesce("component", "print").alias("component_id"), "low", "high")
     )
-    placed = staged(placed.select("print", "component_id", "first", "high"), "placed")
+    placed = staged(placed, "placed")
+    there = among(places, wanted_prints(placed)).join(placed, "print").where("doc_id = low")
+    starts = there.groupBy("print").agg(F.min("at").alias("at"))
+    placed = staged(placed.join(starts, "print").select("print", "component_id", F.struct(F.col("low").alias("doc_id"), "at").alias("first"), "high"), "placed")
     repeats = (
         placed.groupBy("component_id")
         .agg(F.min(F.struct("first.doc_id", "first.at", "print")).alias("head"), F.max("high").alias("high"))

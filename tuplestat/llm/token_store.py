@@ -36,7 +36,7 @@ from .shared import batch_of, held, id_text, slices, text_bytes
 from .simple8b import pack_block, unpack_block
 
 BLOCKS = "shard int, block int, first long, n_ids long, doc_ids array<long>, payload binary"
-TABLE_BYTES = 128 << 20
+TABLE_BYTES = 192 << 20
 
 
 class ChunkIds(IdTable):
