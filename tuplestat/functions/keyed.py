@@ -15,11 +15,19 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+def _digest(*parts) -> Column:
+    cols = [p if isinstance(p, Column) else F.lit(str(p)) for p in parts]
+    return F.md5(F.concat_ws("|", *[c.cast("string") for c in cols]))
+
+
 def keyed_u64(*parts) -> Column:
     """60 bits from parts (integers, strings or columns of such), joined by a bar."""
-    cols = [p if isinstance(p, Column) else F.lit(str(p)) for p in parts]
-    text = F.concat_ws("|", *[c.cast("string") for c in cols])
-    return F.conv(F.substring(F.md5(text), 1, 15), 16, 10).cast("long")
+    return F.conv(F.substring(_digest(*parts), 1, 15), 16, 10).cast("long")
+
+
+def keyed_odd(*parts) -> Column:
+    """Whether keyed_u64 of the parts is odd, read off its last digit."""
+    return F.substring(_digest(*parts), 15, 1).isin(*"13579bdf")
 
 
 def keyed_int(*parts) -> int:
@@ -40,9 +48,16 @@ def layers(n: int) -> int:
     return max(24, 2 * math.ceil(math.log2(max(n, 2))))
 
 
-def _layer(n: int, seed: int, rnd: Column, sample: int, hashed: str):
+def layer_keys(n: int, seed: int, rounds: range, sample: int) -> Column:
+    """k of every round and layer under md5, worked out once on the driver: they depend on no row."""
+    numbers = [[keyed_int(seed, r, sample, j) % max(n, 1) for j in range(1, layers(n) + 1)] for r in rounds]
+    return F.array(*[F.array(*[F.lit(k).cast("long") for k in row]) for row in numbers])
+
+
+def _layer(n: int, seed: int, rnd: Column, sample: int, hashed: str, keys: Column | None = None):
     """One layer: x meets its partner k - x modulo n, and a hash of the larger one decides on a swap.
-    The layer undoes itself. Under "md5" any SQL engine can repeat it; "xxhash64" is faster."""
+    The layer undoes itself. Under "md5" any SQL engine can repeat it; "xxhash64" is faster. `keys`:
+    the round's k of each layer, if known."""
 
     def h(shift: int, *parts: Column) -> Column:
         if hashed == "md5":
@@ -50,17 +65,21 @@ def _layer(n: int, seed: int, rnd: Column, sample: int, hashed: str):
         return F.xxhash64(F.lit(seed + shift), rnd, F.lit(sample), *parts)
 
     def layer(x, j):
-        partner = F.pmod(F.pmod(h(0, j), F.lit(n)) + F.lit(n) - x, F.lit(n))
-        swap = h(1, j, F.greatest(x, partner)).bitwiseAND(F.lit(1)) == 1
+        k = F.pmod(h(0, j), F.lit(n)) if keys is None else F.element_at(keys, j)
+        partner = F.pmod(k + F.lit(n) - x, F.lit(n))
+        top = F.greatest(x, partner)
+        swap = keyed_odd(seed + 1, rnd, sample, j, top) if hashed == "md5" else h(1, j, top).bitwiseAND(F.lit(1)) == 1
         return F.when(swap, partner).otherwise(x)
 
     return layer
 
 
-def permute(idx: Column, n: int, seed: int, rnd: Column | int, sample: int, hashed: str = "xxhash64") -> Column:
+def permute(
+    idx: Column, n: int, seed: int, rnd: Column | int, sample: int, hashed: str = "xxhash64", keys: Column | None = None
+) -> Column:
     """Place of `idx` under the keyed permutation of 0..n-1 for (seed, rnd, sample)."""
     rnd = rnd if isinstance(rnd, Column) else F.lit(rnd)
-    return F.aggregate(F.sequence(F.lit(1), F.lit(layers(n))), idx.cast("long"), _layer(n, seed, rnd, sample, hashed))
+    return F.aggregate(F.sequence(F.lit(1), F.lit(layers(n))), idx.cast("long"), _layer(n, seed, rnd, sample, hashed, keys))
 
 
 def unpermute(place: Column, n: int, seed: int, rnd: Column | int, sample: int, hashed: str = "xxhash64") -> Column:

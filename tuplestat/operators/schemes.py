@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.keyed import keyed_u64, permute
+from ..functions.keyed import keyed_u64, layer_keys, permute
 
 SCHEMES = ("prop_swor", "swor", "swor_iid", "prop_swr", "stride", "static")
 
@@ -43,7 +43,10 @@ def seeded(
     df = each_round(df, rounds, first)
     place = None
     for sample, n in sorted(sizes.items()):
-        here = permute(F.col("idx"), n, seed, F.col("round"), sample, hashed)
+        keys = None
+        if hashed == "md5" and rounds <= 16:
+            keys = F.element_at(layer_keys(n, seed, range(first, first + rounds), sample), F.col("round") - first + 1)
+        here = permute(F.col("idx"), n, seed, F.col("round"), sample, hashed, keys)
         place = F.when(F.col("sample") == sample, here) if place is None else place.when(F.col("sample") == sample, here)
     return _dealt(df.withColumn("_place", place), workers, F.col("_place")).drop("_place")
 
