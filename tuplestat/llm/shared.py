@@ -151,13 +151,14 @@ def least_hashed(df: DataFrame, n: int, key: str) -> DataFrame:
 BATCH_BYTES = 4 << 20
 
 
-def bounded_batches(spark: SparkSession) -> None:
-    """Have Arrow batches end at BATCH_BYTES, besides their bound in rows: rows here may be long
+def bounded_batches(spark: SparkSession, most: int = BATCH_BYTES) -> None:
+    """Have Arrow batches end at `most` bytes, besides their bound in rows: rows here may be long
     texts or sets, and a batch is held by both the JVM and the Python worker. A runtime setting."""
     name = "spark.sql.execution.arrow.maxBytesPerBatch"
     try:
-        if int(spark.conf.get(name).lower().removesuffix("b")) > BATCH_BYTES:
-            spark.conf.set(name, str(BATCH_BYTES))
+        now = int(spark.conf.get(name).lower().removesuffix("b"))
+        if now > most or now == BATCH_BYTES:
+            spark.conf.set(name, str(most))
     except (ValueError, PySparkException):  # a version without it, or a value with a unit
         return
 

@@ -32,11 +32,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .id_table import IdTable, flat_ids
-from .shared import batch_of, held, id_text, slices, text_bytes
+from .shared import batch_of, bounded_batches, held, id_text, slices, text_bytes
 from .simple8b import pack_block, unpack_block
 
 BLOCKS = "shard int, block int, first long, n_ids long, doc_ids array<long>, payload binary"
 TABLE_BYTES = 192 << 20
+SLICE_BYTES = 8 << 20
 
 
 class ChunkIds(IdTable):
@@ -218,7 +219,7 @@ def write_tokens(
             block, first, coded, sizes, names = block + 1, first + len(ids), [], [], []
             return out
 
-        for part in slices(batches, 4 << 20):
+        for part in slices(batches, SLICE_BYTES):
             ids, lengths = encode_texts(part.column(1), table, end_id)
             at = size = 0
             for name, n in zip(part.column(0).to_pylist(), lengths.tolist()):
@@ -234,7 +235,9 @@ def write_tokens(
         if names:
             yield close()
 
-    rows = id_text(docs, id_col, text_col).withColumn("tie", F.xxhash64("text"))
+    rows = id_text(docs, id_col, text_col)
+    bounded_batches(spark, SLICE_BYTES)  # larger slices have fewer distinct chunks for their size
+    rows = rows.withColumn("tie", F.xxhash64("text"))
     ordered = rows.repartitionByRange("doc_id", "tie").sortWithinPartitions("doc_id", "tie")
     ordered.select("doc_id", "text").mapInArrow(run, BLOCKS).write.parquet(path)
 
