@@ -1,14 +1,15 @@
 """Operators across texts and vectors: near duplicates, passages, search, components, pipeline."""
 
 import random
+import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from tuplestat.llm import components, passage_dedup, registry, segment_topk, sketch_dedup as D
+from tuplestat.llm import components, passage_dedup, registry, segment_topk, shared, sketch_dedup as D
 from tuplestat.llm.shared import shingle_hashes
-import pyarrow as pa
 
 WORDS = [f"w{i}" for i in range(4000)]
 
@@ -101,6 +102,21 @@ def test_shingles_do_not_depend_on_the_batch():
         assert len(alone) == len(sets_of(t, 2))
 
 
+def test_word_hashes_name_the_words():
+    rnd = random.Random(1)
+    made = lambda: "".join(rnd.choice("aAbZ[`{@ \t\n\x0b\x0c\r\x08\x0eé日") for _ in range(rnd.randint(0, 200)))
+    named = {}
+    for _ in range(200):
+        texts = [rnd.choice([None, "", "  ", made(), "x" * rnd.randint(1, 200), "Ab" * rnd.randint(1, 60) + " " + "y" * 64]) for _ in range(5)]
+        raw, offsets = shared.text_bytes(pa.array(texts, pa.string()))
+        starts, ends, row = shared.word_spans(raw, offsets)
+        want = [(k, w) for k, t in enumerate(texts) for w in re.findall("[^\x20\x09-\x0d]+", t or "")]
+        assert [(k, bytes(raw[a:b]).decode()) for k, a, b in zip(row, starts, ends)] == want
+        for (_, w), h in zip(want, shared.word_hashes(raw, starts, ends).tolist()):
+            assert named.setdefault(re.sub("[A-Z]", lambda m: m.group().lower(), w), h) == h
+    assert len(set(named.values())) == len(named)
+
+
 def test_components(spark):
     rng = random.Random(1)
     edges = [(i, i + 1) for i in range(30)] + [(100, k) for k in range(101, 160)] + [(rng.randrange(200, 260), rng.randrange(200, 260)) for _ in range(40)] + [(5, 5), (7, 6)]

@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .linear import fit_logistic, sigmoid
-from .shared import _SPACE, batch_of, bounded_batches, discard, least_hashed, slices, staged, text_bytes, word_hashes, word_spans
+from .shared import batch_of, bounded_batches, discard, is_space, least_hashed, slices, staged, text_bytes, word_hashes, word_spans
 
 HASHED = 24  # slots for source and for language
 TEXT_VIEW, PAGE_VIEW = 12, 2 + 2 * HASHED
@@ -67,7 +67,7 @@ def text_features(texts: pa.Array) -> np.ndarray:
     is_digit = (raw >= 48) & (raw <= 57)
     is_upper = (raw >= 65) & (raw <= 90)
     is_lower = (raw >= 97) & (raw <= 122)
-    is_mark = (raw < 128) & ~is_digit & ~is_upper & ~is_lower & ~_SPACE[raw] if len(raw) else np.zeros(0, bool)
+    is_mark = (raw < 128) & ~is_digit & ~is_upper & ~is_lower & ~is_space(raw) if len(raw) else np.zeros(0, bool)
     # Lines: cut at line feeds and at rows' ends; a line's hash is that of all its bytes.
     feed = raw == 10
     cuts = np.unique(np.concatenate([np.flatnonzero(feed), offsets[1:]]))

@@ -42,6 +42,7 @@ from pyspark.sql import functions as F
 from .components import connected
 from .shared import (
     _GOLD,
+    _MULT,
     batch_of,
     bit_map,
     discard,
@@ -72,7 +73,9 @@ def shingle_positions(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndar
         with np.errstate(over="ignore"):
             x = np.full(m, _GOLD, dtype=np.uint64)
             for k in range(SHINGLE):
-                x = mix64(x * np.uint64(0xFF51AFD7ED558CCD) + h[k : k + m])
+                x *= _MULT
+                x += h[k : k + m]
+                x = mix64(x)
         whole = row[:m] == row[SHINGLE - 1 : SHINGLE - 1 + m]
         s[:m][whole] = np.minimum(x[whole], np.uint64(np.iinfo(np.uint64).max - 1))
     return s, first, count, h
@@ -129,7 +132,7 @@ def paragraphs_at(s: np.ndarray, places: np.ndarray, length: np.ndarray, words:
     with np.errstate(over="ignore"):
         f = np.full(len(places), _GOLD, dtype=np.uint64)
         for k in sorted({*range(0, width, SHINGLE), width - 1}):
-            f = mix64(f * np.uint64(0xFF51AFD7ED558CCD) + grid[:, k])
+            f = mix64(f * _MULT + grid[:, k])
     return grid & np.uint64(0xFFFFFFFF), f.view(np.int64)
 
 
@@ -156,21 +159,21 @@ def part_keys(grid: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray, n
     x, new = distinct_in(grid)
     parts = most_apart(grid.shape[1], percent) + 1
     rows, keys = [], []
-    again = np.ones(len(x), dtype=bool)
+    at = np.arange(len(x))
     for deal in range(2):
         with np.errstate(over="ignore"):
-            h = mix64(x + np.uint64(deal + 1) * _GOLD)
+            h = mix64(x[at] + np.uint64(deal + 1) * _GOLD)
             part = (h >> np.uint64(32)) % np.uint64(parts)
-            filled = np.zeros(len(x), dtype=np.int64)
+            part[~new[at]] = parts
+            filled = np.zeros(len(at), dtype=np.int64)
             for p in range(parts):
-                mine = new & (part == p)
-                here = mine.any(axis=1)
-                filled += here
-                total = np.where(mine, h, np.uint64(0)).sum(axis=1, dtype=np.uint64)
-                at = np.flatnonzero(here & again)
-                rows.append(at)
-                keys.append(mix64(total[at] + np.uint64(deal * parts + p + 1) * _GOLD))
-        again = filled < parts
+                mine = part == p
+                here = np.flatnonzero(mine.any(axis=1))
+                filled[here] += 1
+                total = (h * mine).sum(axis=1, dtype=np.uint64)[here]
+                rows.append(at[here])
+                keys.append(mix64(total + np.uint64(deal * parts + p + 1) * _GOLD))
+        at = at[filled < parts]
     row = np.concatenate(rows)
     return row, np.concatenate(keys).view(np.int64), new.sum(axis=1)[row]
 
@@ -189,6 +192,8 @@ def subset_keys(grid: np.ndarray, mixed: np.ndarray, percent: int) -> tuple[np.n
             if least > min(a, b):
                 continue
             who = np.arange(len(at)) if a == b else np.flatnonzero(mixed[at])
+            if not len(who):
+                continue
             cut = np.array(list(combinations(range(a), a - least)), dtype=np.int64)
             with np.errstate(over="ignore"):
                 total = h[who].sum(axis=1, dtype=np.uint64)

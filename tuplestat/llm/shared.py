@@ -230,20 +230,23 @@ def batch_of(schema: pa.Schema, *columns) -> pa.RecordBatch:
 
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 _GOLD = np.uint64(0x9E3779B97F4A7C15)
+_MULT = np.uint64(0xFF51AFD7ED558CCD)
 _BASE = 0xD6E8FEB86659FD93
 _BASE_INV = pow(_BASE, -1, 1 << 64)
-_LOWER = np.arange(256, dtype=np.uint8)
-_LOWER[65:91] += 32
-_SPACE = np.zeros(256, dtype=bool)
-_SPACE[[32, 9, 10, 11, 12, 13]] = True
+#: Words of up to this many bytes are hashed byte by byte, all words at once.
+SHORT = 64
 
 
 def mix64(x: np.ndarray) -> np.ndarray:
     """The finaliser of splitmix64: a bijection that spreads every bit."""
     with np.errstate(over="ignore"):
-        x = (x ^ (x >> np.uint64(30))) * _M1
-        x = (x ^ (x >> np.uint64(27))) * _M2
-        return x ^ (x >> np.uint64(31))
+        y = x >> np.uint64(30)
+        y ^= x
+        y *= _M1
+        y ^= y >> np.uint64(27)
+        y *= _M2
+        y ^= y >> np.uint64(31)
+        return y
 
 
 _POWERS = [np.ones(1, dtype=np.uint64), np.ones(1, dtype=np.uint64)]
@@ -261,6 +264,18 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWERS[0], _POWERS[1]
 
 
+_TERMS: list[np.ndarray] = []
+
+
+def _terms() -> list[np.ndarray]:
+    """For each place in a short word, what each byte (A-Z lowered) adds to the word's polynomial."""
+    if not _TERMS:
+        value = lowered(np.arange(256, dtype=np.uint8)).astype(np.uint64) + np.uint64(1)
+        with np.errstate(over="ignore"):
+            _TERMS.extend(value * p for p in _powers(SHORT)[0][:SHORT])
+    return _TERMS
+
+
 def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(UTF-8 bytes of all rows end to end, row offsets); null rows are empty."""
     column = column.fill_null("")
@@ -275,6 +290,16 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
+def is_space(raw: np.ndarray) -> np.ndarray:
+    """Which bytes are ASCII white space."""
+    return (raw == 32) | ((raw - np.uint8(9)) < 5)
+
+
+def lowered(raw: np.ndarray) -> np.ndarray:
+    """The bytes with A-Z lowered."""
+    return raw | (((raw - np.uint8(65)) < 26).view(np.uint8) << np.uint8(5))
+
+
 def word_spans(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Start and end byte of each maximal run outside ASCII white space, and the row it lies in.
 
@@ -283,29 +308,49 @@ def word_spans(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nda
     if len(raw) == 0:
         z = np.zeros(0, np.int64)
         return z, z, z
-    inside = np.zeros(len(raw) + 2, dtype=np.int8)
-    inside[1:-1] = ~_SPACE[raw]
-    step = np.diff(inside)
-    starts, ends = np.flatnonzero(step == 1), np.flatnonzero(step == -1)
+    inside = np.zeros(len(raw) + 2, dtype=bool)
+    np.logical_not(is_space(raw), out=inside[1:-1])
+    turns = np.flatnonzero(inside[1:] != inside[:-1])  # starts and ends by turns
+    starts, ends = turns[::2], turns[1::2]
     inner = np.unique(offsets[1:-1])
     inner = inner[(inner > 0) & (inner < len(raw))]
-    cut = inner[(inside[inner] == 1) & (inside[inner + 1] == 1)]
+    cut = inner[inside[inner] & inside[inner + 1]]
     if len(cut):
         starts, ends = np.sort(np.concatenate([starts, cut])), np.sort(np.concatenate([ends, cut]))
-    return starts, ends, np.searchsorted(offsets, starts, side="right") - 1
+    return starts, ends, np.repeat(np.arange(len(offsets) - 1), np.diff(np.searchsorted(starts, offsets)))
 
 
 def word_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of each word with A-Z lowered: a polynomial over its bytes, made free of
-    the word's place, then mixed. All words of a batch are hashed by a few array passes."""
-    if len(starts) == 0:
+    """A 64-bit hash of each word with A-Z lowered: a polynomial over its bytes, then mixed.
+
+    Words are laid by length, so that those with a byte at a place are a prefix: an array pass
+    per place. Words longer than SHORT bytes are laid end to end, summed from the first byte on,
+    and made free of their places."""
+    n = len(starts)
+    if n == 0:
         return np.zeros(0, np.uint64)
-    power, inverse = _powers(len(raw) + 1)
+    size = ends - starts
+    order = np.argsort(-np.minimum(size, SHORT + 1).astype(np.int16), kind="stable")
+    begin = starts[order]
+    longer = n - np.cumsum(np.bincount(np.minimum(size, SHORT), minlength=SHORT + 1))  # than k bytes
+    total = np.zeros(n, dtype=np.uint64)
     with np.errstate(over="ignore"):
-        total = np.zeros(len(raw) + 1, dtype=np.uint64)
-        np.cumsum((_LOWER[raw].astype(np.uint64) + np.uint64(1)) * power[: len(raw)], out=total[1:])
-        h = (total[ends] - total[starts]) * inverse[starts]
-        return mix64(h + (ends - starts).astype(np.uint64) * _GOLD)
+        for k, term in enumerate(_terms()):
+            m = int(longer[k])
+            if not m:
+                break
+            total[:m] += term[raw[begin[:m] + k]]
+        h = np.empty(n, dtype=np.uint64)
+        h[order] = total
+        long = np.flatnonzero(size > SHORT)
+        if len(long):
+            first = np.concatenate([[0], np.cumsum(size[long])])
+            power, inverse = _powers(int(first[-1]) + 1)
+            low = lowered(raw[np.arange(first[-1]) + np.repeat(starts[long] - first[:-1], size[long])])
+            sums = np.zeros(len(low) + 1, dtype=np.uint64)
+            np.cumsum((low.astype(np.uint64) + np.uint64(1)) * power[: len(low)], out=sums[1:])
+            h[long] = (sums[first[1:]] - sums[first[:-1]]) * inverse[first[:-1]]
+        return mix64(h + size.astype(np.uint64) * _GOLD)
 
 
 def shingle_hashes(column: pa.Array, size: int) -> tuple[np.ndarray, np.ndarray]:
@@ -337,7 +382,7 @@ def distinct_shingles(h: np.ndarray, count: np.ndarray, size: int) -> tuple[np.n
         for k in range(size):
             here = wide > k
             nxt = h[np.where(here, begin + k, 0)] if len(h) else np.zeros(0, np.uint64)
-            s = np.where(here, mix64(s * np.uint64(0xFF51AFD7ED558CCD) + nxt), s)
+            s = np.where(here, mix64(s * _MULT + nxt), s)
     order = np.lexsort((s, owner))
     s, owner = s[order], owner[order]
     keep = np.ones(len(s), dtype=bool)
