@@ -29,7 +29,7 @@ def mean_gap(v, f=np.abs):
 def test_one_sample_forms(spark):
     (v,) = column(spark, "events", "value")
     v = np.array([x for x in v if x is not None], dtype=float)
-    g = rows(spark, "kernel_gini_whole")[0]
+    g = rows(spark, "kernel_gini")[0]
     assert g.n == len(v) and g.estimate == pytest.approx(mean_gap(v), rel=1e-7)
     (p,) = column(spark, "orders", "o_totalprice")
     d2 = rows(spark, "u_complete_d2_whole")[0]
@@ -43,16 +43,16 @@ def test_one_sample_forms(spark):
 def test_concordance_and_chains(spark):
     x, y = column(spark, "lineitem", "l_quantity", "l_extendedprice")
     want = sum(int((((x[i] - x[i + 1 :]) * (y[i] - y[i + 1 :])) > 0).sum()) for i in range(len(x)))
-    k = rows(spark, "kernel_kendall_whole")[0]
+    k = rows(spark, "kernel_kendall")[0]
     assert (k.pairs, k.concordant) == (len(x) * (len(x) - 1) // 2, want)
     p, c = column(spark, "orders", "o_totalprice", "o_orderpriority")
     c = np.array([int(s[0]) for s in c])
     ways = np.ones((c == 1).sum())
     for b in range(2, 6):
         ways = (p[c == b - 1][None] < p[c == b][:, None]) @ ways
-    v = rows(spark, "kernel_vus5_whole")[0]
+    v = rows(spark, "kernel_vus5")[0]
     assert v.chains == pytest.approx(ways.sum()) and v.tuples == pytest.approx(np.prod([(c == b).sum() for b in range(1, 6)], dtype=float))
-    loss = {r.pair: r.loss for r in rows(spark, "multipartite_loss_whole")}
+    loss = {r.pair: r.loss for r in rows(spark, "multipartite_loss")}
     for b in range(1, 5):
         gap = 1 + p[c == b][:, None] / 1e5 - p[c == b + 1][None] / 1e5
         assert loss[b] == pytest.approx(np.maximum(0, gap).mean(), abs=1e-6)
@@ -63,7 +63,7 @@ def test_vectors(spark):
     e, y = np.array(e.tolist(), dtype=float), y.astype(int)
     i, j = np.triu_indices(len(y), 1)
     far, same = np.square(e[i] - e[j]).sum(axis=1), y[i] == y[j]
-    c, m = rows(spark, "kernel_cluster_whole")[0], rows(spark, "kernel_metric_whole")[0]
+    c, m = rows(spark, "kernel_cluster")[0], rows(spark, "kernel_metric")[0]
     assert (c.pairs, c.inside, m.pairs) == (len(i), same.sum(), len(i))
     assert c.estimate == pytest.approx(np.where(same, far, 0).mean(), abs=1e-6)
     assert m.estimate == pytest.approx(np.maximum(0, 1 + np.where(same, 1, -1) * (far - 2)).mean(), abs=1e-6)

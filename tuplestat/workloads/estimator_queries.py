@@ -71,50 +71,54 @@ def u_complete_broadcast(spark, d):
     return _whole(E.complete_auc_broadcast(balances(spark, d)))
 
 
-def _status(spark, d, limit=120):
-    o = load(spark, d, "orders").where(F.col("o_orderkey") <= limit)
-    cls = F.array_position(F.array(*map(F.lit, "FOP")), F.col("o_orderstatus")).cast("int") - 1
-    return o.select(
-        cls.alias("sample"), F.lpad(F.col("o_orderkey").cast("string"), 12, "0").alias("key"), F.col("o_totalprice").alias("score")
-    ).where("sample >= 0")
+def _thirds(spark, d):
+    """All suppliers in three classes."""
+    s = load(spark, d, "supplier").where("s_acctbal IS NOT NULL")
+    key = F.lpad(F.col("s_suppkey").cast("string"), 12, "0")
+    return s.select(F.pmod("s_nationkey", F.lit(3)).cast("int").alias("sample"), key.alias("key"), F.col("s_acctbal").alias("score"))
 
 
-STATUS = """s AS (
-  SELECT strpos('FOP', o_orderstatus) - 1 AS sample, lpad(CAST(o_orderkey AS VARCHAR), 12, '0') AS key, o_totalprice AS score
-  FROM orders WHERE o_orderkey <= 120 AND strpos('FOP', o_orderstatus) > 0
+THIRDS = """s AS (
+  SELECT CAST(s_nationkey % 3 AS INTEGER) AS sample, lpad(CAST(s_suppkey AS VARCHAR), 12, '0') AS key, s_acctbal AS score FROM supplier WHERE s_acctbal IS NOT NULL
 )"""
 
 
+def _customers(spark, d):
+    c = load(spark, d, "customer").where("c_acctbal IS NOT NULL")
+    return as_sample(c, 0, F.lpad(F.col("c_custkey").cast("string"), 12, "0"), F.round("c_acctbal"))
+
+
+CUSTOMERS = "s AS (SELECT 0 AS sample, lpad(CAST(c_custkey AS VARCHAR), 12, '0') AS key, CAST(round(c_acctbal) AS BIGINT) AS score FROM customer WHERE c_acctbal IS NOT NULL)"
+
+
 @query(
-    f"""WITH {STATUS}
+    f"""WITH {THIRDS}
 SELECT count(*) AS tuples, CAST(sum(CASE WHEN a.score < b.score AND b.score < c.score THEN 1 ELSE 0 END) AS BIGINT) AS total,
        round(avg(CASE WHEN a.score < b.score AND b.score < c.score THEN 1.0 ELSE 0.0 END), 9) AS estimate
 FROM s a, s b, s c WHERE a.sample = 0 AND b.sample = 1 AND c.sample = 2"""
 )
 def u_complete_k3(spark, d):
-    return _whole(E.complete_u(_status(spark, d), K.chain(3)))
+    return _whole(E.complete_u(_thirds(spark, d), K.chain(3)))
 
 
 @query(
-    """WITH s AS (SELECT lpad(CAST(o_orderkey AS VARCHAR), 12, '0') AS key, CAST(round(o_totalprice) AS BIGINT) AS v FROM orders WHERE o_orderkey <= 400)
-SELECT count(*) AS tuples, CAST(sum((a.v - b.v) * (a.v - b.v)) AS DOUBLE) AS total, round(avg((a.v - b.v) * (a.v - b.v)), 3) AS estimate
+    f"""WITH {CUSTOMERS}
+SELECT count(*) AS tuples, CAST(sum((a.score - b.score) * (a.score - b.score)) AS DOUBLE) AS total, round(avg((a.score - b.score) * (a.score - b.score)), 3) AS estimate
 FROM s a JOIN s b ON a.key < b.key"""
 )
 def u_complete_d2(spark, d):
-    o = load(spark, d, "orders").where("o_orderkey <= 400")
-    s = as_sample(o, 0, F.lpad(F.col("o_orderkey").cast("string"), 12, "0"), F.round("o_totalprice"))
-    return rounded(E.complete_u(s, K.SQDIFF), 3, "estimate")
+    return rounded(E.complete_u(_customers(spark, d), K.SQDIFF), 3, "estimate")
 
 
 @query(
-    """WITH s AS (SELECT lpad(CAST(p_partkey AS VARCHAR), 12, '0') AS key, CAST(p_size AS BIGINT) AS v FROM part WHERE p_partkey <= 60)
+    f"""WITH {THIRDS}, v AS (SELECT key, CAST(round(score) AS BIGINT) AS v FROM s)
 SELECT count(*) AS tuples, CAST(sum(greatest(a.v, b.v, c.v) - least(a.v, b.v, c.v)) AS BIGINT) AS total,
        round(avg(greatest(a.v, b.v, c.v) - least(a.v, b.v, c.v)), 9) AS estimate
-FROM s a JOIN s b ON a.key < b.key JOIN s c ON b.key < c.key"""
+FROM v a JOIN v b ON a.key < b.key JOIN v c ON b.key < c.key"""
 )
 def u_complete_d3(spark, d):
-    """Mean range of three parts' sizes: one sample, degree three."""
-    s = as_sample(load(spark, d, "part").where("p_partkey <= 60"), 0, F.lpad(F.col("p_partkey").cast("string"), 12, "0"), F.col("p_size"))
+    """Mean range of three suppliers' balances: one sample, degree three."""
+    s = as_sample(_thirds(spark, d), 0, F.col("key"), F.round("score"))
     k = K.Kernel("range3", (3,), lambda a, b, c: F.greatest(a, b, c) - F.least(a, b, c))
     return _whole(E.complete_u(s, k))
 
@@ -320,7 +324,7 @@ def estimator_grid(spark, d):
 
 
 @query(
-    f"""WITH {STATUS.replace('120', '600')}, {ranked_sql('s', 5, 2)}
+    f"""WITH {THIRDS}, {ranked_sql('s', 5, 2)}
 SELECT CAST(a.round AS INTEGER) AS round, CAST(a.worker AS INTEGER) AS worker, count(*) AS tuples,
        CAST(sum(CASE WHEN a.score < b.score AND b.score < c.score THEN 1 ELSE 0 END) AS BIGINT) AS wins,
        round(avg(CASE WHEN a.score < b.score AND b.score < c.score THEN 1.0 ELSE 0.0 END), 9) AS value
@@ -328,19 +332,18 @@ FROM w a JOIN w b ON a.round = b.round AND a.worker = b.worker AND a.sample = 0
 JOIN w c ON a.round = c.round AND a.worker = c.worker AND c.sample = 2 GROUP BY 1, 2"""
 )
 def u_repartitioned_k3(spark, d):
-    return local_rows(E.local_estimates(S.hash_rank(_status(spark, d, 600), 5, 2, SEED), K.chain(3), 5, 2))
+    return local_rows(E.local_estimates(S.hash_rank(_thirds(spark, d), 5, 2, SEED), K.chain(3), 5, 2))
 
 
 @query(
-    f"""WITH s AS (SELECT 0 AS sample, lpad(CAST(o_orderkey AS VARCHAR), 12, '0') AS key, CAST(round(o_totalprice) AS BIGINT) AS score FROM orders WHERE o_orderkey <= 500),
+    f"""WITH {CUSTOMERS},
 {ranked_sql('s', 5, 3)}
 SELECT CAST(a.round AS INTEGER) AS round, CAST(a.worker AS INTEGER) AS worker, count(*) AS tuples,
        CAST(sum(abs(a.score - b.score)) AS BIGINT) AS wins, round(avg(abs(a.score - b.score)), 6) AS value
 FROM w a JOIN w b ON a.round = b.round AND a.worker = b.worker AND a.key < b.key GROUP BY 1, 2"""
 )
 def u_repartitioned_d2(spark, d):
-    o = load(spark, d, "orders").where("o_orderkey <= 500")
-    s = as_sample(o, 0, F.lpad(F.col("o_orderkey").cast("string"), 12, "0"), F.round("o_totalprice"))
+    s = _customers(spark, d)
     return local_rows(E.local_estimates(S.hash_rank(s, 5, 3, SEED), K.ABSDIFF, 5, 3)).withColumn("value", F.round("value", 6))
 
 

@@ -8,11 +8,13 @@ from ..operators import estimators as E
 from ..operators import kernels as K
 from ..operators import schemes as S
 from ..operators import sorted_forms as Q
+from ..operators.concordance import concordance_counts
 from ..operators.samples import number_rows, sizes
 from ..plans import montecarlo as MC
 from ..plans import variance as V
 from ..sources.catalog import load
 from .base import SEED, WORKERS, balances, query, ranked_sql, rounded
+from .kernel_queries import CONCORDANCE
 
 #: Lines as the two-point law: informative pairs are rare. The modulus suits every table size.
 LINES = """s AS (
@@ -141,17 +143,9 @@ def w6_mean_difference(spark, d):
     return rounded(r.select("n", "estimate"), 6, "estimate")
 
 
-@query(
-    """WITH p AS (SELECT l_quantity AS x, l_extendedprice AS y, count(*) AS c FROM lineitem WHERE l_quantity IS NOT NULL AND l_extendedprice IS NOT NULL GROUP BY 1, 2),
-q AS (SELECT DISTINCT x AS level FROM p), t AS (SELECT sum(c) AS n FROM p),
-b AS (SELECT level, x, c, coalesce(sum(CASE WHEN x < level THEN c ELSE 0 END) OVER (PARTITION BY level ORDER BY y RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW EXCLUDE GROUP), 0) AS below FROM p, q),
-k AS (SELECT sum(c * below) AS k FROM b WHERE x = level)
-SELECT CAST(n * (n - 1) // 2 AS BIGINT) AS pairs, CAST(k AS BIGINT) AS concordant, round(CAST(k AS DOUBLE) / (CAST(n AS DOUBLE) * (n - 1) / 2), 9) AS estimate FROM k, t"""
-)
+@query(CONCORDANCE)
 def w6_concordance(spark, d):
     """Quantity against price over all lines: half the untied pairs, as they are independent."""
-    from ..operators.concordance import concordance_counts
-
     return rounded(concordance_counts(load(spark, d, "lineitem"), "l_quantity", "l_extendedprice"), 9, "estimate")
 
 

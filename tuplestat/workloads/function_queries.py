@@ -17,11 +17,11 @@ from .base import SEED, TWO, WORKERS, balances, ku, local_rows, query, ranked_sq
 @query(
     """SELECT o_orderkey, round(abs(o_totalprice - 150000), 2) AS away, CAST(sign(o_totalprice - 150000) AS INTEGER) AS side, round(ln(1 + o_totalprice), 9) AS log,
 round(sqrt(o_totalprice), 9) AS root, CAST(o_orderkey % 7 AS BIGINT) AS m, CAST(floor(o_totalprice / 1000) AS BIGINT) AS thousands,
-CAST(o_orderkey::HUGEINT * (o_orderkey - 1) // 2 AS BIGINT) AS pairs, CAST(o_orderkey::HUGEINT * (o_orderkey - 1) * (o_orderkey - 2) // 6 AS BIGINT) AS triples FROM orders WHERE o_orderkey < 5000"""
+CAST(o_orderkey::HUGEINT * (o_orderkey - 1) // 2 AS BIGINT) AS pairs, CAST(o_orderkey::HUGEINT * (o_orderkey - 1) * (o_orderkey - 2) // 6 AS BIGINT) AS triples FROM orders"""
 )
 def fn_math(spark, d):
     p = F.col("o_totalprice")
-    return load(spark, d, "orders").where("o_orderkey < 5000").select(
+    return load(spark, d, "orders").select(
         "o_orderkey",
         F.round(F.abs(p - 150000), 2).alias("away"),
         F.signum(p - 150000).cast("int").alias("side"),
@@ -119,27 +119,28 @@ def udf_permute(spark, d):
 
 
 @query(
-    """WITH r AS (SELECT l_linestatus, l_extendedprice AS s, l_returnflag = 'R' AS y FROM lineitem WHERE l_returnflag IN ('R', 'A') AND l_orderkey <= 3000)
-SELECT x.l_linestatus, round(avg(CASE WHEN z.s < x.s THEN 1.0 ELSE 0.0 END), 9) AS auc FROM r x JOIN r z ON x.l_linestatus = z.l_linestatus AND x.y AND NOT z.y GROUP BY 1"""
+    """WITH r AS (SELECT c_nationkey, c_acctbal AS s, c_mktsegment = 'BUILDING' AS y FROM customer WHERE c_acctbal IS NOT NULL)
+SELECT x.c_nationkey, round(avg(CASE WHEN z.s < x.s THEN 1.0 ELSE 0.0 END), 9) AS auc FROM r x JOIN r z ON x.c_nationkey = z.c_nationkey AND x.y AND NOT z.y GROUP BY 1"""
 )
 def udaf_auc(spark, d):
-    r = load(spark, d, "lineitem").where("l_returnflag IN ('R', 'A') AND l_orderkey <= 3000")
-    y = (F.col("l_returnflag") == "R").cast("int")
-    return rounded(r.groupBy("l_linestatus").agg(Q.auc_agg(F.col("l_extendedprice"), y).alias("auc")), 9, "auc")
+    """A Pandas aggregate, for groups that fit a task; `auc_grouped` has no such bound."""
+    r = load(spark, d, "customer").where("c_acctbal IS NOT NULL")
+    y = (F.col("c_mktsegment") == "BUILDING").cast("int")
+    return rounded(r.groupBy("c_nationkey").agg(Q.auc_agg(F.col("c_acctbal"), y).alias("auc")), 9, "auc")
 
 
 @query(
-    """WITH o AS (SELECT row_number() OVER (ORDER BY o_orderkey) AS k, o_orderpriority AS p, round(o_totalprice) AS v, CAST(o_custkey AS DOUBLE) AS c, strpos('FOP', o_orderstatus) AS y FROM orders WHERE o_orderkey <= 1200),
+    """WITH o AS (SELECT c_custkey AS k, c_nationkey AS p, round(c_acctbal) AS v, CAST(c_custkey AS DOUBLE) AS c, c_custkey % 3 + 1 AS y FROM customer WHERE c_acctbal IS NOT NULL),
 g AS (SELECT a.p, avg(abs(a.v - b.v)) AS gini, avg(CASE WHEN (a.v - b.v) * (a.c - b.c) > 0 THEN 1.0 ELSE 0.0 END) AS tau FROM o a JOIN o b ON a.p = b.p AND a.k < b.k GROUP BY 1),
 v AS (SELECT a.p, avg(CASE WHEN a.v < b.v AND b.v < c.v THEN 1.0 ELSE 0.0 END) AS vus FROM o a JOIN o b ON a.p = b.p AND a.y = 1 AND b.y = 2 JOIN o c ON c.p = a.p AND c.y = 3 GROUP BY 1)
-SELECT g.p AS priority, round(gini, 5) AS gini, round(tau, 9) AS concordance, round(vus, 9) AS vus FROM g JOIN v ON g.p = v.p"""
+SELECT g.p AS nation, round(gini, 5) AS gini, round(tau, 9) AS concordance, round(vus, 9) AS vus FROM g JOIN v ON g.p = v.p"""
 )
 def udaf_family(spark, d):
-    o = load(spark, d, "orders").where("o_orderkey <= 1200")
-    v = F.round("o_totalprice")
-    y = F.array_position(F.array(*map(F.lit, "FOP")), F.col("o_orderstatus")).cast("int")
-    g = o.groupBy(F.col("o_orderpriority").alias("priority")).agg(
-        Q.gini_agg(v).alias("gini"), Q.kendall_agg(v, F.col("o_custkey").cast("double")).alias("concordance"), Q.vus3_agg(v, y).alias("vus")
+    c = load(spark, d, "customer").where("c_acctbal IS NOT NULL")
+    v = F.round("c_acctbal")
+    y = (F.pmod("c_custkey", F.lit(3)) + 1).cast("int")
+    g = c.groupBy(F.col("c_nationkey").alias("nation")).agg(
+        Q.gini_agg(v).alias("gini"), Q.kendall_agg(v, F.col("c_custkey").cast("double")).alias("concordance"), Q.vus3_agg(v, y).alias("vus")
     )
     return rounded(rounded(g, 5, "gini"), 9, "concordance", "vus")
 

@@ -8,6 +8,7 @@ from ..operators import estimators as E
 from ..operators import kernels as K
 from ..operators import metrics as M
 from ..operators import sorted_forms as Q
+from ..operators.concordance import concordance_counts
 from ..operators.samples import sizes
 from ..sources.catalog import load
 from .base import NUMBERED, SEED, TWO, balances, ku, numbered_balances, query, rounded
@@ -28,13 +29,16 @@ def kernel_auc(spark, d):
     return r.select((F.col("n") * F.col("m")).alias("tuples"), "wins", "ties", F.round("auc_half", 9).alias("auc_half"))
 
 
-def _vus_sql(k, label, where):
-    names = "abcde"[:k]
-    rising = " AND ".join(f"{p}.v < {q}.v" for p, q in zip(names, names[1:]))
-    return f"""WITH s AS (SELECT {label} AS y, o_totalprice AS v FROM orders WHERE {where})
-SELECT CAST(count(*) AS BIGINT) AS tuples, CAST(sum(CASE WHEN {rising} THEN 1 ELSE 0 END) AS BIGINT) AS chains,
-       round(avg(CASE WHEN {rising} THEN 1.0 ELSE 0.0 END), 9) AS estimate
-FROM {", ".join(f"s {n}" for n in names)} WHERE {" AND ".join(f"{n}.y = {i + 1}" for i, n in enumerate(names))}"""
+def _vus_sql(k, label, whole="DOUBLE"):
+    """Rising chains class by class: rows of a class times the chains that end below them."""
+    counts = ", ".join(f"CAST(count(*) FILTER (y = {c}) AS DOUBLE) AS n{c}" for c in range(1, k + 1))
+    steps = ", ".join(
+        f"h{c} AS (SELECT * REPLACE (n{c} * coalesce(sum(h) OVER (ORDER BY v ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS h) FROM h{c - 1})"
+        for c in range(2, k + 1)
+    )
+    product = " * ".join(f"sum(n{c})" for c in range(1, k + 1))
+    return f"""WITH c AS (SELECT v, {counts} FROM (SELECT {label} AS y, o_totalprice AS v FROM orders) GROUP BY v), h1 AS (SELECT *, n1 AS h FROM c), {steps}
+SELECT CAST({product} AS {whole}) AS tuples, CAST(sum(h) AS {whole}) AS chains, round(sum(h) / ({product}), 9) AS estimate FROM h{k}"""
 
 
 def _vus(df, label, k):
@@ -50,14 +54,15 @@ def _priority_label():
     return F.substring("o_orderpriority", 1, 1).cast("int")
 
 
-@query(_vus_sql(3, "strpos('FOP', o_orderstatus)", "o_orderkey <= 600"))
+@query(_vus_sql(3, "strpos('FOP', o_orderstatus)", "BIGINT"))
 def kernel_vus3(spark, d):
-    return _vus(load(spark, d, "orders").where("o_orderkey <= 600"), _status_label(), 3)
+    return _vus(load(spark, d, "orders"), _status_label(), 3)
 
 
-@query(_vus_sql(5, "CAST(substr(o_orderpriority, 1, 1) AS INTEGER)", "o_orderkey <= 60"))
+@query(_vus_sql(5, "CAST(substr(o_orderpriority, 1, 1) AS INTEGER)"))
 def kernel_vus5(spark, d):
-    return _vus(load(spark, d, "orders").where("o_orderkey <= 60"), _priority_label(), 5)
+    r = Q.vus_counts(load(spark, d, "orders"), F.col("o_totalprice"), _priority_label(), 5)
+    return rounded(r.select("tuples", "chains", "estimate"), 9, "estimate")
 
 
 @query(
@@ -69,29 +74,28 @@ def kernel_variance(spark, d):
 
 
 @query(
-    """WITH s AS (SELECT event_id AS k, value AS v FROM events WHERE event_id <= 2500 AND value IS NOT NULL)
-SELECT (SELECT count(*) FROM s) AS n, round(sum(abs(a.v - b.v)), 4) AS total, round(avg(abs(a.v - b.v)), 7) AS estimate
-FROM s a JOIN s b ON a.k < b.k"""
+    """WITH c AS (SELECT value AS v, CAST(count(*) AS DOUBLE) AS c FROM events WHERE value IS NOT NULL GROUP BY 1),
+b AS (SELECT *, coalesce(sum(c) OVER w, 0) AS bc, coalesce(sum(c * v) OVER w, 0) AS bw FROM c WINDOW w AS (ORDER BY v ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING))
+SELECT CAST(sum(c) AS BIGINT) AS n, round(sum(c * (v * bc - bw)) / (sum(c) * (sum(c) - 1) / 2), 6) AS estimate FROM b"""
 )
 def kernel_gini(spark, d):
-    r = Q.mean_absolute_difference(load(spark, d, "events").where("event_id <= 2500 AND value IS NOT NULL"), F.col("value"))
-    return rounded(rounded(r, 4, "total"), 7, "estimate")
+    r = Q.mean_absolute_difference(load(spark, d, "events").where("value IS NOT NULL"), F.col("value"))
+    return rounded(r.select("n", "estimate"), 6, "estimate")
 
 
-@query(
-    """WITH s AS (SELECT row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey, l_extendedprice) AS k, l_quantity AS x, l_extendedprice AS y
-  FROM lineitem WHERE l_orderkey <= 300)
-SELECT count(*) AS pairs, CAST(sum(CASE WHEN (a.x - b.x) * (a.y - b.y) > 0 THEN 1 ELSE 0 END) AS BIGINT) AS concordant,
-       round(avg(CASE WHEN (a.x - b.x) * (a.y - b.y) > 0 THEN 1.0 ELSE 0.0 END), 9) AS estimate
-FROM s a JOIN s b ON a.k < b.k"""
-)
-def kernel_kendall(spark, d):
-    """Concordance of quantity and price: an exact merge count inside blocks of range-partitioned
-    quantity, plus counts across blocks from a 2-d histogram, without a pair."""
-    from ..operators.concordance import concordance_counts
+#: Concordant pairs of quantity and price over all lines: for each of the few quantities, its lines against
+#: the lines of a smaller quantity and a smaller price.
+CONCORDANCE = """WITH p AS (SELECT l_quantity AS x, l_extendedprice AS y, count(*) AS c FROM lineitem WHERE l_quantity IS NOT NULL AND l_extendedprice IS NOT NULL GROUP BY 1, 2),
+q AS (SELECT DISTINCT x AS level FROM p), t AS (SELECT sum(c) AS n FROM p),
+b AS (SELECT level, x, c, coalesce(sum(CASE WHEN x < level THEN c ELSE 0 END) OVER (PARTITION BY level ORDER BY y RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW EXCLUDE GROUP), 0) AS below FROM p, q),
+k AS (SELECT sum(c * below) AS k FROM b WHERE x = level)
+SELECT CAST(n * (n - 1) // 2 AS BIGINT) AS pairs, CAST(k AS BIGINT) AS concordant, round(CAST(k AS DOUBLE) / (CAST(n AS DOUBLE) * (n - 1) / 2), 9) AS estimate FROM k, t"""
 
-    rows = load(spark, d, "lineitem").where("l_orderkey <= 300")
-    return rounded(concordance_counts(rows, "l_quantity", "l_extendedprice"), 9, "estimate")
+
+@query(CONCORDANCE)
+def kernel_kendall(spark, d):
+    """Concordance of quantity and price without a pair (see operators.concordance)."""
+    return rounded(concordance_counts(load(spark, d, "lineitem"), "l_quantity", "l_extendedprice"), 9, "estimate")
 
 
 @query(
@@ -135,25 +139,25 @@ def kernel_logistic(spark, d):
     return rounded(E.complete_u(s, K.logistic_rank()).select("tuples", "estimate"), 8, "estimate")
 
 
-VECTORS = "SELECT vec_id AS k, label AS y, embedding AS e FROM embeddings WHERE vec_id < 120"
+VECTORS = "SELECT vec_id AS k, label AS y, embedding AS e FROM embeddings"
 DISTANCE = "list_sum([(CAST(p[1] AS DOUBLE) - p[2]) * (CAST(p[1] AS DOUBLE) - p[2]) for p in list_zip(a.e, b.e)])"
 
 
-def _vector_pairs(spark, d):
-    v = load(spark, d, "embeddings").where("vec_id < 120")
-    a = v.select(F.col("vec_id").alias("ka"), F.col("label").alias("la"), F.col("embedding").alias("ea"))
-    b = v.select(F.col("vec_id").alias("kb"), F.col("label").alias("lb"), F.col("embedding").alias("eb"))
-    return a.join(b, F.col("ka") < F.col("kb"))
-
-
 @query(
     f"""WITH s AS ({VECTORS}) SELECT count(*) AS pairs, count(*) FILTER (a.y = b.y) AS inside,
 round(avg(CASE WHEN a.y = b.y THEN {DISTANCE} ELSE 0 END), 8) AS estimate FROM s a JOIN s b ON a.k < b.k"""
 )
 def kernel_cluster(spark, d):
-    p = _vector_pairs(spark, d)
-    v = K.within_cluster(F.col("ea"), F.col("eb"), F.col("la"), F.col("lb"))
-    return p.agg(F.count("*").alias("pairs"), F.sum((F.col("la") == F.col("lb")).cast("long")).alias("inside"), F.round(F.avg(v), 8).alias("estimate"))
+    """Squared distances inside a label sum to its size times its squares less the square of its sum."""
+    v = load(spark, d, "embeddings").select("label", F.posexplode("embedding").alias("k", "e"))
+    v = v.select("label", "k", F.col("e").cast("double").alias("e"))
+    by = v.groupBy("label", "k").agg(F.count("*").alias("n"), F.sum("e").alias("s"), F.sum(F.col("e") * F.col("e")).alias("q"))
+    inside = by.agg(F.sum(F.col("n") * F.col("q") - F.col("s") * F.col("s")).alias("total"))
+    sizes = load(spark, d, "embeddings").groupBy("label").agg(F.count("*").alias("c")).agg(
+        F.sum("c").alias("n"), F.sum(F.col("c") * (F.col("c") - 1) / 2).cast("long").alias("inside")
+    )
+    pairs = (F.col("n") * (F.col("n") - 1) / 2).cast("long")
+    return sizes.join(F.broadcast(inside)).select(pairs.alias("pairs"), "inside", F.round(F.col("total") / pairs, 8).alias("estimate"))
 
 
 @query(
@@ -161,9 +165,11 @@ def kernel_cluster(spark, d):
 round(avg(greatest(0, 1 + (CASE WHEN a.y = b.y THEN 1 ELSE -1 END) * ({DISTANCE} - 2))), 8) AS estimate FROM s a JOIN s b ON a.k < b.k"""
 )
 def kernel_metric(spark, d):
-    p = _vector_pairs(spark, d)
-    v = K.metric_pair(F.col("ea"), F.col("eb"), F.col("la"), F.col("lb"), margin=2.0)
-    return p.agg(F.count("*").alias("pairs"), F.round(F.avg(v), 8).alias("estimate"))
+    """All pairs of vectors: the work is quadratic in the table."""
+    v = load(spark, d, "embeddings")
+    a, b = (v.select(F.col("vec_id").alias(f"k{c}"), F.col("label").alias(f"l{c}"), F.col("embedding").alias(f"e{c}")) for c in "ab")
+    loss = K.metric_pair(F.col("ea"), F.col("eb"), F.col("la"), F.col("lb"), margin=2.0)
+    return a.join(b, F.col("ka") < F.col("kb")).agg(F.count("*").alias("pairs"), F.round(F.avg(loss), 8).alias("estimate"))
 
 
 @query(

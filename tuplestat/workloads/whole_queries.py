@@ -1,62 +1,18 @@
-"""Whole-table forms of the queries whose SQL, being a join of pairs, reads a prefix of ids.
+"""Pair-free forms over all orders and parts of the queries that join pairs of a smaller table.
 
-They have no SQL: tests compare them with brute force on the smallest tables. Every row takes part;
-all but `kernel_metric_whole` need no pairs. Counts that grow with a power of the rows are doubles.
-"""
+They have no SQL: tests compare them with brute force on the smallest tables. Counts that grow with a
+power of the rows are doubles."""
 
 from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from ..operators import kernels as K
 from ..operators import schemes as S
 from ..operators import sorted_forms as Q
-from ..operators.concordance import concordance_counts
 from ..operators.samples import as_sample
-from ..plans import learning as L
 from ..sources.catalog import load
 from .base import SEED, query, rounded
-from .kernel_queries import _priority_label, _status_label
-
-
-@query()
-def kernel_vus5_whole(spark, d):
-    r = Q.vus_counts(load(spark, d, "orders"), F.col("o_totalprice"), _priority_label(), 5)
-    return rounded(r.select("tuples", "chains", "estimate"), 9, "estimate")
-
-
-@query()
-def kernel_gini_whole(spark, d):
-    r = Q.mean_absolute_difference(load(spark, d, "events").where("value IS NOT NULL"), F.col("value"))
-    return rounded(rounded(r, 4, "total"), 7, "estimate")
-
-
-@query()
-def kernel_kendall_whole(spark, d):
-    return rounded(concordance_counts(load(spark, d, "lineitem"), "l_quantity", "l_extendedprice"), 9, "estimate")
-
-
-@query()
-def kernel_cluster_whole(spark, d):
-    """Squared distances inside a label sum to its size times its squares less the square of its sum."""
-    v = load(spark, d, "embeddings").select("label", F.posexplode("embedding").alias("k", "e"))
-    v = v.select("label", "k", F.col("e").cast("double").alias("e"))
-    by = v.groupBy("label", "k").agg(F.count("*").alias("n"), F.sum("e").alias("s"), F.sum(F.col("e") * F.col("e")).alias("q"))
-    inside = by.agg(F.sum(F.col("n") * F.col("q") - F.col("s") * F.col("s")).alias("total"))
-    sizes = load(spark, d, "embeddings").groupBy("label").agg(F.count("*").alias("c")).agg(
-        F.sum("c").alias("n"), F.sum(F.col("c") * (F.col("c") - 1) / 2).cast("long").alias("inside")
-    )
-    pairs = (F.col("n") * (F.col("n") - 1) / 2).cast("long")
-    return sizes.join(F.broadcast(inside)).select(pairs.alias("pairs"), "inside", F.round(F.col("total") / pairs, 8).alias("estimate"))
-
-
-@query()
-def kernel_metric_whole(spark, d):
-    """All pairs of vectors: the work is quadratic in the table."""
-    v = load(spark, d, "embeddings")
-    a, b = (v.select(F.col("vec_id").alias(f"k{c}"), F.col("label").alias(f"l{c}"), F.col("embedding").alias(f"e{c}")) for c in "ab")
-    loss = K.metric_pair(F.col("ea"), F.col("eb"), F.col("la"), F.col("lb"), margin=2.0)
-    return a.join(b, F.col("ka") < F.col("kb")).agg(F.count("*").alias("pairs"), F.round(F.avg(loss), 8).alias("estimate"))
+from .kernel_queries import _status_label
 
 
 @query()
@@ -106,9 +62,3 @@ def u_repartitioned_d2_whole(spark, d):
         (F.sum("c") * (F.sum("c") - 1) / 2).cast("long").alias("tuples"), F.sum(c * (v * F.col("before_c") - F.col("before_w"))).alias("total")
     )
     return r.withColumn("value", F.round(F.when(F.col("tuples") > 0, F.col("total") / F.col("tuples")).otherwise(0.0), 6))
-
-
-@query()
-def multipartite_loss_whole(spark, d):
-    r = L.multipartite_loss(load(spark, d, "orders"), F.col("o_totalprice") / 100000, F.substring("o_orderpriority", 1, 1), 5)
-    return rounded(r, 7, "loss")
