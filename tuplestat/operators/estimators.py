@@ -17,7 +17,7 @@ from .kernels import Kernel
 from .samples import number_rows
 from .samples import sizes as count_rows
 from .schemes import hash_rank, seeded
-from .sorted_forms import auc_by_worker
+from .sorted_forms import auc_by_worker, auc_counts, chain_sums, chains_by_worker, gaps_by_worker, product_mean, square_gaps, triple_ranges
 
 
 def _named(df: DataFrame, sample: int, name: str, extra: tuple[str, ...] = ()) -> DataFrame:
@@ -70,10 +70,39 @@ def complete_u(samples: DataFrame, kernel: Kernel) -> DataFrame:
     return summed(pairs, kernel(*map(F.col, names))).withColumn("estimate", F.col("total") / F.col("tuples"))
 
 
+def _auc_sums(samples: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    r = auc_counts(samples, F.col("score"), F.col("sample") == 0, by)
+    tuples = F.coalesce(F.col("n") * F.col("m"), F.lit(0))
+    return r.select(tuples.alias("tuples"), F.when(tuples > 0, F.col("wins")).alias("total"), F.col("auc").alias("estimate"))
+
+
+def _product_sums(samples: DataFrame) -> DataFrame:
+    r = product_mean(samples, F.col("score"), F.col("sample") == 0).withColumn("tuples", F.col("n") * F.col("m"))
+    return r.select("tuples", (F.col("estimate") * F.col("tuples")).alias("total"), "estimate")
+
+
+#: Forms without tuples, by the kernel's name. Those of one sample are for whole-number scores.
+COMPLETE_FORMS = {
+    "auc_strict": _auc_sums, "chain3": lambda s: chain_sums(s, 3), "product": _product_sums, "sqdiff": square_gaps, "range3": triple_ranges,
+}
+LOCAL_FORMS = {"auc_strict": lambda a: auc_by_worker(a).drop("value"), "chain3": lambda a: chains_by_worker(a, 3), "absdiff": gaps_by_worker}
+
+
+def complete_sorted(samples: DataFrame, kernel: Kernel) -> DataFrame:
+    """`complete_u` of a kernel that has a form without tuples."""
+    return COMPLETE_FORMS[kernel.name](samples)
+
+
+def local_sorted(assigned: DataFrame, kernel: Kernel, workers: int, rounds: int, empty: str = "zero", first: int = 1) -> DataFrame:
+    """`local_estimates` of a kernel that has a form without tuples."""
+    return _with_empty(LOCAL_FORMS[kernel.name](assigned), workers, rounds, empty, first)
+
+
 def complete_tiled(samples: DataFrame, kernel: Kernel, grid: tuple[int, int], seed: int) -> DataFrame:
     """The complete two-sample statistic with its communication made explicit: rows are hashed to
     a row or column of a grid of tiles and copied along it, so that every pair meets in exactly
-    one tile, through an equi-join that spreads over any number of tasks."""
+    one tile, through an equi-join that spreads over any number of tasks. Tiles of the strict area are
+    counted by sorting, others by pairs."""
     gx, gz = grid
     h = keyed_u64(seed, "tile", F.col("sample"), F.col("key"))
     x = _named(samples.withColumn("_tx", F.pmod(h, F.lit(gx))), 0, "x", ("_tx",)).withColumn(
@@ -82,12 +111,17 @@ def complete_tiled(samples: DataFrame, kernel: Kernel, grid: tuple[int, int], se
     z = _named(samples.withColumn("_tz", F.pmod(h, F.lit(gz))), 1, "z", ("_tz",)).withColumn(
         "_tx", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(gx - 1).cast("long")))
     )
-    pairs = x.join(z, ["_tx", "_tz"])
     copied = samples.agg(
         F.sum(F.when(F.col("sample") == 0, gz).otherwise(gx)).cast("long").alias("moved_rows")
     )
+    if kernel.name == "auc_strict":
+        tile = ("_tx", "_tz")
+        sides = [df.select(*tile, F.lit(k).alias("sample"), F.col(c).alias("score")) for k, (df, c) in enumerate(((x, "x"), (z, "z")))]
+        sums = _auc_sums(sides[0].unionByName(sides[1]), tile).agg(F.coalesce(F.sum("tuples"), F.lit(0)).alias("tuples"), F.sum("total").alias("total"))
+    else:
+        sums = summed(x.join(z, ["_tx", "_tz"]), kernel(F.col("x"), F.col("z")))
     return (
-        summed(pairs, kernel(F.col("x"), F.col("z")))
+        sums
         .withColumn("estimate", F.col("total") / F.col("tuples"))
         .join(F.broadcast(copied))  # one row
     )
@@ -172,7 +206,10 @@ def draws(spark, batch: int, n: int, m: int, seed: int, sampling: str = "with_re
 
 def incomplete_u(samples: DataFrame, kernel: Kernel, batch: int, seed: int, sizes: dict[int, int], sampling: str = "with_replacement") -> DataFrame:
     """tuples, total, estimate over drawn pairs of two numbered samples: two equi-joins on idx.
-    The draws are the smaller side, so they filter the data early."""
+    The draws are the smaller side, so they filter the data early. Without replacement, as many draws as
+    there are pairs are every pair once: that is the complete statistic, without pairs where it can be."""
+    if sampling == "without_replacement" and batch == sizes[0] * sizes[1] and kernel.name in COMPLETE_FORMS:
+        return complete_sorted(samples, kernel)
     drawn = draws(samples.sparkSession, batch, sizes[0], sizes[1], seed, sampling)
     x = samples.where("sample = 0").select(F.col("idx").alias("i"), F.col("score").alias("x"))
     z = samples.where("sample = 1").select(F.col("idx").alias("j"), F.col("score").alias("z"))
@@ -211,7 +248,7 @@ def local_estimates(assigned: DataFrame, kernel: Kernel, workers: int, rounds: i
 
 
 def _with_empty(found: DataFrame, workers: int, rounds: int, empty: str, first: int = 1) -> DataFrame:
-    value = F.when(F.col("tuples") > 0, F.col("total") / F.col("tuples"))
+    value = F.when(F.col("tuples") > 0, F.col("total").cast("double") / F.col("tuples"))
     if empty == "skip":
         return found.withColumn("value", value)
     grid = worker_grid(found.sparkSession, workers, rounds, first)
