@@ -121,10 +121,10 @@ SELECT count(*) AS tuples, CAST(sum(greatest(a.v, b.v, c.v) - least(a.v, b.v, c.
 FROM v a JOIN v b ON a.key < b.key JOIN v c ON b.key < c.key"""
 )
 def u_complete_d3(spark, d):
-    """Mean range of three suppliers' balances: one sample, degree three."""
+    """Mean range of three suppliers' balances: one sample, degree three, from ranks."""
     s = as_sample(_thirds(spark, d), 0, F.col("key"), F.round("score"))
     k = K.Kernel("range3", (3,), lambda a, b, c: F.greatest(a, b, c) - F.least(a, b, c))
-    return _whole(E.complete_u(s, k))
+    return _whole(E.complete_sorted(s, k).withColumn("tuples", F.col("tuples").cast("long")))
 
 
 DRAWN = f"""WITH {NUMBERED}, c AS (
