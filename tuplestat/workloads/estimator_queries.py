@@ -348,7 +348,7 @@ FROM w a JOIN w b ON a.round = b.round AND a.worker = b.worker AND a.key < b.key
 )
 def u_repartitioned_d2(spark, d):
     s = _customers(spark, d)
-    return local_rows(E.local_estimates(S.hash_rank(s, 5, 3, SEED), K.ABSDIFF, 5, 3)).withColumn("value", F.round("value", 6))
+    return local_rows(E.local_sorted(S.hash_rank(s, 5, 3, SEED), K.ABSDIFF, 5, 3)).withColumn("value", F.round("value", 6))
 
 
 @query(
