@@ -336,7 +336,7 @@ FROM w a JOIN w b ON a.round = b.round AND a.worker = b.worker AND a.sample = 0
 JOIN w c ON a.round = c.round AND a.worker = c.worker AND c.sample = 2 GROUP BY 1, 2"""
 )
 def u_repartitioned_k3(spark, d):
-    return local_rows(E.local_estimates(S.hash_rank(_thirds(spark, d), 5, 2, SEED), K.chain(3), 5, 2))
+    return local_rows(E.local_sorted(S.hash_rank(_thirds(spark, d), 5, 2, SEED), K.chain(3), 5, 2))
 
 
 @query(
