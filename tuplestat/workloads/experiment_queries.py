@@ -119,7 +119,7 @@ SELECT count(*) AS tuples, round(avg(x.v / 1000 * z.v / 1000), 6) AS estimate FR
 def w4_degenerate(spark, d):
     s = balances(spark, d)
     c = s.join(F.broadcast(s.groupBy("sample").agg(F.avg("score").alias("_m"))), "sample").withColumn("score", (F.col("score") - F.col("_m")) / 1000)
-    r = E.complete_u(c.drop("_m"), K.PRODUCT).select("tuples", "estimate")
+    r = E.complete_sorted(c.drop("_m"), K.PRODUCT).select("tuples", "estimate")
     return r.select("tuples", (F.round("estimate", 6) + 0.0).alias("estimate"))
 
 
