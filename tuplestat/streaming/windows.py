@@ -104,6 +104,26 @@ def local_auc_stream(stream: DataFrame, key: str, score: str, positive: str, wor
     )
 
 
+ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+
+
+def run_to_files(stream: DataFrame) -> DataFrame:
+    """All of a bounded stream through a file sink in the shared folder, keyed state on disk; the result as
+    a table of those files."""
+    from ..sources.catalog import shared_dir
+
+    spark = stream.sparkSession
+    path, name = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}", "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(name)
+    spark.conf.set(name, ROCKS)
+    try:
+        query = stream.writeStream.format("parquet").option("path", f"{path}/rows").option("checkpointLocation", f"{path}/state")
+        query.outputMode("append").trigger(availableNow=True).start().awaitTermination()
+    finally:
+        spark.conf.set(name, before)
+    return spark.read.schema(stream.schema).parquet(f"{path}/rows")
+
+
 def run_to_end(stream: DataFrame, mode: str = "complete") -> DataFrame:
     """All of a bounded stream through the memory sink; the result as a table."""
     name = f"stream_{uuid.uuid4().hex}"
