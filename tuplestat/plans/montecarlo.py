@@ -60,11 +60,11 @@ def one_run(x: np.ndarray, z: np.ndarray, workers: int, rounds: int, batch: int,
     return out
 
 
-def two_point_runs(rng: np.random.Generator, runs: int, eps: float, n: int, m: int, workers: int, rounds: int, batch: int) -> dict[str, np.ndarray]:
+def two_point_runs(rng: np.random.Generator, runs: int, eps: tuple[float, float], n: int, m: int, workers: int, rounds: int, batch: int) -> dict[str, np.ndarray]:
     """`one_run` under proportional shuffles for many samples of the two-point law at once. A pair is
     out of order only where x is 0 and z is 1, so an area is one minus a product of shares, and shares
     of a worker are hypergeometric: the same law without rows."""
-    a, b = rng.binomial(n, eps, runs), rng.binomial(m, eps, runs)  # rows that can lose
+    a, b = rng.binomial(n, eps[0], runs), rng.binomial(m, eps[1], runs)  # rows that can lose
     sizes = [np.array([k // workers + (w < k % workers) for w in range(workers)]) for k in (n, m)]
 
     def dealt(total: np.ndarray, rows: int, part: np.ndarray) -> np.ndarray:
@@ -86,16 +86,19 @@ def two_point_runs(rng: np.random.Generator, runs: int, eps: float, n: int, m: i
 
 
 def law_runs(
-    spark: SparkSession, runs: int, n: int, m: int, eps: tuple[float, ...], workers: int, rounds: int, batch: int = 100, scheme: str = "prop_swor", seed: int = 7
+    spark: SparkSession, runs: int, n: int, m: int, eps: tuple[float, ...], workers: int, rounds: int, batch: int = 100, scheme: str = "prop_swor", seed: int = 7,
+    shares: dict[float, tuple[float, float]] | None = None,
 ) -> DataFrame:
-    """run, eps, estimator, value: fresh samples of the two-point law in every run."""
+    """run, eps, estimator, value: fresh samples of the two-point law in every run. `shares`: of each eps, the
+    share of rows of both samples that can lose, where it is not eps itself."""
+    shares = shares or {e: (e, e) for e in eps}
     schema = pa.schema([("run", pa.int32()), ("eps", pa.float64()), ("estimator", pa.string()), ("value", pa.float64())])
 
     def at_once(batches):
         for b in batches:
             ids = b.column(0).to_numpy()
             for k, e in enumerate(eps):
-                found = two_point_runs(np.random.default_rng([seed, int(ids[0]), k]), len(ids), e, n, m, workers, rounds, batch)
+                found = two_point_runs(np.random.default_rng([seed, int(ids[0]), k]), len(ids), shares[e], n, m, workers, rounds, batch)
                 for name, values in found.items():
                     yield pa.RecordBatch.from_arrays([pa.array(c, t.type) for c, t in zip((ids, np.full(len(ids), e), [name] * len(ids), values), schema)], schema=schema)
 
@@ -105,8 +108,8 @@ def law_runs(
             for run in b.column(0).to_pylist():
                 for k, e in enumerate(eps):
                     rng = np.random.default_rng([seed, run, k])
-                    x = np.where(rng.random(n) < e, 0.0, 2.0)
-                    z = np.where(rng.random(m) < e, 1.0, -1.0)
+                    x = np.where(rng.random(n) < shares[e][0], 0.0, 2.0)
+                    z = np.where(rng.random(m) < shares[e][1], 1.0, -1.0)
                     rows += [(run, e, name, v) for name, v in one_run(x, z, workers, rounds, batch, scheme, rng).items()]
             yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows), schema)], schema=schema)
 
