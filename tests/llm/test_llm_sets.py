@@ -73,6 +73,24 @@ def test_near_duplicates_against_brute_force(spark, corpus, size):
     assert all(got[i].kept == (want[i] == i) for i in range(len(corpus)))
 
 
+def test_near_duplicates_drop_registers_and_move_a_set_for_its_sides_only(spark, corpus, monkeypatch):
+    """Tables with registers are gone when sets are compared; each side of a pair has its own sets."""
+    kept, seen = D.verified, []
+
+    def look(pairs, sets, percent):
+        seen.extend(p for p in shared._STAGED if "-sketches-" in p or "-classes-" in p)
+        a, b = ({r[0] for r in pairs.select(k).collect()} for k in "ab")
+        assert a != b
+        for k, ids in (("is_a", a), ("is_b", b)):
+            assert {r.id for r in sets.where(k).collect()} == ids
+        return kept(pairs, sets, percent)
+
+    before = set(shared._STAGED)
+    monkeypatch.setattr(D, "verified", look)
+    D.near_duplicates(docs(spark, corpus), size=2)
+    assert not set(seen) - before
+
+
 def test_near_duplicates_on_odd_tables(spark):
     d = spark.createDataFrame([(1, "a b c"), (1, "a b c"), (None, "a b c"), (2, "a b c"), (3, None)], "doc_id long, text string").withColumn("n", F.lit(9))
     r = sorted((x.doc_id or -1, x.component_id, x.kept) for x in D.near_duplicates(d, size=2).collect())

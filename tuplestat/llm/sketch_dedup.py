@@ -166,27 +166,34 @@ def banded(classes: DataFrame) -> DataFrame:
     return classes.select("id", "registers").mapInArrow(run, "key long, id long")
 
 
-def full_sets(docs: DataFrame, ids: DataFrame, size: int) -> DataFrame:
-    """id, shingles (sorted 64-bit hashes), registers of the documents named in `ids`.
+def full_sets(docs: DataFrame, ids: DataFrame, pairs: DataFrame, size: int) -> DataFrame:
+    """id, shingles (sorted 64-bit hashes), registers of the documents named in `ids`; is_a, is_b: whether one
+    may be the first or the second of some of the `pairs`, so that `verified` moves it for those sides only.
 
     A bit map of the ids lets a scan pass over the other texts without moving any; the few that
     pass by chance find no pair later. Too many ids for the map: an equi-join with the texts.
     """
-    schema = pa.schema([("id", pa.int64()), ("shingles", pa.binary()), ("registers", pa.binary())])
+    schema = pa.schema(
+        [("id", pa.int64()), ("shingles", pa.binary()), ("registers", pa.binary()), ("is_a", pa.bool_()), ("is_b", pa.bool_())]
+    )
     named = bit_map(ids, F.xxhash64("id"))
+    sides = [bit_map(pairs.select(k).distinct(), F.xxhash64(k)) for k in ("a", "b")]
     if named is None:
-        chosen = docs.join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
-        rows, shipped = chosen.select("doc_id", "text", F.lit(-1).cast("long").alias("hash")), None
+        rows = docs.join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
     else:
-        rows = docs.where("doc_id IS NOT NULL").select("doc_id", "text", F.xxhash64("doc_id").alias("hash"))
-        shipped = docs.sparkSession.sparkContext.broadcast(named)
+        rows = docs.where("doc_id IS NOT NULL")
+    rows = rows.select("doc_id", "text", F.xxhash64("doc_id").alias("hash"))
+    shipped = docs.sparkSession.sparkContext.broadcast((named, *sides))
 
     def run(batches):
+        named, *sides = shipped.value
         for part in slices(batches, 1 << 20):
-            if shipped is not None:
-                part = part.filter(pa.array(shipped.value.has(part.column(2).to_numpy())))
+            if named is not None:
+                part = part.filter(pa.array(named.has(part.column(2).to_numpy())))
                 if not part.num_rows:
                     continue
+            hashes = part.column(2).to_numpy()
+            is_a, is_b = (np.ones(part.num_rows, dtype=bool) if m is None else m.has(hashes) for m in sides)
             s, offsets = shingle_hashes(part.column(1), size)
             regs = sketch(s, offsets)
             cut = offsets.tolist()
@@ -195,9 +202,11 @@ def full_sets(docs: DataFrame, ids: DataFrame, size: int) -> DataFrame:
                 part.column(0),
                 [s[a:b].tobytes() for a, b in zip(cut[:-1], cut[1:])],
                 [r.tobytes() for r in regs],
+                is_a,
+                is_b,
             )
 
-    return rows.mapInArrow(run, "id long, shingles binary, registers binary")
+    return rows.mapInArrow(run, "id long, shingles binary, registers binary, is_a boolean, is_b boolean")
 
 
 def blocks(rows: DataFrame, sets: DataFrame, most: int, name: str) -> DataFrame:
@@ -253,12 +262,12 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
         "a", "b", F.when(F.col("copies").isNull(), F.lit(0)).otherwise(F.pmod(F.xxhash64("b"), F.col("copies"))).cast("int").alias("salt")
     )
     left = (
-        sets.select(F.col("id").alias("a"), F.col("shingles").alias("sa"), F.col("registers").alias("ra"))
+        sets.where("is_a").select(F.col("id").alias("a"), F.col("shingles").alias("sa"), F.col("registers").alias("ra"))
         .join(hot, "a", "left")
         .withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce("copies", F.lit(1)) - 1)))
         .drop("copies")
     )
-    right = sets.select(F.col("id").alias("b"), F.col("shingles").alias("sb"), F.col("registers").alias("rb"))
+    right = sets.where("is_b").select(F.col("id").alias("b"), F.col("shingles").alias("sb"), F.col("registers").alias("rb"))
     both = salted.join(right, "b").join(left, ["a", "salt"]).select("a", "b", "sa", "sb", "ra", "rb")
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
@@ -299,6 +308,8 @@ def near_duplicates(
         .agg(F.min("doc_id").alias("id"), F.first("registers").alias("registers")),
         "classes",
     )
+    rows, sketched = staged(rows.select("doc_id", "n", "f1", "f2"), "rows"), rows
+    discard(sketched)  # registers are most of the table, and only the classes' are needed from here
     bands = banded(classes)
     masks = F.array(*[F.lit(x) for x in _MASKS])
     mask = F.get(masks, F.col("key").bitwiseAND(F.lit(HUBS - 1)).cast("int"))
@@ -309,14 +320,16 @@ def near_duplicates(
         .select("key", F.col("least").bitwiseXOR(mask).alias("hub"))
     )
     members = staged(bands.join(buckets, "key"), "members")
+    classes, sketched = staged(classes.drop("registers"), "named"), classes
+    discard(sketched)
     pairs = staged(members.where("id <> hub").select(*ordered("id", "hub")).distinct(), "pairs")
-    sets = staged(full_sets(docs, members.select("id").distinct(), size), "sets")
+    sets = staged(full_sets(docs, members.select("id").distinct(), pairs, size), "sets")
     links = verified(pairs, sets, percent)
     again = rows.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.count("*").alias("k")).where("k > 1").select("doc_id")
     again = staged(again, "repeated")
     repeated = not again.isEmpty()
     if repeated:  # the texts of one id belong together
-        texts = rows.where("n > 0").join(again, "doc_id").join(classes.drop("registers"), ["f1", "f2", "n"])
+        texts = rows.where("n > 0").join(again, "doc_id").join(classes, ["f1", "f2", "n"])
         links = links.union(texts.groupBy("doc_id", "id").agg(F.lit(1)).select(*ordered("doc_id", "id")))
     links = staged(links, "links")
     component = staged(connected(links), "components")
